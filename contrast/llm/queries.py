@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from contrast.llm import bpe, quality
+from contrast.llm import bpe, mixing, quality, secret_scan
 from contrast.llm.common import table
 
 
@@ -24,5 +24,17 @@ def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decoded.select("doc_id", bpe.token_count(F.col("token_ids")).alias("n_tokens"), F.sha2("token_ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op8_byte_bpe)}
-ORACLE_SQL: dict[str, str] = {}
+def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    return mixing.allot(docs).select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    counts = [secret_scan.count_of(F.col("base"), kind).alias(f"n_{kind}") for kind in secret_scan.KINDS[:3]]
+    digest = F.sha2(secret_scan.listed(F.col("base")).cast("binary"), 256).alias("base_sha256")
+    return secret_scan.scanned(docs).select("doc_id", *counts, digest, secret_scan.listed(F.col("secrets")).alias("spans"))
+
+
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op8_byte_bpe, op9_source_mix, op10_secret_scan)}
+ORACLE_SQL: dict[str, str] = {"op9_source_mix": mixing.ORACLE}
