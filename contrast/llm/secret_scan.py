@@ -2,9 +2,9 @@
 
 Fixed patterns find assignments, access keys and hexadecimal runs. Beside them, every run of encoding
 characters that is long enough and has both letters and digits is a candidate. Its encoding is the
-smallest alphabet that holds it, and three tests ask whether its symbols are independent and uniform
-over that alphabet: chi-squared of the symbol counts, runs above and below the middle, and serial
-correlation at lag one. The three give one p-value (Bonferroni). Among the candidates of a length band
+smallest alphabet that holds it, and tests ask whether its symbols are independent and uniform over
+that alphabet: chi-squared of the symbol counts and of digits, cases and signs, runs above and below
+the middle, and serial correlation at lag one. They give one p-value (Bonferroni). Among the candidates of a length band
 the Benjamini-Hochberg rule rejects, at a set false-discovery rate, those that aren't random; the rest
 are reported. Bands are powers of two of the length, so short strings, on which the tests have less
 power, don't share a threshold with long ones. Everything is DataFrame expressions; only counts by band
@@ -92,8 +92,26 @@ def upper_tail(z: Column) -> Column:
     return F.when(z >= 0, tail).otherwise(1 - tail)
 
 
+def gamma_tail(chi: Column, mean: Column, shape: Column) -> Column:
+    """Upper tail of a gamma variable: its cube root is nearly normal."""
+    return upper_tail((F.pow(chi / mean, F.lit(1 / 3)) - (1 - 1 / (9 * shape))) / F.sqrt(1 / (9 * shape)))
+
+
+def class_tail(token: Column, alphabet: Column) -> Column:
+    """p-value of chi-squared over digits, lower case, upper case and signs, as far as the alphabet has them."""
+    share = lambda s, letters: F.length(F.regexp_replace(s, f"[^{letters}]", "")).cast("double")
+    cells = F.array(*(F.struct(share(token, c).alias("n"), (share(alphabet, c) / F.length(alphabet)).alias("p")) for c in ("0-9", "a-z", "A-Z", "+/")))
+
+    def of(held: Column) -> Column:
+        term = lambda a, x: a + F.pow(x["n"] - F.length(token) * x["p"], F.lit(2.0)) / (F.length(token) * x["p"])
+        mean = F.greatest(F.size(held) - 1, F.lit(1)).cast("double")
+        return gamma_tail(F.aggregate(held, F.lit(0.0), term), mean, mean / 2)
+
+    return bind(F.filter(cells, lambda x: x["p"] > 0), of)
+
+
 def battery(token: Column) -> Column:
-    """The p-value of a candidate: how likely a random string of its encoding is as odd in one of three ways.
+    """The p-value of a candidate: how likely a random string of its encoding is as odd in one of the ways.
 
     Chi-squared has its exact mean and variance for few symbols and a gamma tail by cubes. A string
     whose symbols all lie on one side, or are all the same, has the p-value of that.
@@ -111,7 +129,6 @@ def battery(token: Column) -> Column:
         squares = F.aggregate(F.split(x["alphabet"], ""), F.lit(0.0), lambda a, c: a + F.when(F.length(c) == 0, 0.0).otherwise(F.pow(F.length(x["token"]) - F.length(F.replace(x["token"], c, F.lit(""))), F.lit(2.0))))
         chi, mean = k / n * squares - n, k - 1
         shape = mean * n / (2 * (n - 1))  # of a gamma variable with the same mean and variance
-        cube = (F.pow(chi / mean, F.lit(1 / 3)) - (1 - 1 / (9 * shape))) / F.sqrt(1 / (9 * shape))
         high = F.transform(x["codes"], lambda c: (2 * c >= k).cast("double"))
         rest = lambda a: F.slice(a, 2, F.size(a))
         most = lambda a: F.slice(a, 1, F.size(a) - 1)
@@ -125,7 +142,7 @@ def battery(token: Column) -> Column:
         moments = bind(total(x["codes"]) / n, lambda centre: bind(F.transform(x["codes"], lambda c: c - centre), lagged))
         serial = lambda m: F.when(m["power"] > 0, 2 * upper_tail(F.abs(m["lagged"] / m["power"] + 1 / n) * F.sqrt(n))).otherwise(F.lit(0.0))
         p_serial = bind(moments, serial)
-        return F.least(F.lit(1.0), 3 * F.least(upper_tail(cube), p_runs, p_serial))
+        return F.least(F.lit(1.0), 4 * F.least(gamma_tail(chi, mean, shape), class_tail(x["token"], x["alphabet"]), p_runs, p_serial))
 
     codes = lambda x: F.transform(F.filter(F.split(x["token"], ""), lambda c: F.length(c) > 0), lambda c: (F.position(c, x["alphabet"]) - 1).cast("double"))
     return bind(F.struct(token.alias("token"), alphabet.alias("alphabet")), lambda x: bind(F.struct(x["token"].alias("token"), x["alphabet"].alias("alphabet"), codes(x).alias("codes")), of))
