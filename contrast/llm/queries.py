@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from contrast.llm import bpe, mixing, packing, quality, secret_scan, simhash
-from contrast.llm.common import table
+from contrast.llm import bpe, mixing, packing, quality, secret_scan, simhash, warc
+from contrast.llm.common import scratch_path, table
 
 
 def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -14,6 +14,11 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judged(docs, table(spark, sf_dir, "labels").where("quality = 1")).drop("text")
 
 
+def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    warc.write_archives(table(spark, sf_dir, "pages"), path := scratch_path(spark, "archives"))
+    return warc.read_archives(spark, path).drop("url")
+
+
 def op5_best_fit_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return packing.shard_documents(docs, 40).select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
@@ -46,5 +51,5 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scanned(docs).select("doc_id", *counts, digest, secret_scan.listed(F.col("secrets")).alias("spans"))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op5_best_fit_shards, op7_simhash, op8_byte_bpe, op9_source_mix, op10_secret_scan)}
-ORACLE_SQL: dict[str, str] = {"op9_source_mix": mixing.ORACLE}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_warc, op5_best_fit_shards, op7_simhash, op8_byte_bpe, op9_source_mix, op10_secret_scan)}
+ORACLE_SQL: dict[str, str] = {"op2_warc": warc.ORACLE, "op9_source_mix": mixing.ORACLE}
