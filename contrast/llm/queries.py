@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from contrast.llm import bpe, ctw, mixing, packing, quality, secret_scan, simhash, sketches, warc
+from contrast.llm import bpe, ctw, mixing, packing, quality, secret_scan, simhash, sketches, toxicity, warc
 from contrast.llm.common import scratch_path, table
 
 
@@ -39,6 +39,10 @@ def op5_best_fit_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.shard_documents(docs, 40).select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op6_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.scored(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "labels")).drop("votes")
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return simhash.near_duplicates(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
@@ -66,5 +70,5 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scanned(docs).select("doc_id", *counts, digest, secret_scan.listed(F.col("secrets")).alias("spans"))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_warc, op3_iblt_fingerprints, op4_ctw_score, op5_best_fit_shards, op7_simhash, op8_byte_bpe, op9_source_mix, op10_secret_scan)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_warc, op3_iblt_fingerprints, op4_ctw_score, op5_best_fit_shards, op6_weak_toxicity, op7_simhash, op8_byte_bpe, op9_source_mix, op10_secret_scan)}
 ORACLE_SQL: dict[str, str] = {"op2_warc": warc.ORACLE, "op9_source_mix": mixing.ORACLE}
