@@ -3,7 +3,7 @@
 A text is a sequence of words and of breaks between them. A word is coded byte by byte, with an end
 mark; each byte is eight binary decisions, from its highest bit. The context of a byte is what comes
 before it in its word, nearest byte first and the word's begin last, up to a depth. Every context that
-the training words hold often enough is a node; what a node's less frequent continuations hold goes to
+the training words hold often enough is a node; what a node's less frequent extensions hold goes to
 one further child. In each node, a Krichevsky-Trofimov estimate stands for each of the 255 decisions,
 and the weighting of all prunings of the tree gives each decision's probability: a node's own estimate
 counts for one half, the product of its children for the other, all through the depths. Breaks are
@@ -29,11 +29,14 @@ from pyspark.sql import functions as F
 
 from contrast.llm.common import crc_remainder, materialise
 
-DEPTH = 12
-#: Contexts of a tree at most: those that hold the most bytes, down to the power of two that keeps them as few.
-CONTEXTS = 1 << 15
+#: Bytes of a context at most; with the byte that follows it fits one number.
+DEPTH = 7
+#: A context holds at least one in so many of all bytes; so many contexts a tree has at most.
+SHARE, CONTEXTS = 1 << 16, 1 << 15
 #: A word in the broadcast table is at least one in so many of all tokens.
-FREQUENT = 1 << 17
+FREQUENT = 1 << 20
+#: Words that are taken apart together.
+BLOCK = 100_000
 #: The byte that stands for a word's end, and in contexts for its begin; UTF-8 has no such byte.
 MARK = 0xFF
 BREAKS = b" \t\n\x0b\x0c\r"
@@ -91,28 +94,66 @@ def _log_evidence(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
     return out
 
 
+class Positions:
+    """All bytes of some words, their ends included, with what comes before each.
+
+    near: the DEPTH bytes before, the nearest highest, in the upper bytes of a number. reach: how many
+    of them lie in the word, its begin mark included. byte, word: what follows, and in which word.
+    """
+
+    def __init__(self, words: list[bytes]):
+        mark = bytes([MARK])
+        data = np.frombuffer(mark + mark.join(words) + mark, np.uint8) if words else np.zeros(1, np.uint8)
+        self.byte = data[1:]
+        self.near = np.zeros(len(self.byte), np.uint64)
+        for k in range(DEPTH):
+            self.near[k:] |= data[: len(self.byte) - k].astype(np.uint64) << np.uint64(56 - 8 * k)
+        begins = np.where(data[:-1] == MARK, np.arange(len(self.byte)), 0)
+        self.reach = np.arange(len(self.byte)) - np.maximum.accumulate(begins) + 1
+        self.word = np.cumsum(data[:-1] == MARK) - 1
+
+    def contexts(self, depth: int, at: np.ndarray) -> np.ndarray:
+        """The contexts of a depth before some places, as numbers; the places must reach as far."""
+        return self.near[at] & np.uint64((1 << 64) - (1 << 64 - 8 * depth))
+
+
+def _sums(keys: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys and the sums of their weights."""
+    found, place = np.unique(keys, return_inverse=True)
+    return found, np.bincount(place, weights, len(found)).astype(np.int64)
+
+
+def _within(sorted_keys: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """The place of each key among sorted ones, or -1."""
+    if not len(sorted_keys):
+        return np.full(len(keys), -1)
+    at = np.minimum(np.searchsorted(sorted_keys, keys), len(sorted_keys) - 1)
+    return np.where(sorted_keys[at] == keys, at, -1)
+
+
 class Tree:
     """The weighted tree as a table of log10 probabilities: of each byte, in each context's last place."""
 
-    def __init__(self, counts: dict[bytes, np.ndarray]):
-        """counts: for each context, nearest byte first, how often each byte follows; the empty one is the root."""
-        contexts = sorted(counts, key=len)
-        self.place = {c: i for i, c in enumerate(contexts)}
-        parent = np.array([self.place[c[:-1]] if c else -1 for c in contexts])
-        depth = np.array([len(c) for c in contexts])
-        held = np.stack([counts[c] for c in contexts]).astype(np.float64)
-        inner = np.zeros(len(contexts), bool)
+    def __init__(self, keys: list[np.ndarray], held: np.ndarray):
+        """keys: for each depth the contexts, sorted; held: for each context, by depth, how often each byte follows."""
+        self.keys = keys
+        self.begin = np.cumsum([0, *map(len, keys)])
+        depth = np.repeat(np.arange(len(keys)), [len(k) for k in keys])
+        parent = np.full(len(depth), -1)
+        for d in range(1, len(keys)):
+            up = keys[d] & np.uint64((1 << 64) - (1 << 72 - 8 * d)) if d > 1 else np.zeros_like(keys[d])
+            parent[self.begin[d] : self.begin[d + 1]] = self.begin[d - 1] + _within(keys[d - 1], up)
+        inner = np.zeros(len(depth), bool)
         inner[parent[1:]] = True
         rest = held.copy()  # of an inner node: what no child of the tree holds
         np.subtract.at(rest, parent[1:], held[1:])
-        self.table = np.zeros((len(contexts), 256), np.float32)
+        self.table = np.zeros((len(depth), 256), np.float32)
         for bit in range(8):
-            shape = (len(contexts), 1 << bit, 2, 128 >> bit)
-            own, other = held.reshape(shape).sum(axis=3), rest.reshape(shape).sum(axis=3)
+            shape = (len(depth), 1 << bit, 2, 128 >> bit)
             for some in range(0, 1 << bit, 16):  # decisions don't touch each other
-                part = slice(some, some + 16)
-                chance = self._weighted(own[:, part], other[:, part], parent, depth, inner)
-                logs = np.log10(np.stack([1 - chance, chance], axis=2)).reshape(len(contexts), -1)
+                own, other = (x.reshape(shape)[:, some : some + 16].sum(axis=3, dtype=np.float64) for x in (held, rest))
+                chance = self._weighted(own, other, parent, depth, inner)
+                logs = np.log10(np.stack([1 - chance, chance], axis=2)).reshape(len(depth), -1)
                 wide = np.repeat(logs, 128 >> bit, axis=1)
                 at = some * (256 >> bit)
                 self.table[:, at : at + wide.shape[1]] += wide
@@ -141,19 +182,17 @@ class Tree:
         last = np.where(inner[:, None], stop * estimate + (1 - stop) * kt(other[:, :, 1], other[:, :, 0]), estimate)
         return np.clip(seen + left * last, 1e-9, 1 - 1e-9)
 
-    def score(self, word: bytes) -> float:
-        """log10 probability of a word and its end."""
-        place, table, total = self.place, self.table, 0.0
-        behind = bytes([MARK]) + word
-        back = behind[::-1]
-        n = len(back)
-        for i in range(n):
-            end = n - 1 - i  # back[end:] is what comes before byte i, nearest first
-            for d in range(min(DEPTH, n - end), -1, -1):
-                if (at := place.get(back[end : end + d])) is not None:
-                    total += table[at, word[i] if i < len(word) else MARK]
-                    break
-        return float(total)
+    def scores(self, words: list[bytes]) -> np.ndarray:
+        """log10 probability of each word and its end."""
+        where = Positions(words)
+        row = np.zeros(len(where.byte), np.int64)
+        at = np.arange(len(row))
+        for d in range(1, len(self.keys)):
+            at = at[where.reach[at] >= d]
+            found = _within(self.keys[d], where.contexts(d, at))
+            at, found = at[found >= 0], found[found >= 0]
+            row[at] = self.begin[d] + found
+        return np.bincount(where.word, self.table[row, where.byte], len(words))
 
 
 def training_words(docs: DataFrame, id_column: str, text: str, modulus: int, out: int) -> tuple[DataFrame, list[float], int]:
@@ -181,43 +220,74 @@ def training_words(docs: DataFrame, id_column: str, text: str, modulus: int, out
     return words, [float(x) for x in total], words.agg(F.coalesce(F.sum("known"), F.lit(0))).first()[0]
 
 
-def context_counts(words: DataFrame, depth: int = DEPTH, limit: int = CONTEXTS) -> dict[bytes, np.ndarray]:
-    """Of each context that holds enough bytes: how often each byte follows.
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[Positions, np.ndarray]]:
+    """Positions of the words in the first column, and the count of each position's word from the second."""
+    for batch in batches:
+        for begin in range(0, batch.num_rows, BLOCK):
+            part = batch.slice(begin, BLOCK)
+            where = Positions(part.column(0).to_pylist())
+            yield where, part.column(1).to_numpy(zero_copy_only=False)[where.word]
+
 
-    Contexts are counted by a distributed sum. Enough is the least power of two that leaves no more
-    contexts than the limit, so what the driver gets is bounded; a context never holds more than the
-    shorter one that it extends, so with each context the tree has all shorter ones.
+def frequent_contexts(words: DataFrame, share: int = SHARE) -> list[np.ndarray]:
+    """For each depth, sorted, the contexts that may hold one in `share` of all bytes, and few others.
+
+    A context that holds its share of all words' bytes holds it in one of any blocks they are cut into,
+    so every block names those of its own. The share grows where they would be too many to send.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for begin in range(0, batch.num_rows, 20_000):
-                part, found = batch.slice(begin, 20_000), Counter()
-                for word, n in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
-                    back = word[::-1] + bytes([MARK])
-                    size = len(back)
-                    for i in range(size):
-                        end = size - 1 - i
-                        follows = word[i : i + 1] or bytes([MARK])
-                        for d in range(min(depth, size - end) + 1):
-                            found[back[end : end + d] + follows] += n
-                yield pa.RecordBatch.from_arrays([pa.array([k[:-1] for k in found], pa.binary()), pa.array([k[-1] for k in found], pa.int32()), pa.array(list(found.values()), pa.int64())], ["context", "byte", "n"])
-
-    grams = materialise(words.where("known > 0").select("word", "known").mapInArrow(run, "context binary, byte int, n long").groupBy("context", "byte").agg(F.sum("n").alias("n")), "contexts")
-    sums = grams.groupBy("context").agg(F.sum("n").alias("held"), F.map_from_entries(F.collect_list(F.struct("byte", "n"))).alias("follows"))
-    sums = materialise(sums, "context_sums")
-    level = F.floor(F.log2(F.col("held").cast("double"))).cast("int")
-    least, left = 64, limit
-    for row in sorted(sums.groupBy(level.alias("level")).count().collect(), key=lambda r: -r["level"]):
-        if (left := left - row["count"]) < 0:
+        for where, weight in _blocks(batches):
+            at, every = np.arange(len(weight)), weight.sum()
+            for d in range(1, DEPTH + 1):
+                at = at[where.reach[at] >= d]
+                keys, sums = _sums(where.contexts(d, at), weight[at])
+                large = sums * share >= every
+                keys, sums = keys[large], sums[large]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), d, np.int32)), pa.array(keys.view(np.int64)), pa.array(sums / max(every, 1))], ["depth", "context", "part"])
+
+    named = words.where("known > 0").select("word", "known").mapInArrow(run, "depth int, context long, part double")
+    most = materialise(named.groupBy("depth", "context").agg(F.max("part").alias("part")), "frequent_contexts")
+    while most.where(F.col("part") * share >= 1).count() > 8 * CONTEXTS:
+        share //= 2
+    got = most.where(F.col("part") * share >= 1).toArrow()
+    depth, keys = got["depth"].to_numpy(), got["context"].to_numpy().view(np.uint64)
+    return [np.zeros(1, np.uint64), *(np.sort(keys[depth == d]) for d in range(1, DEPTH + 1))]
+
+
+def grow(words: DataFrame, share: int = SHARE, limit: int = CONTEXTS) -> Tree:
+    """The tree of the contexts that hold their share of all training bytes, counted over all words.
+
+    If more do than the limit, those stay that hold the most, down to a power of two. A context never
+    holds more than the shorter one it extends, so with each context the tree has all shorter ones.
+    """
+    candidates = frequent_contexts(words, share)
+    sent = words.sparkSession.sparkContext.broadcast(candidates)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for where, weight in _blocks(batches):
+            at = np.arange(len(weight))
+            for d, known in enumerate(sent.value):
+                at = at[where.reach[at] >= d]
+                found = _within(known, where.contexts(d, at) if d else np.zeros(len(at), np.uint64))
+                at, found = at[found >= 0], found[found >= 0]
+                grams, sums = _sums(found * 256 + where.byte[at], weight[at])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), d, np.int32)), pa.array(grams // 256), pa.array((grams % 256).astype(np.int32)), pa.array(sums)], ["depth", "place", "byte", "n"])
+
+    grams = words.where("known > 0").select("word", "known").mapInArrow(run, "depth int, place long, byte int, n long").groupBy("depth", "place", "byte").agg(F.sum("n").alias("n")).toArrow()
+    begin = np.cumsum([0, *map(len, candidates)])
+    held = np.zeros((begin[-1], 256), np.float32)
+    place = begin[grams["depth"].to_numpy()] + grams["place"].to_numpy()
+    held[place, grams["byte"].to_numpy()] = grams["n"].to_numpy()
+    total = held.sum(axis=1, dtype=np.float64)
+    least, levels = total[0] / share, np.floor(np.log2(np.maximum(total, 1)))
+    for level in range(64):
+        stays = (total >= least) & (levels >= level)
+        stays[0] = True
+        if stays.sum() <= limit:
             break
-        least = row["level"]
-    out = {b"": np.zeros(256)}
-    for row in sums.where(level >= least).toLocalIterator():
-        out[bytes(row["context"])] = each = np.zeros(256)
-        for byte, n in row["follows"].items():
-            each[byte] = n
-    return out
+    kept = [k[stays[begin[d] : begin[d + 1]]] for d, k in enumerate(candidates)]
+    return Tree(kept, held[stays])
 
 
 def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modulus: int = 7, out: int = 2) -> DataFrame:
@@ -236,20 +306,23 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
     texts = int(other[-1])
     n_train = known_words + texts
     distinct = words.where("known > 0").count() + (texts > 0)
-    tree = Tree(context_counts(words))
+    tree = grow(words)
     breaks = break_scores(other, known_words)
     floor = n_train + distinct + 1
     tree_sent = spark.sparkContext.broadcast(pickle.dumps(tree))
 
     def word_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        score = pickle.loads(tree_sent.value).score
+        tree = pickle.loads(tree_sent.value)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([score(w) for w in batch.column(0).to_pylist()], pa.float64())], [*batch.schema.names, "score"])
+            for begin in range(0, batch.num_rows, BLOCK):
+                part = batch.slice(begin, BLOCK)
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(tree.scores(part.column(0).to_pylist()))], [*part.schema.names, "score"])
 
     priced = materialise(words.mapInArrow(word_scores, "word binary, n long, known long, score double"), "priced")
     every = priced.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     frequent = priced.where(F.col("n") * FREQUENT >= every)
-    known = {bytes(r["word"]): (r["known"], r["score"]) for r in frequent.toLocalIterator()}
+    few = frequent.select("word", "known", "score").toArrow()
+    known = dict(zip(few["word"].to_pylist(), zip(few["known"].to_pylist(), few["score"].to_pylist())))
     known_sent = spark.sparkContext.broadcast(pickle.dumps(known))
 
     def one_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
