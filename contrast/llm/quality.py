@@ -1,8 +1,8 @@
 """Quality rules: shape counts of a text, and a hashed n-gram likelihood ratio of trusted to raw text.
 
 Words and pairs of neighbouring words are hashed into a fixed number of buckets. Two multinomials
-over the buckets are estimated with add-one smoothing: one from the trusted documents, one from the
-whole corpus. A document's score is the mean, over its words and word pairs, of the log ratio of the
+over the buckets are estimated: one from the whole corpus, with add-one smoothing, and one from the
+trusted documents, with a prior that is dealt like the raw corpus. A document's score is the mean, over its words and word pairs, of the log ratio of the
 two; it is kept at or above a fixed threshold. The tables have the size of the bucket count, whatever
 the corpus. Everything is DataFrame expressions.
 """
@@ -17,6 +17,9 @@ from contrast.llm.common import bind, materialise, spaced, words
 BUCKETS = 1 << 14
 #: Mean log ratio (nats) from which a document is kept; ordinary text lies near zero.
 THRESHOLD = -0.04
+#: Grams for each bucket that the trusted counts are filled up with, dealt as in the raw corpus: with few
+#: trusted documents the ratios shrink towards none.
+PRIOR = 30
 MIN_WORDS = 50
 #: Per cent of the words that may lie in repeated windows.
 MAX_REPEATED = 50
@@ -75,8 +78,7 @@ def log_ratios(docs: DataFrame, trusted: DataFrame, id_column: str = "doc_id", b
     """One row, `weights array<double>`: log of trusted to raw probability of each bucket.
 
     docs: id and text. trusted: ids of the trusted documents; repeats count once. Both may be of any
-    size: only bucket counts leave a task. With no trusted document all weights are near zero less
-    what the raw corpus holds; with no document at all they are zero.
+    size: only bucket counts leave a task. With no trusted document all weights are zero.
     """
     good = trusted.select(F.col(id_column).alias("__id")).where("__id is not null").distinct().withColumn("__good", F.lit(1))
     marked = docs.select(F.col(id_column).alias("__id"), F.col("text").alias("__text")).join(good.hint("shuffle_hash"), "__id", "left")
@@ -87,9 +89,10 @@ def log_ratios(docs: DataFrame, trusted: DataFrame, id_column: str = "doc_id", b
         .agg(F.count(F.lit(1)).cast("double").alias("raw"), F.count("__good").cast("double").alias("good"))
     )
     every = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("b")).join(counted, "b", "left").na.fill(0.0)
-    total = lambda n: F.sum(n) + F.lit(float(buckets))
-    gathered = every.agg(F.array_sort(F.collect_list(F.struct("b", "raw", "good"))).alias("c"), total("raw").alias("raw"), total("good").alias("good"))
-    ratio = lambda x: F.log((x["good"] + 1) / F.col("good")) - F.log((x["raw"] + 1) / F.col("raw"))
+    gathered = every.agg(F.array_sort(F.collect_list(F.struct("b", "raw", "good"))).alias("c"), F.sum("raw").alias("raw"), F.sum("good").alias("good"))
+    prior = float(PRIOR * buckets)
+    share = lambda x: (x["raw"] + 1) / (F.col("raw") + buckets)
+    ratio = lambda x: F.log((x["good"] + prior * share(x)) / (F.col("good") + prior)) - F.log(share(x))
     return gathered.select(F.transform("c", ratio).alias("weights"))
 
 
