@@ -20,7 +20,10 @@ ORACLE_SQL = None
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep, unchanged; what labels call good is the trusted text."""
     trusted = table(spark, sf_dir, "labels").where("quality = 1")
-    return quality.judged(docs.select(*COLUMNS), trusted).where("kept").select(*COLUMNS)
+    judged = quality.judged(docs.select(*COLUMNS), trusted)
+    # a filter would be moved down and the verdict computed twice; a generator stays in its place
+    once = F.explode(F.when(F.col("kept"), F.array(F.lit(1))).otherwise(F.array().cast("array<int>")))
+    return judged.select(*COLUMNS, once.alias("__one")).select(*COLUMNS)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
