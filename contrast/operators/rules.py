@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -9,6 +11,7 @@ from contrast.functions.measures import FSCORE, Measure
 from contrast.functions.patterns import PATTERN, covers, pattern_id
 from contrast.operators.constraints import covered, pattern_stats, with_shares
 from contrast.plans.kernel import Options
+from contrast.session import settled
 
 
 def ranked_rules(patterns: DataFrame) -> DataFrame:
@@ -23,15 +26,12 @@ def database_coverage(tx: DataFrame, patterns: DataFrame) -> DataFrame:
     return rules.join(first.select("place").distinct(), "place", "left_semi")
 
 
-def sequential_cover(prep, measure: Measure = FSCORE, rounds: int = 20, options: Options | None = None) -> DataFrame:
+def sequential_cover(prep, measure: Measure = FSCORE, rounds: int = 20, options: Options | None = None, strategy: str = "hybrid") -> DataFrame:
     """Best pattern, then the best for the positives that it leaves, and so on: place, items, score on what was left.
 
     The contrast to covering all rows at once: later rules are learnt from fewer positives.
     """
-    from dataclasses import replace
-
     from contrast.plans.search import mine_topk
-    from contrast.session import settled
 
     spark, left, out = prep.tx.sparkSession, prep.tx, []
     for place in range(1, rounds + 1):
@@ -39,7 +39,7 @@ def sequential_cover(prep, measure: Measure = FSCORE, rounds: int = 20, options:
         if not p:
             break
         now = replace(prep, tx=left, p=p)
-        best = mine_topk(now, 1, measure, options or Options()).patterns.select("items", "score").collect()
+        best = mine_topk(now, 1, measure, options or Options(), strategy).patterns.select("items", "score").collect()
         if not best:
             break
         out.append((place, best[0]["items"], best[0]["score"], p))

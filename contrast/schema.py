@@ -72,7 +72,7 @@ def infer_schema(df: DataFrame, without: tuple[str, ...] = (), deltas: dict[str,
             continue
         if f.name in as_symbols or isinstance(f.dataType, (T.StringType, T.BooleanType)):
             out.append(symbol(f.name))
-        elif isinstance(f.dataType, (T.NumericType, T.DateType, T.TimestampType, T.DayTimeIntervalType)):
+        elif isinstance(f.dataType, (T.NumericType, T.DateType, T.TimestampType, T.TimestampNTZType, T.DayTimeIntervalType)):
             out.append(number(f.name, (deltas or {}).get(f.name, 1.0)))
     return HybridSchema(tuple(out))
 
@@ -82,8 +82,8 @@ def as_number(df: DataFrame, name: str) -> Column:
     kind, c = df.schema[name].dataType, F.col(f"`{name}`")
     if isinstance(kind, T.DateType):
         c = F.unix_date(c)
-    elif isinstance(kind, T.TimestampType):
-        c = F.unix_micros(c) / 1e6
+    elif isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
+        c = F.unix_micros(c.cast("timestamp")) / 1e6
     elif isinstance(kind, T.DayTimeIntervalType):
         c = c.cast("interval second").cast("decimal(18,6)")
     value = c.cast("double")

@@ -118,4 +118,4 @@ def planted(spark: SparkSession, rows: int, seed: int = 7) -> DataFrame:
     return base.select("id", "x", "y", "s", F.when(inside != F.col("noise"), "1").otherwise("0").alias("cls"))
 
 
-PLANTED = HybridSchema((number("x"), number("y"), symbol("s")))
+PLANTED = HybridSchema((number("x", 5.0), symbol("s"), number("y", 10.0)))

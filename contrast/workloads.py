@@ -367,7 +367,7 @@ def database_coverage(spark, sf_dir):
 
 @query()
 def sequential_cover(spark, sf_dir):
-    return rules.sequential_cover(_prepared(spark, sf_dir), rounds=6).select("place", "pattern_id", "score", "positives_left")
+    return rules.sequential_cover(_prepared(spark, sf_dir), rounds=6, strategy="depth").select("place", "pattern_id", "score", "positives_left")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -442,9 +442,11 @@ ABLATIONS = {
 @query()
 def ablations(spark, sf_dir):
     """Visits with each part of the search left out, in one task each; the pruned ones find equal bests."""
-    out = None
+    out, preps = None, {}
     for name, (options, prepared) in ABLATIONS.items():
-        prep = _prepared(spark, sf_dir, PAIR, **prepared)
+        if (key := str(prepared)) not in preps:
+            preps[key] = _prepared(spark, sf_dir, PAIR, **prepared)
+        prep = preps[key]
         found, stats = search.search(prep, options=options, strategy="depth")
         best = found.agg(F.max("score").alias("best_score"), F.count(F.lit(1)).alias("candidates"))
         one = stats.select(F.lit(name).alias("left_out"), "visited", "pruned_floor", "pruned_closed", "complete").join(best)
@@ -525,7 +527,7 @@ _items_of("parts_null_control", tables.part_features, tables.PARTS, "p_type", "P
 @query()
 def conversations_classes(spark, sf_dir):
     """One run for each role, each with cut-points of its own."""
-    found = search.mine_all_classes(tables.conversation_features(spark, sf_dir), HybridSchema((number("n_chars", 50.0), number("turn"))))
+    found = search.mine_all_classes(tables.conversation_features(spark, sf_dir), HybridSchema((number("n_chars", 100.0),)))
     return found.select("cls", "pattern_id", "n_pos", "n_neg", "score", "text")
 
 
@@ -545,12 +547,17 @@ def pages_flags(spark, sf_dir):
 
 @query()
 def planted_box(spark, sf_dir):
-    answer = search.mine_covering(search.prepare(tables.planted(spark, 20_000), tables.PLANTED, F.col("cls") == "1"), options=Options(visits=50_000))
+    answer = search.mine_covering(search.prepare(tables.planted(spark, 20_000), tables.PLANTED, F.col("cls") == "1"), options=Options(visits=20_000, seconds=20))
     return answer.patterns.orderBy(F.col("score").desc(), "pattern_id").limit(5).select("pattern_id", "n_pos", "n_neg", "score", "text")
 
 
 # Events: the batch side of the streams
 
+def _epoch(name: str):
+    """Seconds since 1970 of a time without a zone."""
+    return F.expr(f"timestampdiff(SECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', {name})")
+
+
 _EVENTS = HybridSchema((number("value", 10.0), number("hour"), number("k")))
 
 
@@ -558,15 +565,15 @@ _EVENTS = HybridSchema((number("value", 10.0), number("hour"), number("k")))
 def events_window_hist(spark, sf_dir):
     rows = histograms.event_rows(tables.table(spark, sf_dir, "events"))
     found = histograms.window_histogram(rows, _EVENTS, histograms.tumbling())
-    return found.select(F.unix_seconds("begin").alias("day"), "attr", "cell", "n_pos", "n_neg")
+    return found.select(_epoch("begin").alias("day"), "attr", "cell", "n_pos", "n_neg")
 
 
 @query("""WITH o AS (SELECT user_id, ts, event_type, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 s AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM o)
-SELECT user_id, CAST(epoch(min(ts)) AS BIGINT) AS begin, count(*) AS n, CAST(sum(CASE WHEN event_type = 'purchase' THEN 1 ELSE 0 END) AS BIGINT) AS n_pos FROM s GROUP BY user_id, k""")
+SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS begin, count(*) AS n, CAST(sum(CASE WHEN event_type = 'purchase' THEN 1 ELSE 0 END) AS BIGINT) AS n_pos FROM s GROUP BY user_id, k""")
 def events_sessions(spark, sf_dir):
     found = histograms.sessions(histograms.event_rows(tables.table(spark, sf_dir, "events")))
-    return found.select("user_id", F.unix_seconds("begin").alias("begin"), "n", "n_pos")
+    return found.select("user_id", _epoch("begin").alias("begin"), "n", "n_pos")
 
 
 @query("SELECT event_id, CAST(CASE WHEN ts >= TIMESTAMP '2024-02-01' THEN 2 WHEN ts >= TIMESTAMP '2024-01-10' THEN 1 END AS INT) AS version FROM events")
