@@ -210,8 +210,8 @@ def training_words(docs: DataFrame, id_column: str, text: str, modulus: int, out
                 parts[learn].update(words)
                 other[learn] += rest
             for learn, found in parts.items():
-                yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.binary()), pa.array(list(found.values()), pa.int64()), pa.array([learn] * len(found)), pa.nulls(len(found), pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
-        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.binary()), pa.array([0]), pa.array([True]), pa.array([other[True].tolist()], pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
+                yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.binary()), pa.array(list(found.values()), pa.int64()), pa.array([learn] * len(found), pa.bool_()), pa.nulls(len(found), pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.binary()), pa.array([0], pa.int64()), pa.array([True], pa.bool_()), pa.array([other[True].tolist()], pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
 
     slim = docs.select(F.col(text).alias("text"), (crc_remainder(F.col(id_column), modulus) != out).alias("learn"))
     counted = materialise(slim.mapInArrow(run, "word binary, n long, learn boolean, other array<long>"), "word_counts")
