@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from contrast.llm.common import materialise, words
 
-#: A third of the words that a slot's point moves on by, as a fraction of the whole: the golden ratio's inverse.
+#: What a slot's point moves on by: the golden ratio's inverse.
 STEP = 0.6180339887498949
 #: Slots that a schedule has at least, once there are as many words; twice as many at most.
 SLOTS = 1 << 18
@@ -80,8 +80,8 @@ def schedule(aims: DataFrame, slots: int = SLOTS) -> DataFrame:
     cells = stretch.select("*", F.explode(F.sequence(cell_of(F.col("lo")), F.least(cell_of(F.col("hi")), F.lit(CELLS - 1)))).alias("cell"))
     size = stretch.agg(F.max("n_slots").alias("n"))
     point = F.col("slot") * F.lit(STEP)
-    points = size.select(F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / 1024))).alias("hundred")).repartition("hundred").join(size.hint("broadcast"))
-    slot = points.select("n", F.explode(F.sequence(F.col("hundred") * 1024, F.least(F.col("hundred") * 1024 + 1023, F.col("n") - 1))).alias("slot"))
+    blocks = size.select("n", F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / 1024))).alias("block")).repartition("block")
+    slot = blocks.select(F.explode(F.sequence(F.col("block") * 1024, F.least(F.col("block") * 1024 + 1023, F.col("n") - 1))).alias("slot"))
     at = slot.select("slot", (point - F.floor(point)).alias("u")).withColumn("cell", F.floor(F.col("u") * CELLS))
     held = (F.col("u") * F.col("all_units") >= F.col("lo")) & (F.col("u") * F.col("all_units") < F.col("hi"))
     return at.join(cells, "cell").where(held).select("slot", "source", "block_words")
