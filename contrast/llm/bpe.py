@@ -13,6 +13,7 @@ from __future__ import annotations
 import base64
 from array import array
 from collections.abc import Iterator
+from functools import cached_property
 
 import ahocorasick
 import pyarrow as pa
@@ -20,8 +21,8 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Entries that a worker remembers of pieces, and of pairs, before it starts anew.
-MEMO = 400_000
+#: Pieces that a worker remembers in each of two generations, and pairs before it starts anew.
+MEMO, PAIRS = 150_000, 400_000
 #: Bytes of results that are handed on together.
 FLUSH = 8 << 20
 
@@ -39,15 +40,21 @@ class Codec:
         self.ranks = ranks
         self.tokens = {rank: token for token, rank in ranks.items()}
         self.find = regex.compile(pattern).findall
-        self.automaton = ahocorasick.Automaton()
-        for token, rank in ranks.items():
-            self.automaton.add_word(token.decode("latin-1"), (len(token), rank))
-        self.automaton.make_automaton()
-        self.pieces: dict[str, tuple[int, ...]] = {}
-        self.pairs: dict[tuple[int, int], bool] = {}
+        self.recent: dict[str, bytes] = {}  # ids of pieces, packed
+        self.older: dict[str, bytes] = {}
+        self.pairs: dict[int, bool] = {}
         self.own: dict[int, bool] = {}
         self.prefix: dict[int, int | None] = {}
 
+    @cached_property
+    def automaton(self) -> ahocorasick.Automaton:
+        """Of all tokens; a worker that only decodes never makes it."""
+        made = ahocorasick.Automaton()
+        for token, rank in self.ranks.items():
+            made.add_word(token.decode("latin-1"), (len(token), rank))
+        made.make_automaton()
+        return made
+
     def merged(self, piece: bytes) -> list[bytes]:
         """The merges as defined, lowest rank first and leftmost among equals; for short pieces."""
         parts = [piece[i : i + 1] for i in range(len(piece))]
@@ -67,11 +74,11 @@ class Codec:
 
     def compatible(self, left: int, right: int) -> bool:
         """Whether merges leave these two tokens side by side."""
-        if (known := self.pairs.get((left, right))) is None:
-            if len(self.pairs) >= MEMO:
+        if (known := self.pairs.get(key := left << 32 | right)) is None:
+            if len(self.pairs) >= PAIRS:
                 self.pairs.clear()
             a, b = self.tokens[left], self.tokens[right]
-            known = self.pairs[left, right] = self.merged(a + b) == [a, b]
+            known = self.pairs[key] = self.merged(a + b) == [a, b]
         return known
 
     def shorter(self, token: int) -> int | None:
@@ -107,18 +114,25 @@ class Codec:
                 raise ValueError("the vocabulary lacks a byte of the text")
         return tuple(out)
 
+    def recalled(self, piece: str) -> bytes:
+        """Packed ids of a piece that isn't recent; when the recent ones are many they become the older ones."""
+        if (ids := self.older.get(piece)) is None:
+            ids = array("I", self.encode_piece(piece.encode())).tobytes()
+            if len(piece) > 64:
+                return ids
+        if len(self.recent) >= MEMO:
+            self.older = dict(self.recent)
+            self.recent.clear()
+        self.recent[piece] = ids
+        return ids
+
+    def packed(self, text: str) -> bytes:
+        """Ids of a text, as little-endian unsigned 32-bit integers."""
+        known, recall = self.recent.get, self.recalled
+        return b"".join([known(piece) or recall(piece) for piece in self.find(text)])
+
     def encode(self, text: str) -> list[int]:
-        out: list[int] = []
-        known, add = self.pieces.get, out.extend
-        for piece in self.find(text):
-            if (ids := known(piece)) is None:
-                ids = self.encode_piece(piece.encode())
-                if len(piece) <= 64:
-                    if len(self.pieces) >= MEMO:
-                        self.pieces.clear()
-                    self.pieces[piece] = ids
-            add(ids)
-        return out
+        return list(memoryview(self.packed(text)).cast("I")) if text else []
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
@@ -164,8 +178,8 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, text: str =
     """
 
     def one():
-        encode = _codec(vocabulary, pattern).encode
-        return lambda value: array("I", encode(value.as_py() or "")).tobytes()
+        packed = _codec(vocabulary, pattern).packed
+        return lambda value: packed(value.as_py() or "")
 
     return _mapped(docs, text, ids, one)
 
