@@ -101,7 +101,7 @@ class Search:
         if self.symbol[attr]:
             at = np.flatnonzero(pos)
             return at, at + 1, pos[at], neg[at], least[at]
-        ends = np.flatnonzero(pos) if self.options.closed else np.flatnonzero(pos + neg)
+        ends = np.flatnonzero(pos) if self.options.closed else np.arange(size)
         before_p, before_q = np.concatenate([[0], np.cumsum(pos)]), np.concatenate([[0], np.cumsum(neg)])
         may_begin = may_end = np.ones(len(ends), bool)
         if self.options.merge and len(ends) > 1:
