@@ -14,7 +14,7 @@ neighbourhood of two bits joins the same components, with rows in proportion to
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from itertools import combinations
 
 import numpy as np
@@ -23,28 +23,23 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from contrast.llm import overlap
 from contrast.llm.common import materialise
+from contrast.llm.overlap import SEED, WIDTH, shingle_hashes
 
-WIDTH, SEED = 4, 42
-#: Shingles whose bits are counted at once.
-BLOCK = 1 << 15
+
+def fingerprint_of(parts: Iterable[np.ndarray]) -> int:
+    """SimHash of shingles' hashes, repeats included; 0 without any."""
+    ones, n = np.zeros(64, np.int64), 0
+    for hashes in parts:
+        ones += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        n += len(hashes)
+    return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
 
 
 def fingerprint(text: str | None, width: int = WIDTH, seed: int = SEED) -> int:
     """SimHash of a whole text's shingles, repeats included; 0 for a text without words."""
-    words = (text or "").encode().lower().split()
-    if not words:
-        return 0
-    if len(words) < width:
-        return xxhash.xxh64_intdigest(b" ".join(words), seed)
-    ones, n = np.zeros(64, np.int64), len(words) - width + 1
-    for begin in range(0, n, BLOCK):
-        part = words[begin : begin + BLOCK + width - 1]
-        ends = np.cumsum([len(w) + 1 for w in part]).tolist()
-        joined, starts = b" ".join(part), [0, *ends]
-        hashes = np.array([xxhash.xxh64_intdigest(joined[a : b - 1], seed) for a, b in zip(starts, ends[width - 1 :])], "<u8")
-        ones += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
+    return fingerprint_of(shingle_hashes((text or "").encode().lower().split(), width, seed))
 
 
 #: Bits that linked fingerprints may differ in, and bits of the ring's segments.
@@ -157,19 +152,68 @@ def components(edges: DataFrame) -> DataFrame:
         now = materialise(small.where("u <> v").distinct(), "edges")
 
 
-def classes(prints: DataFrame, budget: int = BUDGET, crowd: int = CROWD) -> DataFrame:
+def classes(prints: DataFrame, budget: int = BUDGET, crowd: int = CROWD, edges: DataFrame | None = None) -> DataFrame:
     """(doc_id, fp, component_id) of rows (doc_id, fp): the least id of all that are linked, ids of null aside.
 
+    edges: (u, v) over fingerprints to take in place of the links within the budget.
+
     Repeated rows come out repeated. Rows with equal fingerprints are one node, whatever their number.
     """
     own = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "prints")
-    roots = components(links(own, budget, crowd))
+    roots = components(links(own, budget, crowd) if edges is None else edges)
     rooted = own.join(roots, own["fp"] == roots["node"], "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     grouped = materialise(rooted, "roots")
     best = grouped.groupBy("root").agg(F.min("rep").alias("component_id"))
     return prints.join(grouped.join(best, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text: str = "text", width: int = WIDTH, budget: int = BUDGET) -> DataFrame:
-    """doc_id, fp, component_id of every row of docs."""
+def by_fingerprint(docs: DataFrame, id_column: str = "doc_id", text: str = "text", width: int = WIDTH, budget: int = BUDGET) -> DataFrame:
+    """doc_id, fp, component_id of every row of docs, linked by fingerprints alone."""
     return classes(materialise(fingerprints(docs, id_column, text, width), "fingerprints"), budget)
+
+
+def sketched(docs: DataFrame, id_column: str, text: str, width: int) -> DataFrame:
+    """doc_id, fp (as simhash gives it), node (a hash of the shingle set), n (its size), keys, of each row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps, nodes, sizes, keys = [], [], [], []
+            for value in batch.column(1):
+                parts = list(shingle_hashes(value.as_py().encode().lower().split(), width))
+                found = overlap.distinct(parts)
+                fps.append(fingerprint_of(parts))
+                nodes.append(xxhash.xxh64_intdigest(found.tobytes()))
+                sizes.append(len(found))
+                keys.append(overlap.keys_of(found).view(np.int64))
+            signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([batch.column(0), signed(fps), signed(nodes), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "fp", "node", "n", "keys"])
+
+    slim = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, fp long, node long, n long, keys array<long>")
+
+
+def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text: str = "text", width: int = WIDTH) -> DataFrame:
+    """doc_id, fp, component_id of every row of docs: linked are SimHash's near duplicates and all pairs that overlap enough."""
+    rows = materialise(sketched(docs, id_column, text, width), "sketches")
+    one = rows.where("n > 0").groupBy("node").agg(F.min("fp").alias("fp"), F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
+    own = materialise(one, "nodes")
+    least = own.select("node", F.col("fp").alias("v"))
+    same = rows.where("n > 0").select("node", F.col("fp").alias("u")).distinct().join(least, "node").where("u <> v").select("u", "v")
+
+    index = own.select("node", "fp", "n", F.explode("keys").alias("key"))
+    first = index.groupBy("key").agg(F.min(F.struct("node", "n", "fp")).alias("first"), F.count(F.lit(1)).alias("members")).where("members > 1").select("key", "first")
+    met = materialise(index.join(first, "key"), "met")
+    to_first = met.where((F.col("node") != F.col("first.node")) & overlap.may(F.col("n"), F.col("first.n")))
+    begun = overlap.verified(to_first.select(F.col("node").alias("u"), F.col("first.node").alias("v")), own, docs, id_column, text, width)
+    edges = materialise(links(rows.select("fp")).union(same).union(begun).distinct(), "links")
+
+    roots = materialise(components(edges), "roots")
+    rooted = lambda name, fp: roots.select(F.col("node").alias(fp), F.col("root").alias(name))
+    now = met.select("key", "node", "n", "fp", F.col("first.node").alias("first"), F.col("first.fp").alias("first_fp")).where("fp <> first_fp")
+    now = now.join(rooted("root", "fp"), "fp", "left").join(rooted("first_root", "first_fp"), "first_fp", "left")
+    apart = now.select("key", "node", "n", F.coalesce("root", "fp").alias("root"), F.coalesce("first_root", "first_fp").alias("first_root")).where("root <> first_root").drop("first_root")
+    rest = met.where(F.col("node") != F.col("first.node")).select("key", F.col("node").alias("other"), F.col("n").alias("other_n"), F.col("fp").alias("other_fp"))
+    crossing = apart.join(rest, "key").where((F.col("node") != F.col("other")) & overlap.may(F.col("n"), F.col("other_n")))
+    crossing = crossing.join(rooted("other_root", "other_fp"), "other_fp", "left").where(F.col("root") != F.coalesce("other_root", "other_fp"))
+    ended = overlap.verified(crossing.select(F.col("node").alias("u"), F.col("other").alias("v")), own, docs, id_column, text, width)
+    return classes(rows.select("doc_id", "fp"), edges=edges.union(ended).distinct())

@@ -29,6 +29,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near duplicates, on shingles of five words: the one with the least id.
 
+    Near are fingerprints within four bits, and all pairs of a shingle similarity of 0.8 or more.
+
     Ids of null come after all others, equal ids go by a hash of the text. Of rows with equal id and
     text one stays.
     """

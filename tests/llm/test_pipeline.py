@@ -1,6 +1,7 @@
 """The pipeline's stages, one after the other, against what their operators decide."""
 
 import hashlib
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -53,3 +54,30 @@ def test_odd_rows(spark, tmp_path):
             df = materialise(stage(spark, df, str(tmp_path)), "odd")
         assert df.count() >= 0
     assert corpus_pipeline.near_dedup(spark, docs.where("doc_id = 1 or doc_id is null"), str(tmp_path)).select("doc_id").collect() == [(1,)]
+
+
+def test_near_dedup_links_all_similar_pairs(spark, tmp_path):
+    """Chains of copies at a similarity of 0.8 and more, at distances far beyond four bits."""
+    draw = random.Random(7)
+    rows = []
+    for k in range(30):
+        words = [f"w{draw.randrange(10**6)}" for _ in range(200)]
+        for step in range(3):
+            rows.append((len(rows), " ".join(words), "en", "a", 0))
+            words = words[:]
+            for at in (20, 90, 160):
+                words[at + step * 6] = f"x{draw.randrange(10**6)}"
+    rows += [(1000 + i, " ".join(f"z{draw.randrange(10**6)}" for _ in range(200)), "en", "a", 0) for i in range(20)]
+    sets = [set(zip(*(r[1].split()[i:] for i in range(5)))) for r in rows]
+    far = 0
+    root = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                far += (simhash.fingerprint(rows[i][1], 5) ^ simhash.fingerprint(rows[j][1], 5)).bit_count() > 4
+                a, b = root[i], root[j]
+                root = [min(a, b) if x in (a, b) else x for x in root]
+    assert far > 20
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = corpus_pipeline.near_dedup(spark, docs, str(tmp_path)).select("doc_id").collect()
+    assert sorted(r[0] for r in got) == sorted({rows[x][0] for x in root})
