@@ -20,6 +20,8 @@ from contrast.llm.common import materialise, words
 STEP = 0.6180339887498949
 #: Slots that a schedule has at least, once there are as many words; twice as many at most.
 SLOTS = 1 << 18
+#: Blocks that a source's target has at least to be met by slots; what is less is taken to the word.
+FINE = 32
 #: Times that a document may be taken.
 REPEATS = 3
 #: Units that targets are rounded to, per word, so that cumulative targets are exact.
@@ -99,13 +101,17 @@ def allot(docs: DataFrame, id_column: str = "doc_id", source: str = "source", te
     """doc_id, source, size, text_hash, source_size, target, taken: how many words the mix takes of each document.
 
     A source's slots take that many blocks of its shuffled words, one after the other and again from
-    the start, up to `repeats` times all. A null text has no words, a null source is a source, rows
+    the start, up to `repeats` times all. A source of few blocks takes its target in whole words instead:
+    slots of several words would miss it or leave it out. A null text has no words, a null source is a source, rows
     without words take none. Repeated rows lie side by side and count each. Needs no unique ids.
     """
     rows = materialise(layout(docs, id_column, source, text), "layout")
     aims = materialise(targets(rows, repeats=repeats), "targets")
     got = schedule(aims, slots).groupBy("source").agg((F.count(F.lit(1)) * F.max("block_words")).alias("__words")).withColumnRenamed("source", "__source")
-    taken = F.least(F.coalesce(F.col("__words"), F.lit(0)), repeats * F.col("source_size"))
+    block = F.greatest(F.lit(1), F.floor(F.col("total") / slots))
+    small = (block > 1) & (F.col("target") < FINE * block)
+    wanted = F.when(small, F.floor(F.col("target") + 0.5)).otherwise(F.coalesce(F.col("__words"), F.lit(0)))
+    taken = F.least(wanted, repeats * F.col("source_size"))
     own = aims.join(got, F.col("source").eqNullSafe(F.col("__source")), "left").select(F.col("source").alias("__source"), "source_size", "target", taken.alias("__taken"))
     before = F.sum("__size").over(Window.partitionBy("__source").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("__size")
     sums = rows.groupBy(F.col("source").alias("__source"), F.col("bucket").alias("__bucket")).agg(F.sum("size").alias("__size"))

@@ -434,3 +434,11 @@ def test_secrets_of_odd_rows(spark, odd, none):
     assert secret_scan.scanned(odd).where("size(secrets) > 0").count() == 0
     assert secret_scan.scanned(odd).count() == len(ODD)
     assert secret_scan.scanned(none).count() == 0
+
+
+def test_small_sources_get_their_target(spark):
+    """Sources far below a block of the schedule are neither left out nor taken too often."""
+    rows = [(i, f"large{i % 3}", "w " * 1000) for i in range(300)] + [(1000 + i, f"small{i:02}", "w " * 20) for i in range(57)]
+    got = mixing.allot(spark.createDataFrame(rows, "doc_id long, source string, text string"), slots=1 << 9).collect()
+    small = [r for r in got if r["source"].startswith("small")]
+    assert [r["taken"] for r in small] == [round(r["target"]) for r in small] == [60] * 57
