@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import replace
+from itertools import count
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -26,17 +27,18 @@ def database_coverage(tx: DataFrame, patterns: DataFrame) -> DataFrame:
     return rules.join(first.select("place").distinct(), "place", "left_semi")
 
 
-def sequential_cover(prep, measure: Measure = FSCORE, rounds: int = 20, options: Options | None = None, strategy: str = "hybrid") -> DataFrame:
+def sequential_cover(prep, measure: Measure = FSCORE, rounds: int | None = None, options: Options | None = None, strategy: str = "hybrid") -> DataFrame:
     """Best pattern, then the best for the positives that it leaves, and so on: place, items, score on what was left.
 
-    The contrast to covering all rows at once: later rules are learnt from fewer positives.
+    The contrast to covering all rows at once: later rules are learnt from fewer positives. Ends when no
+    positives are left or no rule is found; `rounds`, if given, ends it before.
     """
     from contrast.plans.search import mine_topk
 
     spark, left, out = prep.tx.sparkSession, prep.tx, []
-    for place in range(1, rounds + 1):
+    for place in count(1) if rounds is None else range(1, rounds + 1):
         p = left.agg(F.coalesce(F.sum("n_pos"), F.lit(0))).first()[0]
-        if not p:
+        if not p or out and p == out[-1][-1]:
             break
         now = replace(prep, tx=left, p=p)
         best = mine_topk(now, 1, measure, options or Options(), strategy).patterns.select("items", "score").collect()

@@ -367,7 +367,7 @@ def database_coverage(spark, sf_dir):
 
 @query()
 def sequential_cover(spark, sf_dir):
-    return rules.sequential_cover(_prepared(spark, sf_dir), rounds=6, strategy="depth").select("place", "pattern_id", "score", "positives_left")
+    return rules.sequential_cover(_prepared(spark, sf_dir), strategy="depth").select("place", "pattern_id", "score", "positives_left")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from contrast import workloads
 from contrast.functions.measures import FSCORE
 from contrast.functions.patterns import PATTERN
 from contrast.functions.sql import as_predicate, contrast_mine, register_all
@@ -135,3 +136,9 @@ def test_stream_equals_batch(spark, tmp_path, tiny):
     query.stop()
     batch = histograms.window_histogram(histograms.event_rows(source), schema, histograms.tumbling())
     assert sorted(map(tuple, spark.table("hist").collect())) == sorted(map(tuple, batch.collect()))
+
+
+def test_sequential_cover_goes_on_to_the_last_positive(spark):
+    left = [r["positives_left"] for r in workloads.QUERIES["sequential_cover"](spark, "/root/testdata/sf0.01").orderBy("place").collect()]
+    assert len(left) > 6 and left[0] == 58 and left[-1] == 1
+    assert all(a > b for a, b in zip(left, left[1:]))
