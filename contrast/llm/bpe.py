@@ -149,23 +149,23 @@ def _codec(path: str, pattern: str) -> Codec:
     return _codecs[path, pattern]
 
 
-def _mapped(df: DataFrame, column: str, made: str, one) -> DataFrame:
-    """df with a binary column made from another by one(value), row by row in bounded pieces."""
-    kept = [c for c in df.columns if c != made]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*(F.col(f"`{c}`") for c in kept)).schema), f"`{made}` binary"])
+def _mapped(df: DataFrame, column: str, made: tuple[str, ...], one) -> DataFrame:
+    """df with binary columns made from another by one(value), a value for each, row by row in bounded pieces."""
+    kept = [c for c in df.columns if c not in made]
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*(F.col(f"`{c}`") for c in kept)).schema), *(f"`{m}` binary" for m in made)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = one()
         for batch in batches:
-            values, begin, size = [], 0, 0
+            rows, begin, size = [], 0, 0
             source = batch.column(batch.schema.names.index(column))
             for i in range(batch.num_rows):
-                values.append(work(source[i]))
-                size += len(values[-1])
+                rows.append(work(source[i]))
+                size += sum(map(len, rows[-1]))
                 if size >= FLUSH or i + 1 == batch.num_rows:
                     part = batch.slice(begin, i + 1 - begin).select(kept)
-                    yield pa.RecordBatch.from_arrays([*part.columns, pa.array(values, pa.binary())], [*kept, made])
-                    values, begin, size = [], i + 1, 0
+                    yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(values, pa.binary()) for values in zip(*rows))], [*kept, *made])
+                    rows, begin, size = [], i + 1, 0
 
     return df.mapInArrow(run, schema)
 
@@ -179,9 +179,9 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, text: str =
 
     def one():
         packed = _codec(vocabulary, pattern).packed
-        return lambda value: packed(value.as_py() or "")
+        return lambda value: (packed(value.as_py() or ""),)
 
-    return _mapped(docs, text, ids, one)
+    return _mapped(docs, text, (ids,), one)
 
 
 def decode_documents(encoded: DataFrame, vocabulary: str, pattern: str, ids: str = "token_ids", decoded: str = "decoded") -> DataFrame:
@@ -189,9 +189,27 @@ def decode_documents(encoded: DataFrame, vocabulary: str, pattern: str, ids: str
 
     def one():
         decode = _codec(vocabulary, pattern).decode
-        return lambda value: decode(memoryview(value.as_buffer()).cast("I") if value.is_valid and len(value.as_buffer()) else ())
+        return lambda value: (decode(memoryview(value.as_buffer()).cast("I") if value.is_valid and len(value.as_buffer()) else ()),)
 
-    return _mapped(encoded, ids, decoded, one)
+    return _mapped(encoded, ids, (decoded,), one)
+
+
+def round_trip(docs: DataFrame, vocabulary: str, pattern: str, text: str = "text", ids: str = "token_ids", decoded: str = "decoded") -> DataFrame:
+    """docs with the ids of each whole text and the bytes that these ids stand for, both made in one worker.
+
+    The same as decode_documents(encode_documents(docs)), without a second worker that holds the vocabulary.
+    """
+
+    def one():
+        codec = _codec(vocabulary, pattern)
+
+        def both(value) -> tuple[bytes, bytes]:
+            packed = codec.packed(value.as_py() or "")
+            return packed, codec.decode(memoryview(packed).cast("I") if packed else ())
+
+        return both
+
+    return _mapped(docs, text, (ids, decoded), one)
 
 
 def token_count(ids: Column) -> Column:

@@ -44,6 +44,41 @@ ENCODINGS = (
 )
 #: False-discovery rate of the rejections, and the steps that log10 of a p-value is counted in.
 RATE, STEPS, MOST = 0.05, 8, 400
+#: Numbers that are summed one by one.
+PIECE = 64
+
+
+def _plus(a: Column, b: Column) -> Column:
+    return a + b
+
+
+def before(values: Column, both=_plus, levels: int = 3) -> Column:
+    """For each of an array of numbers from 0 on, the sum (or what else `both` makes of two) of those before it.
+
+    Sums run within pieces of PIECE numbers, and in the same way over the pieces, so that no array
+    grows by one number at a time: the work is in proportion to the numbers, as long as they are fewer
+    than PIECE to the power of levels.
+    """
+    none = F.array().cast("array<int>")
+    begin = F.struct(F.lit(0).alias("at"), none.alias("out"))
+
+    def summed(piece: Column) -> Column:
+        return F.aggregate(piece, begin, lambda a, v: F.struct(both(a["at"], v).alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")))
+
+    def of(given: Column) -> Column:
+        if levels == 1:
+            return summed(given)["out"]
+        pieces = F.transform(piece_starts(given), lambda k: summed(F.slice(given, k + 1, F.lit(PIECE))))
+        shifted = lambda parts, after: F.flatten(F.zip_with(parts, after, lambda p, a: F.transform(p["out"], lambda v: both(v, a))))
+        joined = lambda parts: bind(before(F.transform(parts, lambda p: p["at"]), both, levels - 1), lambda after: shifted(parts, after))
+        return F.when(F.size(given) <= PIECE, summed(given)["out"]).otherwise(bind(pieces, joined))
+
+    return bind(values, of)
+
+
+def piece_starts(values: Column) -> Column:
+    """Where the pieces of an array begin, from 0; one piece of an empty array."""
+    return F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.size(values) - 1) / PIECE).cast("int"))), lambda k: k * PIECE)
 
 
 def found(text: Column, pattern: str, kind: int, least: Column | None = None) -> Column:
@@ -53,19 +88,15 @@ def found(text: Column, pattern: str, kind: int, least: Column | None = None) ->
     each match, and those under ASSIGN_LEAST go, after all have been laid out.
     """
     matches = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    empty = F.array().cast("array<struct<start:int,kind:int,end:int,token:string>>")
-
-    def laid(both: Column) -> Column:
-        begin = F.struct(F.lit(0).alias("at"), empty.alias("out"))
-
-        def step(acc: Column, x: Column) -> Column:
-            start = acc["at"] + F.length(x["piece"])
-            end = start + F.length(x["token"])
-            return F.struct(end.alias("at"), F.concat(acc["out"], F.array(F.struct(start.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), x["token"].alias("token")))).alias("out"))
 
-        return F.aggregate(F.filter(both, lambda x: x["token"].isNotNull()), begin, step, lambda acc: acc["out"])
+    def laid(x: Column) -> Column:
+        """x: the lengths of what stands before each match, and the matches."""
+        tokens, gaps = x["tokens"], x["gaps"]
+        begins = lambda after: F.zip_with(F.zip_with(after, gaps, lambda a, g: a + g), tokens, lambda at, t: F.struct(at.alias("start"), F.lit(kind).alias("kind"), (at + F.length(t)).alias("end"), t.alias("token")))
+        return bind(before(F.zip_with(gaps, tokens, lambda g, t: g + F.length(t))), begins)
 
-    spans = bind(F.arrays_zip(F.split(text, pattern).alias("piece"), matches.alias("token")), laid)
+    gaps = lambda found: F.transform(F.slice(F.split(text, pattern), 1, F.size(found)), lambda p: F.length(p))
+    spans = bind(matches, lambda found: bind(F.struct(gaps(found).alias("gaps"), found.alias("tokens")), laid))
     if least is not None:
         spans = F.transform(F.filter(F.arrays_zip(spans.alias("span"), least.alias("n")), lambda x: x["n"] >= ASSIGN_LEAST), lambda x: x["span"])
     return spans
@@ -198,13 +229,24 @@ def count_of(spans: Column, kind: str) -> Column:
 
 
 def redacted(text: Column, spans: Column, mark: str = "[secret]") -> Column:
-    """text with each span, or overlapping spans together, replaced by a mark; without spans it is unchanged."""
-    begin = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
+    """text with each span, or overlapping spans together, replaced by a mark; without spans it is unchanged.
+
+    Spans are by start. Stretches of PIECE spans are cut out of the text first and what stays out of these,
+    so a text isn't walked from its begin for each span.
+    """
+
+    def stretch(marks: Column) -> Column:
+        def cut(part: Column) -> Column:
+            begin = part[0]["at"]
+            own = F.substr(text, begin + 1, F.greatest(F.lit(0), F.element_at(part, -1)["start"] - begin))
+            kept = lambda whole: F.transform(part, lambda x: F.when(x["start"] >= x["at"], F.concat(F.substr(whole, x["at"] - begin + 1, x["start"] - x["at"]), F.lit(mark))).otherwise(""))
+            return F.array_join(bind(own, kept), "")
+
+        rest = F.substr(text, F.array_max(F.transform(marks, lambda x: x["end"])) + 1)
+        return F.concat(F.array_join(F.transform(piece_starts(marks), lambda k: bind(F.slice(marks, k + 1, F.lit(PIECE)), cut)), ""), rest)
 
-    def step(acc: Column, x: Column) -> Column:
-        apart = x["start"] >= acc["at"]
-        out = F.when(apart, F.concat(acc["out"], F.substr(text, acc["at"] + 1, x["start"] - acc["at"]), F.lit(mark))).otherwise(acc["out"])
-        return F.struct(out.alias("out"), F.greatest(acc["at"], x["end"]).alias("at"))
+    def placed(given: Column) -> Column:
+        ends = F.transform(given, lambda x: x["end"])
+        return bind(F.zip_with(given, before(ends, F.greatest), lambda x, at: F.struct(x["start"].alias("start"), x["end"].alias("end"), at.alias("at"))), stretch)
 
-    done = F.aggregate(spans, begin, step, lambda acc: F.concat(acc["out"], F.substr(text, acc["at"] + 1)))
-    return F.when(F.size(spans) == 0, text).otherwise(done)
+    return F.when(F.size(spans) == 0, text).otherwise(bind(spans, placed))
