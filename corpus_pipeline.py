@@ -66,13 +66,16 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def byte_bpe(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, n_tokens, token_ids (little-endian unsigned 32-bit integers) and digests of the ids and of what they decode to."""
+    """doc_id, n_tokens, token_ids (little-endian unsigned 32-bit integers) and digests of the ids and of what they decode to.
+
+    A null or empty text has no tokens and empty token_ids; repeated rows come out repeated, null ids stay null.
+    A text of any length is encoded whole, one row at a time.
+    """
     import public_tokenizers
 
     vocabulary, pattern = public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN
-    encoded = bpe.encode_documents(docs.select("doc_id", "text"), vocabulary, pattern).drop("text")
-    decoded = bpe.decode_documents(encoded, vocabulary, pattern)
-    return decoded.select("doc_id", bpe.token_count(F.col("token_ids")).alias("n_tokens"), "token_ids", F.sha2("token_ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
+    both = bpe.round_trip(docs.select("doc_id", "text"), vocabulary, pattern)
+    return both.select("doc_id", bpe.token_count(F.col("token_ids")).alias("n_tokens"), "token_ids", F.sha2("token_ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
 STAGES = [("quality rules", quality_rules), ("near duplicates", near_dedup), ("secret scans", secret_scans), ("source mix", source_mix), ("byte BPE", byte_bpe)]
