@@ -173,29 +173,36 @@ def by_fingerprint(docs: DataFrame, id_column: str = "doc_id", text: str = "text
 
 
 def sketched(docs: DataFrame, id_column: str, text: str, width: int) -> DataFrame:
-    """doc_id, fp (as simhash gives it), node (a hash of the shingle set), n (its size), keys, of each row."""
+    """doc_id, fp (as simhash gives it), node (a hash of the shingle set), n (its size), keys, minima, of each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, nodes, sizes, keys = [], [], [], []
+            fps, nodes, sizes, keys, minima = [], [], [], [], []
             for value in batch.column(1):
                 parts = list(shingle_hashes(value.as_py().encode().lower().split(), width))
                 found = overlap.distinct(parts)
                 fps.append(fingerprint_of(parts))
                 nodes.append(xxhash.xxh64_intdigest(found.tobytes()))
                 sizes.append(len(found))
-                keys.append(overlap.keys_of(found).view(np.int64))
+                own, least = overlap.keys_of(found)
+                keys.append(own.view(np.int64))
+                minima.append(least)
             signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), signed(fps), signed(nodes), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "fp", "node", "n", "keys"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), signed(fps), signed(nodes), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(minima, pa.binary())], ["doc_id", "fp", "node", "n", "keys", "minima"])
 
     slim = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, fp long, node long, n long, keys array<long>")
+    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, fp long, node long, n long, keys array<long>, minima binary")
 
 
 def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text: str = "text", width: int = WIDTH) -> DataFrame:
-    """doc_id, fp, component_id of every row of docs: linked are SimHash's near duplicates and all pairs that overlap enough."""
+    """doc_id, fp, component_id of every row of docs: linked are SimHash's near duplicates and all pairs that overlap enough.
+
+    Null and empty texts have fingerprint zero and are one class, and so are equal texts, with whatever ids;
+    texts under a shingle's words are one shingle. A text of any length is shingled whole. component_id is the
+    least id, ids of null last; rows come out as often as they come in, an empty table gives none.
+    """
     rows = materialise(sketched(docs, id_column, text, width), "sketches")
-    one = rows.where("n > 0").groupBy("node").agg(F.min("fp").alias("fp"), F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
+    one = rows.where("n > 0").groupBy("node").agg(F.min("fp").alias("fp"), F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"), F.first("minima").alias("minima"))
     own = materialise(one, "nodes")
     least = own.select("node", F.col("fp").alias("v"))
     same = rows.where("n > 0").select("node", F.col("fp").alias("u")).distinct().join(least, "node").where("u <> v").select("u", "v")
@@ -208,12 +215,8 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text: str = "tex
     edges = materialise(links(rows.select("fp")).union(same).union(begun).distinct(), "links")
 
     roots = materialise(components(edges), "roots")
-    rooted = lambda name, fp: roots.select(F.col("node").alias(fp), F.col("root").alias(name))
-    now = met.select("key", "node", "n", "fp", F.col("first.node").alias("first"), F.col("first.fp").alias("first_fp")).where("fp <> first_fp")
-    now = now.join(rooted("root", "fp"), "fp", "left").join(rooted("first_root", "first_fp"), "first_fp", "left")
-    apart = now.select("key", "node", "n", F.coalesce("root", "fp").alias("root"), F.coalesce("first_root", "first_fp").alias("first_root")).where("root <> first_root").drop("first_root")
-    rest = met.where(F.col("node") != F.col("first.node")).select("key", F.col("node").alias("other"), F.col("n").alias("other_n"), F.col("fp").alias("other_fp"))
-    crossing = apart.join(rest, "key").where((F.col("node") != F.col("other")) & overlap.may(F.col("n"), F.col("other_n")))
-    crossing = crossing.join(rooted("other_root", "other_fp"), "other_fp", "left").where(F.col("root") != F.coalesce("other_root", "other_fp"))
-    ended = overlap.verified(crossing.select(F.col("node").alias("u"), F.col("other").alias("v")), own, docs, id_column, text, width)
+    placed = met.select("key", "node", "fp").join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("key", "node", F.coalesce("root", "fp").alias("root"))
+    several = placed.groupBy("key").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("key")
+    members = placed.join(several, "key", "left_semi").join(own.select("node", "n", "keys", "minima"), "node")
+    ended = overlap.verified(overlap.likely(members), own, docs, id_column, text, width)
     return classes(rows.select("doc_id", "fp"), edges=edges.union(ended).distinct())
