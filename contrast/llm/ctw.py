@@ -1,370 +1,261 @@
 """Language-model scoring by context-tree weighting over bytes.
 
-A text is a sequence of words and of breaks between them. A word is coded byte by byte, with an end
-mark; each byte is eight binary decisions, from its highest bit. The context of a byte is what comes
-before it in its word, nearest byte first and the word's begin last, up to a depth. Every context that
-the training words hold often enough is a node; what a node's less frequent extensions hold goes to
-one further child. In each node, a Krichevsky-Trofimov estimate stands for each of the 255 decisions,
-and the weighting of all prunings of the tree gives each decision's probability: a node's own estimate
-counts for one half, the product of its children for the other, all through the depths. Breaks are
-coded by their own estimates: which break, whether another follows, whether the text ends.
-
-Training gathers all words of all training texts with their counts, so it grows with the corpus. The
-tree is bounded: a context needs a set share of all bytes, so there can't be more than the inverse of
-that share at any depth. Words above a share of all tokens, again a bounded number, are looked up in a
-broadcast table; the others meet their scores by a join on the word.
+A text, A-Z in lower case, is coded byte by byte, with an end mark. Each byte is eight binary decisions,
+from its highest bit. The contexts of a byte are the bytes before it, none to DEPTH of them, nearest first,
+across words and breaks; before a text's begin stand marks. Every context that the training texts hold is
+a node of the tree, however rare, so the tree grows with the corpus. In each node, a Krichevsky-Trofimov
+estimate stands for each decision, and the weighting of all prunings gives its probability: a node's own
+estimate counts for one half, the product of its children for the other, through all depths. What a
+node lacks has no counts, and its estimate is one half.
+
+Nothing of this is held by one machine. The tree is a table of (context, decision, counts) for each
+depth; evidence goes up by sums over contexts without their farthest byte, and predictions come down by
+joins on them. Texts meet their prices in chunks: a chunk names its distinct pairs of context and byte and
+its distinct words once, these meet tree and word counts by equal-key joins, and what comes back to the
+chunk prices its texts, which were packed beside.
 """
 
 from __future__ import annotations
 
 import math
-import pickle
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+import zstandard
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from contrast.llm.common import crc_remainder, materialise
 
-#: Bytes of a context at most; with the byte that follows it fits one number.
-DEPTH = 7
-#: A context holds at least one in so many of all bytes; so many contexts a tree has at most.
-SHARE, CONTEXTS = 1 << 16, 1 << 15
-#: A word in the broadcast table is at least one in so many of all tokens.
-FREQUENT = 1 << 20
-#: Words that are taken apart together.
-BLOCK = 100_000
-#: The byte that stands for a word's end, and in contexts for its begin; UTF-8 has no such byte.
+#: Bytes of a context at most; with the byte that follows they fit a positive number.
+DEPTH = 5
+#: The byte before a text's begin and at its end; UTF-8 has no such byte.
 MARK = 0xFF
-BREAKS = b" \t\n\x0b\x0c\r"
-#: Counts of a text besides its words': each break, further breaks in a row, begin with a break, texts.
-OTHER = len(BREAKS) + 3
-
-
-def text_parts(text: str | None) -> tuple[Counter, list[int]]:
-    """Counts of a text's words, lower case for A-Z, and the OTHER counts."""
-    data = (text or "").encode().lower()
-    words = data.split()
-    breaks = [data.count(bytes([b])) for b in BREAKS]
-    starts = bool(data) and data[:1] in BREAKS
-    ends = bool(data) and data[-1:] in BREAKS
-    runs = max(0, len(words) - 1) + (starts + ends if words else starts)
-    return Counter(words), [*breaks, sum(breaks) - runs, int(starts), 1]
-
-
-def kt(ones, zeros):
-    """The Krichevsky-Trofimov probability of a one."""
-    return (ones + 0.5) / (ones + zeros + 1)
-
-
-def break_scores(total: list[float], n_words: float) -> tuple[list[float], float, float, float, float, float, float]:
-    """log10 probabilities: each break, another follows, none follows, begins with a break, with none, the text ends, it goes on."""
-    breaks, again, starts, texts = total[: len(BREAKS)], total[-3], total[-2], total[-1]
-    every = sum(breaks)
-    which = [math.log10((b + 0.5) / (every + 0.5 * len(BREAKS))) for b in breaks]
-    more, start, end = kt(again, every - again), kt(starts, texts - starts), kt(texts, n_words)
-    return which, math.log10(more), math.log10(1 - more), math.log10(start), math.log10(1 - start), math.log10(end), math.log10(1 - end)
+#: Bytes of texts in a chunk, from which on it is closed, and of those whose pairs are made at once.
+CHUNK, PART = 48 << 20, 4 << 20
+#: Rows of a result that are handed on together.
+ROWS = 1 << 18
+
+
+class Texts:
+    """Some texts in lower case: their bytes, where each begins and ends, and the pairs of context and byte."""
+
+    def __init__(self, texts: pa.Array):
+        plain = pc.fill_null(texts.cast(pa.large_string()), "")
+        offsets = np.frombuffer(plain.buffers()[1], np.int64, len(plain) + 1, plain.offset * 8)
+        whole = plain.buffers()[2]
+        self.data = whole.slice(offsets[0], offsets[-1] - offsets[0]).to_pybytes().lower() if whole is not None else b""
+        self.ends = offsets - offsets[0]
+
+    def __len__(self) -> int:
+        return len(self.ends) - 1
+
+    def parts(self, part: int = PART) -> Iterator[tuple[int, int]]:
+        """Ranges of texts of some bytes each; a longer text is alone."""
+        begin = 0
+        while begin < len(self):
+            end = int(np.searchsorted(self.ends, self.ends[begin] + part, side="right")) - 1
+            end = min(max(end, begin + 1), len(self))
+            yield begin, end
+            begin = end
+
+    def pairs(self, begin: int, end: int, depth: int) -> tuple[np.ndarray, np.ndarray]:
+        """Of each byte and end mark of these texts: context and byte as a number, and which text."""
+        mark = bytes([MARK]) * depth
+        texts = [self.data[self.ends[i] : self.ends[i + 1]] for i in range(begin, end)]
+        data = np.frombuffer(mark + mark.join(texts) + mark, np.uint8)
+        sizes = np.diff(self.ends[begin : end + 1]) + 1
+        owner = np.repeat(np.arange(begin, end), sizes)
+        at = np.arange(len(owner)) + depth + (owner - begin) * (depth - 1)
+        keys = np.zeros(len(data) - depth, np.int64)
+        for k in range(depth + 1):  # the byte itself lowest, then the farthest; the nearest highest
+            keys |= data[depth - k : len(data) - k].astype(np.int64) << (8 * (depth - k + 1) if k else 0)
+        return keys[at - depth], owner
+
+    def words(self, begin: int, end: int) -> tuple[pa.Array, np.ndarray]:
+        """All words of these texts in order, and which text each is in."""
+        ends = self.ends[begin : end + 1]
+        data = pa.py_buffer(self.data[ends[0] : ends[-1]])
+        plain = pa.Array.from_buffers(pa.large_string(), end - begin, [None, pa.py_buffer((ends - ends[0]).astype(np.int64).tobytes()), data])
+        split = pc.ascii_split_whitespace(plain)
+        found, owner = split.flatten(), pc.list_parent_indices(split).to_numpy()
+        some = pc.greater(pc.binary_length(found), 0)
+        return found.filter(some).cast(pa.large_binary()), owner[some.to_numpy(zero_copy_only=False)] + begin
+
+
+def _counted(values: pa.Array, weights: np.ndarray) -> tuple[pa.Array, np.ndarray]:
+    """Distinct values and the sums of their weights."""
+    coded = values.dictionary_encode()
+    return coded.dictionary, np.bincount(coded.indices.to_numpy(), weights, len(coded.dictionary)).astype(np.int64)
+
+
+def gathered(rows: DataFrame, depth: int, most: int = CHUNK, part: int = PART) -> DataFrame:
+    """chunk, packed, gram, word, n: what each chunk of rows (doc_id, text, held_out) has.
+
+    Rows with `packed` hold some of its texts and how many of them are for training; others a distinct
+    pair of context and byte, or a distinct word, and how often the training texts have it (0 of those
+    that only others have).
+    """
+    fields = pa.schema([("chunk", pa.int64()), ("packed", pa.binary()), ("gram", pa.int64()), ("word", pa.binary()), ("n", pa.int64())])
+
+    def batch_of(chunk: int, n: np.ndarray, **given) -> pa.RecordBatch:
+        columns = {"chunk": pa.array(np.full(len(n), chunk)), "n": pa.array(n, pa.int64())} | given
+        return pa.RecordBatch.from_arrays([columns[f.name].cast(f.type) if f.name in columns else pa.nulls(len(n), f.type) for f in fields], schema=fields)
+
+    def closed(chunk: int, held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        grams, words = [], []
+        for batch in held:
+            texts, learn = Texts(batch.column("text")), 1 - batch.column("held_out").cast(pa.int8()).to_numpy()
+            for begin, end in texts.parts(part):
+                keys, owner = texts.pairs(begin, end, depth)
+                grams.append(_counted(pa.array(keys), learn[owner]))
+                found, owner = texts.words(begin, end)
+                words.append(_counted(found, learn[owner]))
+                own = batch.slice(begin, end - begin)
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, own.schema) as writer:
+                    writer.write_batch(own)
+                yield batch_of(chunk, np.array([learn[begin:end].sum()]), packed=pa.array([zstandard.compress(sink.getvalue().to_pybytes(), 1)], pa.binary()))
+        for name, found in (("gram", grams), ("word", words)):
+            values, n = _counted(pa.concat_arrays([v for v, _ in found]), np.concatenate([k for _, k in found]))
+            for begin in range(0, len(values), ROWS):
+                yield batch_of(chunk, n[begin : begin + ROWS], **{name: values.slice(begin, ROWS)})
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
 
-def score_of_breaks(other: list[int], n_words: int, scores) -> float:
-    which, more, single, start, plain, end, goes_on = scores
-    breaks, again, starts = other[: len(BREAKS)], other[-3], other[-2]
-    every = sum(breaks)
-    return sum(n * w for n, w in zip(breaks, which)) + again * more + (every - again) * single + (start if starts else plain) + end + n_words * goes_on
+        chunk, held, size = TaskContext.get().partitionId() << 32, [], 0
+        for batch in batches:
+            if batch.num_rows:
+                held.append(batch)
+                size += batch.nbytes
+            if size >= most:
+                yield from closed(chunk, held)
+                chunk, held, size = chunk + 1, [], 0
+        if held:
+            yield from closed(chunk, held)
+
+    return rows.select("doc_id", "text", "held_out").mapInArrow(run, "chunk long, packed binary, gram long, word binary, n long")
+
+
+def log_gamma(x: Column) -> Column:
+    """Of arguments from one half on: a series after a shift by eight."""
+    shift = x
+    for k in range(1, 8):
+        shift = shift * (x + k)
+    z = x + 8
+    return (z - 0.5) * F.log(z) - z + 0.5 * math.log(2 * math.pi) + 1 / (12 * z) - 1 / (360 * z * z * z) + 1 / (1260 * z * z * z * z * z) - F.log(shift)
 
 
-def _log_gamma(x: np.ndarray) -> np.ndarray:
-    """Of arguments from one half on, by a series after a shift."""
-    shift = np.zeros_like(x)
-    for k in range(8):
-        shift += np.log(x + k)
-    z = x + 8
-    return (z - 0.5) * np.log(z) - z + 0.5 * np.log(2 * np.pi) + 1 / (12 * z) - 1 / (360 * z**3) + 1 / (1260 * z**5) - shift
+def evidence(zeros: Column, ones: Column) -> Column:
+    """Log probability of the counts under the Krichevsky-Trofimov estimator, in any order."""
+    zeros, ones = zeros.cast("double"), ones.cast("double")
+    return F.when(zeros + ones == 0, 0.0).otherwise(log_gamma(zeros + 0.5) + log_gamma(ones + 0.5) - log_gamma(zeros + ones + 1) - math.log(math.pi))
 
 
-def _log_evidence(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
-    """Log probability of the counts under the estimator, in any order."""
-    out = np.zeros(zeros.shape)
-    some = zeros + ones > 0
-    a, b = zeros[some], ones[some]
-    out[some] = _log_gamma(a + 0.5) + _log_gamma(b + 0.5) - _log_gamma(a + b + 1) - math.log(math.pi)
-    return out
+def log_sum(a: Column, b: Column) -> Column:
+    return F.greatest(a, b) + F.log1p(F.exp(-F.abs(a - b)))
 
 
-class Positions:
-    """All bytes of some words, their ends included, with what comes before each.
+def levels(grams: DataFrame, depth: int) -> list[DataFrame]:
+    """For each depth: context, decision, zeros, ones, below (log evidence of the children), weighted.
 
-    near: the DEPTH bytes before, the nearest highest, in the upper bytes of a number. reach: how many
-    of them lie in the word, its begin mark included. byte, word: what follows, and in which word.
+    grams: gram, n. A decision is 1, and below it the bits before it. The deepest table also says which of
+    the two bytes that a last decision parts are asked for (no, yes).
     """
+    byte = F.col("gram").bitwiseAND(F.lit(255)).cast("int")
+    taken = F.array(*(F.struct((F.shiftright(byte, 8 - b) + (1 << b)).alias("decision"), F.shiftright(byte, 7 - b).bitwiseAND(F.lit(1)).alias("bit")) for b in range(8)))
+    each = grams.select(F.shiftright("gram", 8).alias("context"), "n", F.explode(taken).alias("d")).select("context", "n", "d.*")
+    sums = each.groupBy("context", "decision").agg(F.sum(F.expr("if(bit = 0, n, 0)")).alias("zeros"), F.sum(F.expr("if(bit = 1, n, 0)")).alias("ones"), F.max(F.col("bit") == 0).alias("no"), F.max(F.col("bit") == 1).alias("yes"))
+    out = [materialise(sums.select("*", F.lit(0.0).alias("below"), evidence(F.col("zeros"), F.col("ones")).alias("weighted")), f"contexts_{depth}")]
+    for d in range(depth - 1, -1, -1):
+        up = out[0].groupBy(F.shiftright("context", 8).alias("context"), "decision").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("weighted").alias("below"))
+        own = up.withColumn("own", evidence(F.col("zeros"), F.col("ones")))
+        out.insert(0, materialise(own.select("context", "decision", "zeros", "ones", "below", (log_sum(F.col("own"), F.col("below")) + math.log(0.5)).alias("weighted")), f"contexts_{d}"))
+    return out
 
-    def __init__(self, words: list[bytes]):
-        mark = bytes([MARK])
-        data = np.frombuffer(mark + mark.join(words) + mark, np.uint8) if words else np.zeros(1, np.uint8)
-        self.byte = data[1:]
-        self.near = np.zeros(len(self.byte), np.uint64)
-        for k in range(DEPTH):
-            self.near[k:] |= data[: len(self.byte) - k].astype(np.uint64) << np.uint64(56 - 8 * k)
-        begins = np.where(data[:-1] == MARK, np.arange(len(self.byte)), 0)
-        self.reach = np.arange(len(self.byte)) - np.maximum.accumulate(begins) + 1
-        self.word = np.cumsum(data[:-1] == MARK) - 1
-
-    def contexts(self, depth: int, at: np.ndarray) -> np.ndarray:
-        """The contexts of a depth before some places, as numbers; the places must reach as far."""
-        return self.near[at] & np.uint64((1 << 64) - (1 << 64 - 8 * depth))
-
-
-def _sums(keys: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys and the sums of their weights."""
-    found, place = np.unique(keys, return_inverse=True)
-    return found, np.bincount(place, weights, len(found)).astype(np.int64)
-
-
-def _within(sorted_keys: np.ndarray, keys: np.ndarray) -> np.ndarray:
-    """The place of each key among sorted ones, or -1."""
-    if not len(sorted_keys):
-        return np.full(len(keys), -1)
-    at = np.minimum(np.searchsorted(sorted_keys, keys), len(sorted_keys) - 1)
-    return np.where(sorted_keys[at] == keys, at, -1)
-
-
-class Tree:
-    """The weighted tree as a table of log10 probabilities: of each byte, in each context's last place."""
-
-    def __init__(self, keys: list[np.ndarray], held: np.ndarray):
-        """keys: for each depth the contexts, sorted; held: for each context, by depth, how often each byte follows."""
-        self.keys = keys
-        self.begin = np.cumsum([0, *map(len, keys)])
-        depth = np.repeat(np.arange(len(keys)), [len(k) for k in keys])
-        parent = np.full(len(depth), -1)
-        for d in range(1, len(keys)):
-            up = keys[d] & np.uint64((1 << 64) - (1 << 72 - 8 * d)) if d > 1 else np.zeros_like(keys[d])
-            parent[self.begin[d] : self.begin[d + 1]] = self.begin[d - 1] + _within(keys[d - 1], up)
-        inner = np.zeros(len(depth), bool)
-        inner[parent[1:]] = True
-        rest = held.copy()  # of an inner node: what no child of the tree holds
-        np.subtract.at(rest, parent[1:], held[1:])
-        self.table = np.zeros((len(depth), 256), np.float32)
-        for bit in range(8):
-            shape = (len(depth), 1 << bit, 2, 128 >> bit)
-            for some in range(0, 1 << bit, 16):  # decisions don't touch each other
-                own, other = (x.reshape(shape)[:, some : some + 16].sum(axis=3, dtype=np.float64) for x in (held, rest))
-                chance = self._weighted(own, other, parent, depth, inner)
-                logs = np.log10(np.stack([1 - chance, chance], axis=2)).reshape(len(depth), -1)
-                wide = np.repeat(logs, 128 >> bit, axis=1)
-                at = some * (256 >> bit)
-                self.table[:, at : at + wide.shape[1]] += wide
-
-    @staticmethod
-    def _weighted(own: np.ndarray, other: np.ndarray, parent: np.ndarray, depth: np.ndarray, inner: np.ndarray) -> np.ndarray:
-        """The chance of a one for each context and decision, as seen by what ends in that context."""
-        zeros, ones = own[:, :, 0], own[:, :, 1]
-        evidence = _log_evidence(zeros, ones)
-        below = np.where(inner[:, None], _log_evidence(other[:, :, 0], other[:, :, 1]), 0.0)
-        weighted = evidence.copy()
-        for d in range(depth.max(), -1, -1):
-            at = np.flatnonzero(depth == d)
-            both = at[inner[at]]
-            weighted[both] = np.logaddexp(evidence[both], below[both]) + math.log(0.5)
-            if d:
-                np.add.at(below, parent[at], weighted[at])
-        stop = np.where(inner[:, None], np.exp(math.log(0.5) + evidence - weighted), 1.0)
-        estimate = kt(ones, zeros)
-        left, seen = np.ones_like(stop), np.zeros_like(stop)  # weight that goes on, and chance gathered above
-        for d in range(1, depth.max() + 1):
-            at = np.flatnonzero(depth == d)
-            up = parent[at]
-            seen[at] = seen[up] + left[up] * stop[up] * estimate[up]
-            left[at] = left[up] * (1 - stop[up])
-        last = np.where(inner[:, None], stop * estimate + (1 - stop) * kt(other[:, :, 1], other[:, :, 0]), estimate)
-        return np.clip(seen + left * last, 1e-9, 1 - 1e-9)
-
-    def scores(self, words: list[bytes]) -> np.ndarray:
-        """log10 probability of each word and its end."""
-        where = Positions(words)
-        row = np.zeros(len(where.byte), np.int64)
-        at = np.arange(len(row))
-        for d in range(1, len(self.keys)):
-            at = at[where.reach[at] >= d]
-            found = _within(self.keys[d], where.contexts(d, at))
-            at, found = at[found >= 0], found[found >= 0]
-            row[at] = self.begin[d] + found
-        return np.bincount(where.word, self.table[row, where.byte], len(words))
-
-
-def training_words(docs: DataFrame, id_column: str, text: str, modulus: int, out: int) -> tuple[DataFrame, list[float], int]:
-    """(word, n, known) of all words, n in all texts and known in training texts; OTHER counts and words of training texts.
-
-    Words are counted in each task first.
-    """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        other = {False: np.zeros(OTHER, np.int64), True: np.zeros(OTHER, np.int64)}
-        for batch in batches:
-            parts = {False: Counter(), True: Counter()}
-            for value, learn in zip(batch.column(0), batch.column(1).to_pylist()):
-                words, rest = text_parts(value.as_py())
-                parts[learn].update(words)
-                other[learn] += rest
-            for learn, found in parts.items():
-                yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.binary()), pa.array(list(found.values()), pa.int64()), pa.array([learn] * len(found), pa.bool_()), pa.nulls(len(found), pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
-        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.binary()), pa.array([0], pa.int64()), pa.array([True], pa.bool_()), pa.array([other[True].tolist()], pa.list_(pa.int64()))], ["word", "n", "learn", "other"])
-
-    slim = docs.select(F.col(text).alias("text"), (crc_remainder(F.col(id_column), modulus) != out).alias("learn"))
-    counted = materialise(slim.mapInArrow(run, "word binary, n long, learn boolean, other array<long>"), "word_counts")
-    total = counted.where("other is not null").agg(*(F.coalesce(F.sum(F.col("other")[i]), F.lit(0)) for i in range(OTHER))).first()
-    words = materialise(counted.where("word is not null").groupBy("word").agg(F.sum("n").alias("n"), F.coalesce(F.sum(F.expr("if(learn, n, 0)")), F.lit(0)).alias("known")), "words")
-    return words, [float(x) for x in total], words.agg(F.coalesce(F.sum("known"), F.lit(0))).first()[0]
-
-
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[Positions, np.ndarray]]:
-    """Positions of the words in the first column, and the count of each position's word from the second."""
-    for batch in batches:
-        for begin in range(0, batch.num_rows, BLOCK):
-            part = batch.slice(begin, BLOCK)
-            where = Positions(part.column(0).to_pylist())
-            yield where, part.column(1).to_numpy(zero_copy_only=False)[where.word]
-
-
-def frequent_contexts(words: DataFrame, share: int = SHARE) -> list[np.ndarray]:
-    """For each depth, sorted, the contexts that may hold one in `share` of all bytes, and few others.
-
-    A context that holds its share of all words' bytes holds it in one of any blocks they are cut into,
-    so every block names those of its own. The share grows where they would be too many to send.
-    """
+def priced(grams: DataFrame, depth: int) -> DataFrame:
+    """gram, price: the log10 probability of the byte in its context, from training counts n of all grams."""
+    tables = levels(grams, depth)
+    # of a zero and of a one, each by itself: near one, a difference would lose a small chance
+    estimates = {name: (F.col(name) + 0.5) / (F.col("zeros") + F.col("ones") + 1) for name in ("zeros", "ones")}
+    # weight that has come down to a node, and chances gathered above it
+    now = tables[0].select("*", F.lit(1.0).alias("left"), *(F.lit(0.0).alias(f"seen_{name}") for name in estimates))
+    for table in tables[1:]:
+        more = F.col("below") - evidence(F.col("zeros"), F.col("ones"))
+        go, stop = 1 / (1 + F.exp(-more)), 1 / (1 + F.exp(more))  # one in all, however large the evidence
+        seen = [(F.col(f"seen_{name}") + F.col("left") * stop * e).alias(f"seen_{name}") for name, e in estimates.items()]
+        above = now.select(F.col("context").alias("up"), "decision", (F.col("left") * go).alias("left"), *seen)
+        now = table.withColumn("up", F.shiftright("context", 8)).join(above, ["up", "decision"]).drop("up")
+    zero, one = (F.log10(F.col(f"seen_{name}") + F.col("left") * e).alias(name) for name, e in estimates.items())
+    # a context has 255 decisions at most
+    whole = now.select("context", "decision", zero, one, "no", "yes").groupBy("context").agg(
+        F.map_from_entries(F.collect_list(F.struct("decision", F.struct("zeros", "ones")))).alias("prices"),
+        F.collect_list(F.when((F.col("decision") >= 128) & F.col("no"), 2 * F.col("decision") - 256)).alias("nos"),
+        F.collect_list(F.when((F.col("decision") >= 128) & F.col("yes"), 2 * F.col("decision") - 255)).alias("yess"),
+    )
+    each = whole.select("context", "prices", F.explode(F.concat("nos", "yess")).alias("byte"))
+    price = F.lit(0.0)
+    for b in range(8):
+        own = F.element_at("prices", F.shiftright("byte", 8 - b) + (1 << b))
+        price = price + F.when(F.shiftright("byte", 7 - b).bitwiseAND(F.lit(1)) == 1, own["ones"]).otherwise(own["zeros"])
+    return each.select((F.shiftleft("context", 8) + F.col("byte")).alias("gram"), price.alias("price"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for where, weight in _blocks(batches):
-            at, every = np.arange(len(weight)), weight.sum()
-            for d in range(1, DEPTH + 1):
-                at = at[where.reach[at] >= d]
-                keys, sums = _sums(where.contexts(d, at), weight[at])
-                large = sums * share >= every
-                keys, sums = keys[large], sums[large]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), d, np.int32)), pa.array(keys.view(np.int64)), pa.array(sums / max(every, 1))], ["depth", "context", "part"])
-
-    named = words.where("known > 0").select("word", "known").mapInArrow(run, "depth int, context long, part double")
-    most = materialise(named.groupBy("depth", "context").agg(F.max("part").alias("part")), "frequent_contexts")
-    while most.where(F.col("part") * share >= 1).count() > 8 * CONTEXTS:
-        share //= 2
-    got = most.where(F.col("part") * share >= 1).toArrow()
-    depth, keys = got["depth"].to_numpy(), got["context"].to_numpy().view(np.uint64)
-    return [np.zeros(1, np.uint64), *(np.sort(keys[depth == d]) for d in range(1, DEPTH + 1))]
-
-
-def grow(words: DataFrame, share: int = SHARE, limit: int = CONTEXTS) -> Tree:
-    """The tree of the contexts that hold their share of all training bytes, counted over all words.
-
-    If more do than the limit, those stay that hold the most, down to a power of two. A context never
-    holds more than the shorter one it extends, so with each context the tree has all shorter ones.
-    """
-    candidates = frequent_contexts(words, share)
-    sent = words.sparkSession.sparkContext.broadcast(candidates)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for where, weight in _blocks(batches):
-            at = np.arange(len(weight))
-            for d, known in enumerate(sent.value):
-                at = at[where.reach[at] >= d]
-                found = _within(known, where.contexts(d, at) if d else np.zeros(len(at), np.uint64))
-                at, found = at[found >= 0], found[found >= 0]
-                grams, sums = _sums(found * 256 + where.byte[at], weight[at])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), d, np.int32)), pa.array(grams // 256), pa.array((grams % 256).astype(np.int32)), pa.array(sums)], ["depth", "place", "byte", "n"])
-
-    grams = words.where("known > 0").select("word", "known").mapInArrow(run, "depth int, place long, byte int, n long").groupBy("depth", "place", "byte").agg(F.sum("n").alias("n")).toArrow()
-    begin = np.cumsum([0, *map(len, candidates)])
-    held = np.zeros((begin[-1], 256), np.float32)
-    place = begin[grams["depth"].to_numpy()] + grams["place"].to_numpy()
-    held[place, grams["byte"].to_numpy()] = grams["n"].to_numpy()
-    total = held.sum(axis=1, dtype=np.float64)
-    least, levels = total[0] / share, np.floor(np.log2(np.maximum(total, 1)))
-    for level in range(64):
-        stays = (total >= least) & (levels >= level)
-        stays[0] = True
-        if stays.sum() <= limit:
-            break
-    kept = [k[stays[begin[d] : begin[d + 1]]] for d, k in enumerate(candidates)]
-    return Tree(kept, held[stays])
-
-
-def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modulus: int = 7, out: int = 2) -> DataFrame:
+def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modulus: int = 7, out: int = 2, depth: int = DEPTH, most: int = CHUNK, part: int = PART) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of each whole text.
 
     Learns from the rows whose crc32 of the id, modulo a number, isn't `out`. Tokens are the words and
-    one end. score is the tree's log10 probability of the text with A-Z in lower case, breaks
+    one end. score is the tree's log10 probability of the text with A-Z in lower case, breaks and end
     included; bits_per_byte is its code length over its bytes (one at least). base_score is the
-    add-one estimate of the tokens. Null texts are empty; repeated rows come out repeated. With no
-    training text all estimates are those of no counts.
+    add-one estimate of the tokens. Null texts are empty; repeated rows come out repeated, null ids stay
+    null. most and part: bytes of a chunk and of what is made at once. With no training text all estimates are those of no counts: one bit for each decision.
     """
-    spark = docs.sparkSession
+    if not 0 < depth <= 6:
+        raise ValueError("a context has one to six bytes")
     held_out = crc_remainder(F.col(id_column), modulus) == out
-    rows = docs.select(F.col(id_column).alias("doc_id"), F.col(text).alias("text"), held_out.alias("held_out")).withColumn("row", F.monotonically_increasing_id())
-    words, other, known_words = training_words(docs, id_column, text, modulus, out)
-    texts = int(other[-1])
-    n_train = known_words + texts
-    distinct = words.where("known > 0").count() + (texts > 0)
-    tree = grow(words)
-    breaks = break_scores(other, known_words)
-    floor = n_train + distinct + 1
-    tree_sent = spark.sparkContext.broadcast(pickle.dumps(tree))
-
-    def word_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree = pickle.loads(tree_sent.value)
-        for batch in batches:
-            for begin in range(0, batch.num_rows, BLOCK):
-                part = batch.slice(begin, BLOCK)
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(tree.scores(part.column(0).to_pylist()))], [*part.schema.names, "score"])
-
-    priced = materialise(words.mapInArrow(word_scores, "word binary, n long, known long, score double"), "priced")
-    every = priced.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    frequent = priced.where(F.col("n") * FREQUENT >= every)
-    few = frequent.select("word", "known", "score").toArrow()
-    known = dict(zip(few["word"].to_pylist(), zip(few["known"].to_pylist(), few["score"].to_pylist())))
-    known_sent = spark.sparkContext.broadcast(pickle.dumps(known))
-
-    def one_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """What frequent words give a row, and its other words with their counts."""
-        look = pickle.loads(known_sent.value).get
-        for batch in batches:
-            made: list[tuple] = []
-            size = 0
-            for value in batch.column(batch.schema.names.index("text")):
-                found, rest = text_parts(value.as_py())
-                n = sum(found.values())
-                in_train, base, score, rare = 0, 0.0, score_of_breaks(rest, n, breaks), []
-                for word, k in found.items():
-                    if (seen := look(word)) is None:
-                        rare.append((word, k))
-                    else:
-                        in_train += k * (seen[0] > 0)
-                        base += k * math.log10((seen[0] + 1) / floor)
-                        score += k * seen[1]
-                made.append((n, in_train, base, score, len((value.as_py() or "").encode()), [{"word": w, "k": k} for w, k in rare]))
-                size += len(rare)
-            columns = [pa.array(x) for x in list(zip(*made))[:5]] if made else [pa.array([], t) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64())]
-            rare_type = pa.list_(pa.struct([("word", pa.binary()), ("k", pa.int64())]))
-            keep = batch.select(["doc_id", "held_out", "row"])
-            yield pa.RecordBatch.from_arrays([*keep.columns, *columns, pa.array([m[5] for m in made], rare_type)], [*keep.schema.names, "n", "in_train", "base", "score", "bytes", "rare"])
-
-    schema = f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, held_out boolean, row long, n long, in_train long, base double, score double, bytes long, rare array<struct<word: binary, k: long>>"
-    first = materialise(rows.mapInArrow(one_pass, schema), "frequent_parts")
-    uncommon = first.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.k")
-    prices = priced.where(F.col("n") * FREQUENT < every).select("word", "known", F.col("score").alias("price"))
-    term = lambda e, name: F.sum(F.expr(e)).alias(name)
-    later = uncommon.join(prices, "word").groupBy("row").agg(term("if(known > 0, k, 0)", "__in"), F.sum(F.col("k") * F.log10((F.col("known") + 1) / F.lit(float(floor)))).alias("__base"), term("k * price", "__score"))
-    end_base = math.log10((texts + 1) / floor)
-    add = lambda a, b: F.col(a) + F.coalesce(F.col(b), F.lit(0))
-    score = add("score", "__score")
-    return first.drop("rare").join(later, "row", "left").select(
-        "doc_id",
-        "held_out",
-        (F.col("n") + 1).alias("n_tokens"),
-        (add("in_train", "__in") + (1 if texts else 0)).cast("long").alias("n_known"),
-        F.lit(n_train).cast("long").alias("train_tokens"),
-        (add("base", "__base") + end_base).alias("base_score"),
-        score.alias("score"),
-        (-score * math.log2(10) / F.greatest(F.col("bytes"), F.lit(1))).alias("bits_per_byte"),
-    )
+    rows = docs.select(F.col(id_column).alias("doc_id"), F.col(text).alias("text"), held_out.alias("held_out"))
+    chunks = materialise(gathered(rows, depth, most, part), "chunks")
+    texts = chunks.where("packed is not null").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    words = materialise(chunks.where("word is not null").groupBy("word").agg(F.sum("n").alias("value")).where("value > 0"), "words")
+    known, distinct = words.agg(F.coalesce(F.sum("value"), F.lit(0)), F.count(F.lit(1))).first()
+    n_train, floor = known + texts, float(known + texts + distinct + (texts > 0) + 1)
+    end_base, some = math.log10((texts + 1) / floor), int(texts > 0)
+    prices = materialise(priced(chunks.where("gram is not null").groupBy("gram").agg(F.sum("n").alias("n")), depth), "prices")
+    asked = chunks.where("gram is not null").select("chunk", "gram").join(prices, "gram").select("chunk", "gram", F.lit(None).cast("binary").alias("word"), F.col("price").alias("value"))
+    met = chunks.where("word is not null").select("chunk", "word").join(words, "word").select("chunk", F.lit(None).cast("long").alias("gram"), "word", F.col("value").cast("double").alias("value"))
+    kind = rows.schema["doc_id"].dataType.simpleString()
+    names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
+
+    def one(packed: pa.Table, answers: pa.Table) -> pa.Table:
+        gram = answers.filter(pc.is_valid(answers["gram"]))
+        grams, price = gram["gram"].combine_chunks(), gram["value"].to_numpy()
+        word = answers.filter(pc.is_valid(answers["word"]))
+        count = np.append(word["value"].to_numpy(), 0.0)
+        base = np.log10((count + 1) / floor)
+        listed = word["word"].combine_chunks().cast(pa.large_binary())
+        made = []
+        for data in packed["packed"]:
+            batch = next(iter(pa.ipc.open_stream(zstandard.decompress(data.as_py()))))
+            texts, n = Texts(batch.column("text")), batch.num_rows
+            score, tokens, seen, base_score = np.zeros(n), np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n)
+            for begin, end in texts.parts(part):
+                keys, owner = texts.pairs(begin, end, depth)
+                score += np.bincount(owner, price[pc.index_in(pa.array(keys), value_set=grams).to_numpy()], n)
+                found, owner = texts.words(begin, end)
+                place = pc.fill_null(pc.index_in(found, value_set=listed), len(count) - 1).to_numpy()
+                tokens += np.bincount(owner, minlength=n)
+                seen += np.bincount(owner[count[place] > 0], minlength=n)
+                base_score += np.bincount(owner, base[place], n)
+            bits = -score * math.log2(10) / np.maximum(np.diff(texts.ends), 1)
+            own = [batch.column("doc_id"), batch.column("held_out"), tokens + 1, seen + some, np.full(n, n_train), base_score + end_base, score, bits]
+            made.append(pa.table([pa.array(c) if isinstance(c, np.ndarray) else c for c in own], names))
+        return pa.concat_tables(made)
+
+    packed = chunks.where("packed is not null").select(F.col("chunk").alias("at"), "packed")
+    answers = asked.unionByName(met).select(F.col("chunk").alias("of"), "gram", "word", "value")
+    schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, bits_per_byte double"
+    return packed.groupBy("at").cogroup(answers.groupBy("of")).applyInArrow(one, schema)

@@ -184,39 +184,74 @@ def test_ctw(spark, tiny, docs):
     assert sum(bits) / len(bits) < 3
 
 
-def weighted(context, counts, bits):
-    """A decision's weighted probabilities by the definition: a dict of counts by context, nearest byte first."""
-    kt = lambda a, b: math.lgamma(a + 0.5) + math.lgamma(b + 0.5) - math.lgamma(a + b + 1) - math.log(math.pi)
-    a, b = counts[context]
-    children = [c for c in counts if len(c) == len(context) + 1 and c[: len(context)] == context]
-    if not children:
-        return kt(a, b)
-    rest_a, rest_b = a - sum(counts[c][0] for c in children), b - sum(counts[c][1] for c in children)
-    below = sum(weighted(c, counts, bits) for c in children) + (kt(rest_a, rest_b) if rest_a + rest_b else 0.0)
-    return np.logaddexp(kt(a, b), below) + math.log(0.5)
-
-
-def test_ctw_is_the_ratio_of_weighted_evidence():
-    """The chance of the next decision is what the weighted evidence grows by when it is added."""
-    rng = np.random.default_rng(0)
-    a, b = 0x61 << 56, 0x62 << 56
-    keys = [np.zeros(1, np.uint64), np.array([a, b], np.uint64), np.array([a | 0x61 << 48, a | 0x62 << 48], np.uint64)]
-    held = np.zeros((5, 256))
-    for i in (3, 4, 2):
-        held[i, [0x61, 0x62, 0xFF]] = rng.integers(1, 30, 3)
-    held[1] = held[3] + held[4]
-    held[1, 0x61] += 3  # of other extensions
-    held[0] = held[1] + held[2]
-    tree = ctw.Tree(keys, held.astype(np.float32))
-    names = [b"", b"a", b"b", b"aa", b"ab"]
-    top = lambda h: (h[:128].sum(), h[128:].sum())  # noqa: E731  zeros, ones of the first bit
-    counts = {n: top(h) for n, h in zip(names, held)}
-    more = dict(counts)
-    for n in (b"", b"b"):
-        more[n] = (counts[n][0], counts[n][1] + 1)
-    want = math.exp(weighted(b"", more, 1) - weighted(b"", counts, 1))
-    assert abs(float((10.0 ** tree.table[2, 128:].astype(float)).sum()) - want) < 1e-4
-    assert np.allclose((10.0 ** tree.table.astype(float)).sum(axis=1), 1, atol=1e-4)
+def brute_tree(texts, depth):
+    """log10 probability of a text by the definition: each decision's chance is what the root's weighted
+    evidence grows by when the decision is added to the counts of all its contexts."""
+    kt = lambda a, b: math.lgamma(a + 0.5) + math.lgamma(b + 0.5) - math.lgamma(a + b + 1) - math.log(math.pi) if a + b else 0.0
+
+    def decisions(text):
+        data = b"\xff" * depth + text.encode().lower() + b"\xff"
+        for i in range(depth, len(data)):
+            for b in range(8):
+                yield data[i - depth : i][::-1], (b, data[i] >> 8 - b), data[i] >> 7 - b & 1
+
+    counts, children = defaultdict(lambda: [0, 0]), defaultdict(set)
+    for text in texts:
+        for context, decision, bit in decisions(text):
+            for d in range(depth + 1):
+                counts[context[:d], decision][bit] += 1
+                if d:
+                    children[context[: d - 1], decision].add(context[:d])
+
+    def weighted(context, decision, path, bit):
+        """With the decision `bit` added along `path`, if there is one."""
+        a, b = counts.get((context, decision), (0, 0))
+        if path is not None and path[: len(context)] == context:
+            a, b = a + (bit == 0), b + (bit == 1)
+        if len(context) == depth:
+            return kt(a, b)
+        under = children.get((context, decision), set()) | ({path[: len(context) + 1]} if path is not None and path[: len(context)] == context else set())
+        below = sum(weighted(c, decision, path, bit) for c in under)
+        return np.logaddexp(kt(a, b), below) + math.log(0.5)
+
+    def score(text):
+        return sum(weighted(b"", d, c, bit) - weighted(b"", d, None, bit) for c, d, bit in decisions(text)) / math.log(10)
+
+    return score
+
+
+def test_ctw_score_is_the_definition(spark):
+    draw = random.Random(3)
+    texts = ["", None, "Ab aB\n\nab", "é ê é", " lead", "tail \t", "漢字 ab", *(" ".join(draw.choice(["ab", "abc", "ba", "cab.", "É"]) for _ in range(draw.randrange(1, 9))) for _ in range(14))]
+    texts += texts[2:5]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    learn = [t or "" for i, t in enumerate(texts) if zlib.crc32(str(i).encode()) % 7 != 2]
+    for depth, most, part in ((1, 1 << 20, 1 << 20), (3, 40, 10)):
+        score = brute_tree(learn, depth)
+        got = {r["doc_id"]: r for r in ctw.scored(df, depth=depth, most=most, part=part).collect()}
+        assert len(got) == len(texts)
+        for i, t in enumerate(texts):
+            want = score(t or "")
+            assert abs(got[i]["score"] - want) < 1e-9 * abs(want) + 1e-9
+            assert abs(got[i]["bits_per_byte"] + want * math.log2(10) / max(1, len((t or "").encode()))) < 1e-6
+
+
+def test_ctw_prices_sum_to_one_at_any_counts(spark):
+    """All 256 bytes of a context share one, whatever the counts: from none to a thousand million million."""
+    rows = [(c << 8 | b, n) for c, big in ((0x6161, 10**15), (0x6162, 1), (0x6261, 0)) for b, n in ((x, big * (x % 7) if x in (97, 98, 255) else 0) for x in range(256))]
+    got = ctw.priced(spark.createDataFrame(rows, "gram long, n long"), 2).collect()
+    assert len(got) == len(rows)
+    for c in (0x6161, 0x6162, 0x6261):
+        prices = [10 ** r["price"] for r in got if r["gram"] >> 8 == c]
+        assert len(prices) == 256 and abs(sum(prices) - 1) < 1e-9
+
+
+def test_ctw_learns_across_words_and_grows(spark, tiny):
+    chunks = ctw.gathered(spark.read.parquet(f"{tiny}/documents.parquet").selectExpr("doc_id", "text", "doc_id % 2 = 0 AS held_out"), 5).where("gram is not null")
+    contexts = lambda df: df.where("n > 0").selectExpr("gram >> 8 AS c").distinct().count()
+    assert chunks.where("(gram >> 40) & 255 = 32 and n > 0").count() > 0
+    half = ctw.gathered(spark.read.parquet(f"{tiny}/documents.parquet").selectExpr("doc_id", "text", "doc_id % 4 <> 1 AS held_out"), 5).where("gram is not null")
+    assert contexts(chunks) > 1.2 * contexts(half)
 
 
 def test_ctw_of_odd_rows(spark, odd, none):
