@@ -8,17 +8,20 @@ estimate stands for each decision, and the weighting of all prunings gives its p
 estimate counts for one half, the product of its children for the other, through all depths. What a
 node lacks has no counts, and its estimate is one half.
 
-Nothing of this is held by one machine. The tree is a table of (context, decision, counts) for each
-depth; evidence goes up by sums over contexts without their farthest byte, and predictions come down by
-joins on them. Texts meet their prices in chunks: a chunk names its distinct pairs of context and byte and
-its distinct words once, these meet tree and word counts by equal-key joins, and what comes back to the
-chunk prices its texts, which were packed beside.
+Nothing of this is held by one machine. Texts are read in chunks. A chunk names its distinct pairs of
+context and byte once, packed by buckets of the CROWN nearest bytes; a bucket holds the whole subtrees below
+some of these. Buckets sum the counts of all chunks and weigh their subtrees from the leaves up; what comes
+out at the crown is a table, on which the few depths above are sums and joins; then predictions come
+down again and each bucket answers each chunk. A chunk's distinct words meet their counts in the same way.
+What comes back to a chunk prices its texts, which were packed beside.
 """
 
 from __future__ import annotations
 
 import math
+import zlib
 from collections.abc import Iterator
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -35,8 +38,11 @@ DEPTH = 5
 MARK = 0xFF
 #: Bytes of texts in a chunk, from which on it is closed, and of those whose pairs are made at once.
 CHUNK, PART = 48 << 20, 4 << 20
-#: Rows of a result that are handed on together.
-ROWS = 1 << 18
+#: Depth above which the tree is a table of Spark; a subtree below has 256 to the power of what is left of leaves.
+CROWN = 3
+#: Pairs that a bucket sums at once.
+SUMMED = 1 << 22
+PAIR, WORD = 1, 2
 
 
 class Texts:
@@ -91,18 +97,39 @@ def _counted(values: pa.Array, weights: np.ndarray) -> tuple[pa.Array, np.ndarra
     return coded.dictionary, np.bincount(coded.indices.to_numpy(), weights, len(coded.dictionary)).astype(np.int64)
 
 
-def gathered(rows: DataFrame, depth: int, most: int = CHUNK, part: int = PART) -> DataFrame:
-    """chunk, packed, gram, word, n: what each chunk of rows (doc_id, text, held_out) has.
+def _added(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys, sorted, and their sums."""
+    found, place = np.unique(keys, return_inverse=True)
+    return found, np.bincount(place, n, len(found)).astype(np.int64)
 
-    Rows with `packed` hold some of its texts and how many of them are for training; others a distinct
-    pair of context and byte, or a distinct word, and how often the training texts have it (0 of those
-    that only others have).
+
+def _pack(*arrays: np.ndarray) -> bytes:
+    return zstandard.compress(b"".join(a.tobytes() for a in arrays), 1)
+
+
+def _unpack_pairs(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    steps, n = np.frombuffer(zstandard.decompress(data), np.int64).reshape(2, -1)
+    return np.cumsum(steps), n
+
+
+def _unpack_words(data: bytes) -> tuple[pa.Array, np.ndarray]:
+    whole = zstandard.decompress(data)
+    size = int.from_bytes(whole[:8], "little")
+    return pa.array(whole[8 + 8 * size :].split(b"\n"), pa.large_binary()), np.frombuffer(whole, np.int64, size, 8)
+
+
+def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part: int = PART) -> DataFrame:
+    """chunk, kind, bucket, data, n: what each chunk of rows (doc_id, text, held_out) has.
+
+    Kind 0: some of its texts, n of them for training. PAIR: distinct pairs of context and byte of a
+    bucket, sorted, WORD: distinct words of a bucket, each with its number in training texts (0 of those that
+    only others have); n is the sum of these.
     """
-    fields = pa.schema([("chunk", pa.int64()), ("packed", pa.binary()), ("gram", pa.int64()), ("word", pa.binary()), ("n", pa.int64())])
+    names = ["chunk", "kind", "bucket", "data", "n"]
 
-    def batch_of(chunk: int, n: np.ndarray, **given) -> pa.RecordBatch:
-        columns = {"chunk": pa.array(np.full(len(n), chunk)), "n": pa.array(n, pa.int64())} | given
-        return pa.RecordBatch.from_arrays([columns[f.name].cast(f.type) if f.name in columns else pa.nulls(len(n), f.type) for f in fields], schema=fields)
+    def batch_of(found: list[tuple]) -> pa.RecordBatch:
+        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64())
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*found), kinds)], names)
 
     def closed(chunk: int, held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grams, words = [], []
@@ -117,11 +144,24 @@ def gathered(rows: DataFrame, depth: int, most: int = CHUNK, part: int = PART) -
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, own.schema) as writer:
                     writer.write_batch(own)
-                yield batch_of(chunk, np.array([learn[begin:end].sum()]), packed=pa.array([zstandard.compress(sink.getvalue().to_pybytes(), 1)], pa.binary()))
-        for name, found in (("gram", grams), ("word", words)):
-            values, n = _counted(pa.concat_arrays([v for v, _ in found]), np.concatenate([k for _, k in found]))
-            for begin in range(0, len(values), ROWS):
-                yield batch_of(chunk, n[begin : begin + ROWS], **{name: values.slice(begin, ROWS)})
+                yield batch_of([(chunk, 0, 0, zstandard.compress(sink.getvalue().to_pybytes(), 3), int(learn[begin:end].sum()))])
+        keys, n = _added(*(np.concatenate(x) for x in zip(*((k.to_numpy(), c) for k, c in grams))))
+        bucket = bucket_of(keys, depth, buckets)
+        out = []
+        for b in np.unique(bucket).tolist():
+            at = bucket == b
+            out.append((chunk, PAIR, b, _pack(np.diff(keys[at], prepend=0), n[at]), int(n[at].sum())))
+        yield batch_of(out)
+        values, n = _counted(pa.concat_arrays([v for v, _ in words]), np.concatenate([k for _, k in words]))
+        listed = values.to_pylist()
+        bucket = np.fromiter(map(zlib.crc32, listed), np.int64, len(listed)) % buckets
+        order = np.argsort(bucket, kind="stable")
+        out = []
+        for at in np.split(order, np.flatnonzero(np.diff(bucket[order])) + 1) if len(order) else []:
+            data = len(at).to_bytes(8, "little") + n[at].tobytes() + b"\n".join([listed[i] for i in at.tolist()])
+            out.append((chunk, WORD, int(bucket[at[0]]), zstandard.compress(data, 3), int(n[at].sum())))
+        if out:
+            yield batch_of(out)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -137,72 +177,201 @@ def gathered(rows: DataFrame, depth: int, most: int = CHUNK, part: int = PART) -
         if held:
             yield from closed(chunk, held)
 
-    return rows.select("doc_id", "text", "held_out").mapInArrow(run, "chunk long, packed binary, gram long, word binary, n long")
+    return rows.select("doc_id", "text", "held_out").mapInArrow(run, "chunk long, kind int, bucket int, data binary, n long")
+
 
+def bucket_of(keys: np.ndarray, depth: int, buckets: int) -> np.ndarray:
+    """The bucket of each pair: by its CROWN nearest bytes."""
+    top = (keys >> 8 * (depth - min(CROWN, depth) + 1)).astype(np.uint64)
+    return ((top * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)) % np.uint64(buckets)).astype(np.int64)
 
-def log_gamma(x: Column) -> Column:
+
+def log_gamma(x, log):
     """Of arguments from one half on: a series after a shift by eight."""
     shift = x
     for k in range(1, 8):
         shift = shift * (x + k)
     z = x + 8
-    return (z - 0.5) * F.log(z) - z + 0.5 * math.log(2 * math.pi) + 1 / (12 * z) - 1 / (360 * z * z * z) + 1 / (1260 * z * z * z * z * z) - F.log(shift)
+    return (z - 0.5) * log(z) - z + 0.5 * math.log(2 * math.pi) + 1 / (12 * z) - 1 / (360 * z * z * z) + 1 / (1260 * z * z * z * z * z) - log(shift)
+
+
+def _evidence(zeros, ones, log):
+    return log_gamma(zeros + 0.5, log) + log_gamma(ones + 0.5, log) - log_gamma(zeros + ones + 1, log) - math.log(math.pi)
 
 
 def evidence(zeros: Column, ones: Column) -> Column:
     """Log probability of the counts under the Krichevsky-Trofimov estimator, in any order."""
     zeros, ones = zeros.cast("double"), ones.cast("double")
-    return F.when(zeros + ones == 0, 0.0).otherwise(log_gamma(zeros + 0.5) + log_gamma(ones + 0.5) - log_gamma(zeros + ones + 1) - math.log(math.pi))
+    return F.when(zeros + ones == 0, 0.0).otherwise(_evidence(zeros, ones, F.log))
 
 
 def log_sum(a: Column, b: Column) -> Column:
     return F.greatest(a, b) + F.log1p(F.exp(-F.abs(a - b)))
 
 
-def levels(grams: DataFrame, depth: int) -> list[DataFrame]:
-    """For each depth: context, decision, zeros, ones, below (log evidence of the children), weighted.
+class Subtrees:
+    """The nodes from the crown to the deepest contexts of some pairs (sorted, with training counts n).
 
-    grams: gram, n. A decision is 1, and below it the bits before it. The deepest table also says which of
-    the two bytes that a last decision parts are asked for (no, yes).
+    A node is a context and a decision, 1 and below it the bits before it: (context << 8) + decision.
+    levels: for each depth nodes, zeros, ones, below (log evidence of the children) and own; up: for
+    each depth but the first, each node's parent.
     """
-    byte = F.col("gram").bitwiseAND(F.lit(255)).cast("int")
-    taken = F.array(*(F.struct((F.shiftright(byte, 8 - b) + (1 << b)).alias("decision"), F.shiftright(byte, 7 - b).bitwiseAND(F.lit(1)).alias("bit")) for b in range(8)))
-    each = grams.select(F.shiftright("gram", 8).alias("context"), "n", F.explode(taken).alias("d")).select("context", "n", "d.*")
-    sums = each.groupBy("context", "decision").agg(F.sum(F.expr("if(bit = 0, n, 0)")).alias("zeros"), F.sum(F.expr("if(bit = 1, n, 0)")).alias("ones"), F.max(F.col("bit") == 0).alias("no"), F.max(F.col("bit") == 1).alias("yes"))
-    out = [materialise(sums.select("*", F.lit(0.0).alias("below"), evidence(F.col("zeros"), F.col("ones")).alias("weighted")), f"contexts_{depth}")]
-    for d in range(depth - 1, -1, -1):
-        up = out[0].groupBy(F.shiftright("context", 8).alias("context"), "decision").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("weighted").alias("below"))
-        own = up.withColumn("own", evidence(F.col("zeros"), F.col("ones")))
-        out.insert(0, materialise(own.select("context", "decision", "zeros", "ones", "below", (log_sum(F.col("own"), F.col("below")) + math.log(0.5)).alias("weighted")), f"contexts_{d}"))
-    return out
+
+    def __init__(self, keys: np.ndarray, n: np.ndarray, depth: int):
+        byte, crown = keys & 255, min(CROWN, depth)
+        self.bits = np.stack([byte >> 7 - b & 1 for b in range(8)])
+        decisions = np.stack([(keys >> 8 << 8) + (1 << b) + (byte >> 8 - b) for b in range(8)])
+        nodes, place = np.unique(decisions, return_inverse=True)
+        self.place = place.reshape(8, -1)  # of each decision of each pair
+        zeros, ones = (np.bincount(place.ravel(), (np.broadcast_to(n, self.bits.shape) * (self.bits == bit)).ravel(), len(nodes)) for bit in (0, 1))
+        below, self.levels, self.up = np.zeros(len(nodes)), [], []
+        for d in range(depth, crown - 1, -1):
+            own = np.where(zeros + ones > 0, _evidence(zeros, ones, np.log), 0.0)
+            self.levels.insert(0, (nodes, zeros, ones, below, own))
+            self.weighted = own if d == depth else np.logaddexp(own, below) + math.log(0.5)
+            if d > crown:
+                nodes, up = np.unique((nodes >> 16 << 8) + (nodes & 255), return_inverse=True)
+                self.up.insert(0, up)
+                zeros, ones, below = (np.bincount(up, x, len(nodes)) for x in (zeros, ones, self.weighted))
+
+    def prices(self, left: np.ndarray, seen_zeros: np.ndarray, seen_ones: np.ndarray) -> np.ndarray:
+        """log10 probability of each pair's byte; given, for the crown's nodes, the weight that comes down to them and the chances gathered above."""
+        for (_, zeros, ones, below, own), up in zip(self.levels, [*self.up, None]):
+            zero, one = (zeros + 0.5) / (zeros + ones + 1), (ones + 0.5) / (zeros + ones + 1)
+            if up is None:
+                logs = np.log10(np.stack([seen_zeros + left * zero, seen_ones + left * one]))
+                return logs[self.bits, self.place].sum(axis=0)
+            with np.errstate(over="ignore"):
+                stop, go = 1 / (1 + np.exp(below - own)), 1 / (1 + np.exp(own - below))
+            left, seen_zeros, seen_ones = (left * go)[up], (seen_zeros + left * stop * zero)[up], (seen_ones + left * stop * one)[up]
+
+
+def _by_bucket(rows: DataFrame, work, schema: str) -> DataFrame:
+    """work(bucket, one-row tables in their order) for each bucket of rows (bucket, turn, ...), one after the other."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        each = ((b, batch.slice(i, j - i)) for batch in batches for b, i, j in _runs(batch.column("bucket").to_numpy()))
+        for bucket, parts in groupby(each, key=lambda x: x[0]):
+            yield from work(bucket, (p for _, p in parts))
+
+    return rows.repartition("bucket").sortWithinPartitions("bucket", "turn").mapInArrow(run, schema)
 
 
-def priced(grams: DataFrame, depth: int) -> DataFrame:
-    """gram, price: the log10 probability of the byte in its context, from training counts n of all grams."""
-    tables = levels(grams, depth)
-    # of a zero and of a one, each by itself: near one, a difference would lose a small chance
-    estimates = {name: (F.col(name) + 0.5) / (F.col("zeros") + F.col("ones") + 1) for name in ("zeros", "ones")}
-    # weight that has come down to a node, and chances gathered above it
-    now = tables[0].select("*", F.lit(1.0).alias("left"), *(F.lit(0.0).alias(f"seen_{name}") for name in estimates))
+def _runs(values: np.ndarray) -> Iterator[tuple[int, int, int]]:
+    edges = [0, *(np.flatnonzero(np.diff(values)) + 1).tolist(), len(values)]
+    return ((int(values[i]), i, j) for i, j in zip(edges, edges[1:]) if j > i)
+
+
+def summed(found: Iterator[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys of several lists of keys and counts, sorted, and their sums; a bounded number more in memory."""
+    held, size = [(np.zeros(0, np.int64),) * 2], 0
+    for keys, n in found:
+        held.append((keys, n))
+        size += len(keys)
+        if size > SUMMED:
+            held, size = [_added(*(np.concatenate(x) for x in zip(*held)))], 0
+    return _added(*(np.concatenate(x) for x in zip(*held)))
+
+
+def crowned(pairs: DataFrame, depth: int) -> DataFrame:
+    """bucket, data, and context, decision, zeros, ones, weighted: each bucket's sums packed, and its nodes at the crown."""
+
+    def work(bucket: int, parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, n = summed(_unpack_pairs(x.as_py()) for part in parts for x in part.column("data"))
+        made = Subtrees(keys, n, depth)
+        nodes, zeros, ones, _, _ = made.levels[0]
+        size = len(nodes)
+        yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([_pack(np.diff(keys, prepend=0), n)], pa.binary()), *(pa.nulls(1, t) for t in (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64()))], names)
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(size, bucket, np.int32)), pa.nulls(size, pa.binary()), pa.array(nodes >> 8), pa.array((nodes & 255).astype(np.int32)), pa.array(zeros.astype(np.int64)), pa.array(ones.astype(np.int64)), pa.array(made.weighted)], names)
+
+    names = ["bucket", "data", "context", "decision", "zeros", "ones", "weighted"]
+    return _by_bucket(pairs.select("bucket", F.lit(0).alias("turn"), "data"), work, "bucket int, data binary, context long, decision int, zeros long, ones long, weighted double")
+
+
+def come_down(crown: DataFrame, depth: int) -> DataFrame:
+    """bucket, context, decision, left, seen_zeros, seen_ones of the crown's nodes (bucket, context, decision, zeros, ones, weighted).
+
+    left is the weight that comes down to a node, seen_ the chances of a zero and of a one gathered above,
+    each by itself: near one, a difference would lose a small chance.
+    """
+    tables = [crown]
+    for d in range(min(CROWN, depth) - 1, -1, -1):
+        up = tables[0].groupBy(F.shiftright("context", 8).alias("context"), "decision").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("weighted").alias("below"))
+        own = up.withColumn("own", evidence(F.col("zeros"), F.col("ones")))
+        tables.insert(0, materialise(own.withColumn("weighted", log_sum(F.col("own"), F.col("below")) + math.log(0.5)), f"contexts_{d}"))
+    now = tables[0].select("*", F.lit(1.0).alias("left"), F.lit(0.0).alias("seen_zeros"), F.lit(0.0).alias("seen_ones"))
     for table in tables[1:]:
-        more = F.col("below") - evidence(F.col("zeros"), F.col("ones"))
+        more = F.col("below") - F.col("own")
         go, stop = 1 / (1 + F.exp(-more)), 1 / (1 + F.exp(more))  # one in all, however large the evidence
-        seen = [(F.col(f"seen_{name}") + F.col("left") * stop * e).alias(f"seen_{name}") for name, e in estimates.items()]
+        seen = [(F.col(f"seen_{x}") + F.col("left") * stop * (F.col(x) + 0.5) / (F.col("zeros") + F.col("ones") + 1)).alias(f"seen_{x}") for x in ("zeros", "ones")]
         above = now.select(F.col("context").alias("up"), "decision", (F.col("left") * go).alias("left"), *seen)
         now = table.withColumn("up", F.shiftright("context", 8)).join(above, ["up", "decision"]).drop("up")
-    zero, one = (F.log10(F.col(f"seen_{name}") + F.col("left") * e).alias(name) for name, e in estimates.items())
-    # a context has 255 decisions at most
-    whole = now.select("context", "decision", zero, one, "no", "yes").groupBy("context").agg(
-        F.map_from_entries(F.collect_list(F.struct("decision", F.struct("zeros", "ones")))).alias("prices"),
-        F.collect_list(F.when((F.col("decision") >= 128) & F.col("no"), 2 * F.col("decision") - 256)).alias("nos"),
-        F.collect_list(F.when((F.col("decision") >= 128) & F.col("yes"), 2 * F.col("decision") - 255)).alias("yess"),
-    )
-    each = whole.select("context", "prices", F.explode(F.concat("nos", "yess")).alias("byte"))
-    price = F.lit(0.0)
-    for b in range(8):
-        own = F.element_at("prices", F.shiftright("byte", 8 - b) + (1 << b))
-        price = price + F.when(F.shiftright("byte", 7 - b).bitwiseAND(F.lit(1)) == 1, own["ones"]).otherwise(own["zeros"])
-    return each.select((F.shiftleft("context", 8) + F.col("byte")).alias("gram"), price.alias("price"))
+    return now.select("bucket", "context", "decision", "left", "seen_zeros", "seen_ones")
+
+
+def priced(pairs: DataFrame, depth: int) -> DataFrame:
+    """chunk, bucket, data: the log10 probabilities of each chunk's pairs of a bucket, packed in their order.
+
+    pairs: chunk, bucket, data of the kind PAIR.
+    """
+    crown = materialise(crowned(pairs, depth), "crown")
+    down = come_down(crown.where("data is null").drop("data"), depth)
+    blank = [F.lit(None).cast(t).alias(c) for c, t in (("context", "long"), ("decision", "int"), ("left", "double"), ("seen_zeros", "double"), ("seen_ones", "double"))]
+    lit = lambda x, kind, name: F.lit(x).cast(kind).alias(name)
+    sums = crown.where("data is not null").select("bucket", lit(0, "int", "turn"), lit(None, "long", "chunk"), "data", *blank)
+    nodes = down.select("bucket", lit(1, "int", "turn"), lit(None, "long", "chunk"), lit(None, "binary", "data"), "context", "decision", "left", "seen_zeros", "seen_ones")
+    asked = pairs.select("bucket", lit(2, "int", "turn"), "chunk", "data", *blank)
+
+    def work(bucket: int, parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, tree, price, given = None, None, None, []
+        for part in parts:
+            for turn, i, j in _runs(part.column("turn").to_numpy()):
+                own = part.slice(i, j - i)
+                if turn == 0:
+                    keys, n = _unpack_pairs(own.column("data")[0].as_py())
+                    tree = Subtrees(keys, n, depth)
+                elif turn == 1:
+                    given.append([own.column(c).to_numpy() for c in ("context", "decision", "left", "seen_zeros", "seen_ones")])
+                else:
+                    if price is None:
+                        context, decision, *rest = (np.concatenate(x) for x in zip(*given))
+                        order = np.argsort((context << 8) + decision)
+                        price = tree.prices(*(x[order] for x in rest))
+                    answers = [_pack(price[np.searchsorted(keys, _unpack_pairs(x.as_py())[0])]) for x in own.column("data")]
+                    yield pa.RecordBatch.from_arrays([own.column("chunk"), own.column("bucket"), pa.array(answers, pa.binary())], ["chunk", "bucket", "data"])
+
+    return _by_bucket(sums.unionByName(nodes).unionByName(asked), work, "chunk long, bucket int, data binary")
+
+
+def counted_words(words: DataFrame) -> DataFrame:
+    """chunk, bucket, data, n: how often all chunks have each of a chunk's words of a bucket, packed in their order.
+
+    words: chunk, bucket, data of the kind WORD. Rows without a chunk say how many distinct words of the
+    bucket have a count.
+    """
+    twice = words.select("chunk", "bucket", "data", F.explode(F.array(F.lit(0), F.lit(1))).alias("turn"))
+
+    def work(bucket: int, parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size, total = [], 0, None
+        for part in parts:
+            for turn, i, j in _runs(part.column("turn").to_numpy()):
+                for chunk, data in zip(part.column("chunk").slice(i, j - i), part.column("data").slice(i, j - i)):
+                    values, n = _unpack_words(data.as_py())
+                    if turn == 0:
+                        held.append((values, n))
+                        size += len(values)
+                        if size > SUMMED:
+                            held, size = [_counted(pa.concat_arrays([v for v, _ in held]), np.concatenate([k for _, k in held]))], 0
+                        continue
+                    if total is None:
+                        listed, total = _counted(pa.concat_arrays([v for v, _ in held]), np.concatenate([k for _, k in held]))
+                        held = []
+                        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([bucket], pa.int32()), pa.nulls(1, pa.binary()), pa.array([int((total > 0).sum())])], names)
+                    answer = _pack(total[pc.index_in(values, value_set=listed).to_numpy()])
+                    yield pa.RecordBatch.from_arrays([pa.array([chunk.as_py()], pa.int64()), pa.array([bucket], pa.int32()), pa.array([answer], pa.binary()), pa.nulls(1, pa.int64())], names)
+
+    names = ["chunk", "bucket", "data", "n"]
+    return _by_bucket(twice, work, "chunk long, bucket int, data binary, n long")
 
 
 def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modulus: int = 7, out: int = 2, depth: int = DEPTH, most: int = CHUNK, part: int = PART) -> DataFrame:
@@ -218,27 +387,35 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
         raise ValueError("a context has one to six bytes")
     held_out = crc_remainder(F.col(id_column), modulus) == out
     rows = docs.select(F.col(id_column).alias("doc_id"), F.col(text).alias("text"), held_out.alias("held_out"))
-    chunks = materialise(gathered(rows, depth, most, part), "chunks")
-    texts = chunks.where("packed is not null").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    words = materialise(chunks.where("word is not null").groupBy("word").agg(F.sum("n").alias("value")).where("value > 0"), "words")
-    known, distinct = words.agg(F.coalesce(F.sum("value"), F.lit(0)), F.count(F.lit(1))).first()
+    buckets = max(32, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    chunks = materialise(gathered(rows, depth, buckets, most, part), "chunks")
+    of = lambda kind: chunks.where(F.col("kind") == kind).select("chunk", "bucket", "data")
+    counts = materialise(counted_words(of(WORD)), "word_counts")
+    prices = materialise(priced(of(PAIR), depth), "prices")
+    sums = {r["kind"]: r["n"] for r in chunks.groupBy("kind").agg(F.sum("n").alias("n")).collect()}
+    texts, known = sums.get(0, 0), sums.get(WORD, 0)
+    distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     n_train, floor = known + texts, float(known + texts + distinct + (texts > 0) + 1)
     end_base, some = math.log10((texts + 1) / floor), int(texts > 0)
-    prices = materialise(priced(chunks.where("gram is not null").groupBy("gram").agg(F.sum("n").alias("n")), depth), "prices")
-    asked = chunks.where("gram is not null").select("chunk", "gram").join(prices, "gram").select("chunk", "gram", F.lit(None).cast("binary").alias("word"), F.col("price").alias("value"))
-    met = chunks.where("word is not null").select("chunk", "word").join(words, "word").select("chunk", F.lit(None).cast("long").alias("gram"), "word", F.col("value").cast("double").alias("value"))
     kind = rows.schema["doc_id"].dataType.simpleString()
     names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
 
-    def one(packed: pa.Table, answers: pa.Table) -> pa.Table:
-        gram = answers.filter(pc.is_valid(answers["gram"]))
-        grams, price = gram["gram"].combine_chunks(), gram["value"].to_numpy()
-        word = answers.filter(pc.is_valid(answers["word"]))
-        count = np.append(word["value"].to_numpy(), 0.0)
+    def one(asked: pa.Table, answers: pa.Table) -> pa.Table:
+        at = {(k, b): i for i, (k, b) in enumerate(zip(answers["kind"].to_pylist(), answers["bucket"].to_pylist()))}
+        answer = lambda k, b, kind: np.frombuffer(zstandard.decompress(answers["data"][at[k, b]].as_py()), kind)
+        pairs, words, packed = [], [(pa.array([], pa.large_binary()), np.zeros(0, np.int64))], []
+        for k, b, data in zip(asked["kind"].to_pylist(), asked["bucket"].to_pylist(), asked["data"]):
+            if k == PAIR:
+                pairs.append((_unpack_pairs(data.as_py())[0], answer(k, b, np.float64)))
+            elif k == WORD:
+                words.append((_unpack_words(data.as_py())[0], answer(k, b, np.int64)))
+            else:
+                packed.append(data)
+        grams, price = pa.array(np.concatenate([k for k, _ in pairs])), np.concatenate([p for _, p in pairs])
+        listed, count = pa.concat_arrays([v for v, _ in words]), np.concatenate([c for _, c in words])
         base = np.log10((count + 1) / floor)
-        listed = word["word"].combine_chunks().cast(pa.large_binary())
         made = []
-        for data in packed["packed"]:
+        for data in packed:
             batch = next(iter(pa.ipc.open_stream(zstandard.decompress(data.as_py()))))
             texts, n = Texts(batch.column("text")), batch.num_rows
             score, tokens, seen, base_score = np.zeros(n), np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n)
@@ -246,7 +423,7 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
                 keys, owner = texts.pairs(begin, end, depth)
                 score += np.bincount(owner, price[pc.index_in(pa.array(keys), value_set=grams).to_numpy()], n)
                 found, owner = texts.words(begin, end)
-                place = pc.fill_null(pc.index_in(found, value_set=listed), len(count) - 1).to_numpy()
+                place = pc.index_in(found, value_set=listed).to_numpy()
                 tokens += np.bincount(owner, minlength=n)
                 seen += np.bincount(owner[count[place] > 0], minlength=n)
                 base_score += np.bincount(owner, base[place], n)
@@ -255,7 +432,7 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
             made.append(pa.table([pa.array(c) if isinstance(c, np.ndarray) else c for c in own], names))
         return pa.concat_tables(made)
 
-    packed = chunks.where("packed is not null").select(F.col("chunk").alias("at"), "packed")
-    answers = asked.unionByName(met).select(F.col("chunk").alias("of"), "gram", "word", "value")
     schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, bits_per_byte double"
-    return packed.groupBy("at").cogroup(answers.groupBy("of")).applyInArrow(one, schema)
+    asked = chunks.select(F.col("chunk").alias("at"), "kind", "bucket", "data")
+    answers = prices.select("chunk", F.lit(PAIR).alias("kind"), "bucket", "data").union(counts.where("chunk is not null").select("chunk", F.lit(WORD).alias("kind"), "bucket", "data"))
+    return asked.groupBy("at").cogroup(answers.groupBy("chunk")).applyInArrow(one, schema)

@@ -236,22 +236,30 @@ def test_ctw_score_is_the_definition(spark):
             assert abs(got[i]["bits_per_byte"] + want * math.log2(10) / max(1, len((t or "").encode()))) < 1e-6
 
 
-def test_ctw_prices_sum_to_one_at_any_counts(spark):
+def test_ctw_prices_sum_to_one_at_any_counts():
     """All 256 bytes of a context share one, whatever the counts: from none to a thousand million million."""
-    rows = [(c << 8 | b, n) for c, big in ((0x6161, 10**15), (0x6162, 1), (0x6261, 0)) for b, n in ((x, big * (x % 7) if x in (97, 98, 255) else 0) for x in range(256))]
-    got = ctw.priced(spark.createDataFrame(rows, "gram long, n long"), 2).collect()
-    assert len(got) == len(rows)
-    for c in (0x6161, 0x6162, 0x6261):
-        prices = [10 ** r["price"] for r in got if r["gram"] >> 8 == c]
-        assert len(prices) == 256 and abs(sum(prices) - 1) < 1e-9
+    for depth in (2, 3, 5):
+        rows = sorted((c << 8 | b, n) for c, big in ((0x6161616161, 10**15), (0x6161616162, 1), (0x6262616161, 0)) for b, n in ((x, big * (x % 7) if x in (97, 98, 255) else 0) for x in range(256)))
+        keys, n = np.unique(np.array([k >> 8 * (5 - depth) + 8 << 8 | k & 255 for k, _ in rows]), return_index=True)
+        made = ctw.Subtrees(keys, np.array([x for _, x in rows])[n], depth)
+        top = len(made.levels[0][0])
+        prices = 10 ** made.prices(np.ones(top), np.zeros(top), np.zeros(top))
+        for c in np.unique(keys >> 8):
+            held = prices[keys >> 8 == c]
+            assert len(held) == 256 and (held > 0).all() and abs(held.sum() - 1) < 1e-9
 
 
 def test_ctw_learns_across_words_and_grows(spark, tiny):
-    chunks = ctw.gathered(spark.read.parquet(f"{tiny}/documents.parquet").selectExpr("doc_id", "text", "doc_id % 2 = 0 AS held_out"), 5).where("gram is not null")
-    contexts = lambda df: df.where("n > 0").selectExpr("gram >> 8 AS c").distinct().count()
-    assert chunks.where("(gram >> 40) & 255 = 32 and n > 0").count() > 0
-    half = ctw.gathered(spark.read.parquet(f"{tiny}/documents.parquet").selectExpr("doc_id", "text", "doc_id % 4 <> 1 AS held_out"), 5).where("gram is not null")
-    assert contexts(chunks) > 1.2 * contexts(half)
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+
+    def contexts(held_out):
+        rows = ctw.gathered(docs.selectExpr("doc_id", "text", f"{held_out} AS held_out"), 5, 8).where(f"kind = {ctw.PAIR}").collect()
+        keys, n = ctw.summed(ctw._unpack_pairs(r["data"]) for r in rows)
+        return set((keys[n > 0] >> 8).tolist())
+
+    half, quarter = contexts("doc_id % 2 = 0"), contexts("doc_id % 4 <> 1")
+    assert quarter < half and len(half) > 1.2 * len(quarter)
+    assert any(c >> 24 & 255 == 32 for c in half)  # a break second to the nearest
 
 
 def test_ctw_of_odd_rows(spark, odd, none):
