@@ -37,11 +37,11 @@ DEPTH = 5
 #: The byte before a text's begin and at its end; UTF-8 has no such byte.
 MARK = 0xFF
 #: Bytes of texts in a chunk, from which on it is closed, and of those whose pairs are made at once.
-CHUNK, PART = 48 << 20, 4 << 20
+CHUNK, PART = 16 << 20, 1 << 19
 #: Depth above which the tree is a table of Spark; a subtree below has 256 to the power of what is left of leaves.
 CROWN = 3
-#: Pairs that a bucket sums at once.
-SUMMED = 1 << 22
+#: Keys that are held with their counts before they are summed up.
+SUMMED = 1 << 20
 PAIR, WORD = 1, 2
 
 
@@ -97,10 +97,22 @@ def _counted(values: pa.Array, weights: np.ndarray) -> tuple[pa.Array, np.ndarra
     return coded.dictionary, np.bincount(coded.indices.to_numpy(), weights, len(coded.dictionary)).astype(np.int64)
 
 
-def _added(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys, sorted, and their sums."""
-    found, place = np.unique(keys, return_inverse=True)
-    return found, np.bincount(place, n, len(found)).astype(np.int64)
+class Sums:
+    """Distinct values and the sums of their counts, from many lists; a bounded number more are held."""
+
+    def __init__(self, kind: pa.DataType):
+        self.held, self.size, self.kind = [], 0, kind
+
+    def add(self, values: pa.Array, n: np.ndarray) -> None:
+        self.held.append((values, n))
+        self.size += len(values)
+        if self.size > SUMMED:
+            self.held, self.size = [self.all()], 0
+
+    def all(self) -> tuple[pa.Array, np.ndarray]:
+        values, n = [v for v, _ in self.held], [c for _, c in self.held]
+        self.held = []
+        return _counted(pa.concat_arrays(values), np.concatenate(n)) if values else (pa.array([], self.kind), np.zeros(0, np.int64))
 
 
 def _pack(*arrays: np.ndarray) -> bytes:
@@ -132,27 +144,29 @@ def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part:
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*found), kinds)], names)
 
     def closed(chunk: int, held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        grams, words = [], []
+        grams, words = Sums(pa.int64()), Sums(pa.large_binary())
         for batch in held:
             texts, learn = Texts(batch.column("text")), 1 - batch.column("held_out").cast(pa.int8()).to_numpy()
             for begin, end in texts.parts(part):
                 keys, owner = texts.pairs(begin, end, depth)
-                grams.append(_counted(pa.array(keys), learn[owner]))
+                grams.add(*_counted(pa.array(keys), learn[owner]))
                 found, owner = texts.words(begin, end)
-                words.append(_counted(found, learn[owner]))
+                words.add(*_counted(found, learn[owner]))
                 own = batch.slice(begin, end - begin)
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, own.schema) as writer:
                     writer.write_batch(own)
                 yield batch_of([(chunk, 0, 0, zstandard.compress(sink.getvalue().to_pybytes(), 3), int(learn[begin:end].sum()))])
-        keys, n = _added(*(np.concatenate(x) for x in zip(*((k.to_numpy(), c) for k, c in grams))))
+        found, n = grams.all()
+        order = np.argsort(keys := found.to_numpy())
+        keys, n = keys[order], n[order]
         bucket = bucket_of(keys, depth, buckets)
         out = []
         for b in np.unique(bucket).tolist():
             at = bucket == b
             out.append((chunk, PAIR, b, _pack(np.diff(keys[at], prepend=0), n[at]), int(n[at].sum())))
         yield batch_of(out)
-        values, n = _counted(pa.concat_arrays([v for v, _ in words]), np.concatenate([k for _, k in words]))
+        values, n = words.all()
         listed = values.to_pylist()
         bucket = np.fromiter(map(zlib.crc32, listed), np.int64, len(listed)) % buckets
         order = np.argsort(bucket, kind="stable")
@@ -167,19 +181,29 @@ def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part:
         from pyspark import TaskContext
 
         chunk, held, size = TaskContext.get().partitionId() << 32, [], 0
-        for batch in batches:
-            if batch.num_rows:
-                held.append(batch)
-                size += batch.nbytes
+        for batch in _sliced(batches, most):
+            held.append(batch)
+            size += batch.nbytes
             if size >= most:
                 yield from closed(chunk, held)
                 chunk, held, size = chunk + 1, [], 0
+                pa.default_memory_pool().release_unused()
         if held:
             yield from closed(chunk, held)
+        pa.default_memory_pool().release_unused()
 
     return rows.select("doc_id", "text", "held_out").mapInArrow(run, "chunk long, kind int, bucket int, data binary, n long")
 
 
+def _sliced(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of no more than so many bytes, or one row."""
+    for batch in batches:
+        begin, step = 0, max(1, batch.num_rows * most // (4 * max(batch.nbytes, 1)))
+        while begin < batch.num_rows:
+            yield batch.slice(begin, step)
+            begin += step
+
+
 def bucket_of(keys: np.ndarray, depth: int, buckets: int) -> np.ndarray:
     """The bucket of each pair: by its CROWN nearest bytes."""
     top = (keys >> 8 * (depth - min(CROWN, depth) + 1)).astype(np.uint64)
@@ -263,14 +287,13 @@ def _runs(values: np.ndarray) -> Iterator[tuple[int, int, int]]:
 
 
 def summed(found: Iterator[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys of several lists of keys and counts, sorted, and their sums; a bounded number more in memory."""
-    held, size = [(np.zeros(0, np.int64),) * 2], 0
+    """Distinct keys of several lists of keys and counts, sorted, and their sums."""
+    sums = Sums(pa.int64())
     for keys, n in found:
-        held.append((keys, n))
-        size += len(keys)
-        if size > SUMMED:
-            held, size = [_added(*(np.concatenate(x) for x in zip(*held)))], 0
-    return _added(*(np.concatenate(x) for x in zip(*held)))
+        sums.add(pa.array(keys), n)
+    keys, n = sums.all()
+    order = np.argsort(keys)
+    return keys.to_numpy()[order], n[order]
 
 
 def crowned(pairs: DataFrame, depth: int) -> DataFrame:
@@ -352,20 +375,16 @@ def counted_words(words: DataFrame) -> DataFrame:
     twice = words.select("chunk", "bucket", "data", F.explode(F.array(F.lit(0), F.lit(1))).alias("turn"))
 
     def work(bucket: int, parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size, total = [], 0, None
+        sums, total = Sums(pa.large_binary()), None
         for part in parts:
             for turn, i, j in _runs(part.column("turn").to_numpy()):
                 for chunk, data in zip(part.column("chunk").slice(i, j - i), part.column("data").slice(i, j - i)):
                     values, n = _unpack_words(data.as_py())
                     if turn == 0:
-                        held.append((values, n))
-                        size += len(values)
-                        if size > SUMMED:
-                            held, size = [_counted(pa.concat_arrays([v for v, _ in held]), np.concatenate([k for _, k in held]))], 0
+                        sums.add(values, n)
                         continue
                     if total is None:
-                        listed, total = _counted(pa.concat_arrays([v for v, _ in held]), np.concatenate([k for _, k in held]))
-                        held = []
+                        listed, total = sums.all()
                         yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([bucket], pa.int32()), pa.nulls(1, pa.binary()), pa.array([int((total > 0).sum())])], names)
                     answer = _pack(total[pc.index_in(values, value_set=listed).to_numpy()])
                     yield pa.RecordBatch.from_arrays([pa.array([chunk.as_py()], pa.int64()), pa.array([bucket], pa.int32()), pa.array([answer], pa.binary()), pa.nulls(1, pa.int64())], names)
