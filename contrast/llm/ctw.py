@@ -40,6 +40,8 @@ MARK = 0xFF
 CHUNK, PART = 16 << 20, 1 << 19
 #: Depth above which the tree is a table of Spark; a subtree below has 256 to the power of what is left of leaves.
 CROWN = 3
+#: Parts that are packed, and priced, together.
+TOLD = 8
 #: Keys that are held with their counts before they are summed up.
 SUMMED = 1 << 20
 PAIR, WORD = 1, 2
@@ -58,12 +60,12 @@ class Texts:
     def __len__(self) -> int:
         return len(self.ends) - 1
 
-    def parts(self, part: int = PART) -> Iterator[tuple[int, int]]:
-        """Ranges of texts of some bytes each; a longer text is alone."""
-        begin = 0
-        while begin < len(self):
+    def parts(self, part: int = PART, begin: int = 0, last: int | None = None) -> Iterator[tuple[int, int]]:
+        """Ranges of texts, from one to another, of some bytes each; a longer text is alone."""
+        last = len(self) if last is None else last
+        while begin < last:
             end = int(np.searchsorted(self.ends, self.ends[begin] + part, side="right")) - 1
-            end = min(max(end, begin + 1), len(self))
+            end = min(max(end, begin + 1), last)
             yield begin, end
             begin = end
 
@@ -147,11 +149,12 @@ def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part:
         grams, words = Sums(pa.int64()), Sums(pa.large_binary())
         for batch in held:
             texts, learn = Texts(batch.column("text")), 1 - batch.column("held_out").cast(pa.int8()).to_numpy()
-            for begin, end in texts.parts(part):
-                keys, owner = texts.pairs(begin, end, depth)
-                grams.add(*_counted(pa.array(keys), learn[owner]))
-                found, owner = texts.words(begin, end)
-                words.add(*_counted(found, learn[owner]))
+            for begin, end in texts.parts(TOLD * part):
+                for i, j in texts.parts(part, begin, end):
+                    keys, owner = texts.pairs(i, j, depth)
+                    grams.add(*_counted(pa.array(keys), learn[owner]))
+                    found, owner = texts.words(i, j)
+                    words.add(*_counted(found, learn[owner]))
                 own = batch.slice(begin, end - begin)
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, own.schema) as writer:
@@ -438,7 +441,7 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
             batch = next(iter(pa.ipc.open_stream(zstandard.decompress(data.as_py()))))
             texts, n = Texts(batch.column("text")), batch.num_rows
             score, tokens, seen, base_score = np.zeros(n), np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n)
-            for begin, end in texts.parts(part):
+            for begin, end in texts.parts(TOLD * part):
                 keys, owner = texts.pairs(begin, end, depth)
                 score += np.bincount(owner, price[pc.index_in(pa.array(keys), value_set=grams).to_numpy()], n)
                 found, owner = texts.words(begin, end)
