@@ -41,7 +41,7 @@ CHUNK, PART = 16 << 20, 1 << 19
 #: Depth above which the tree is a table of Spark; a subtree below has 256 to the power of what is left of leaves.
 CROWN = 3
 #: Parts that are packed, and priced, together.
-TOLD = 8
+TOLD = 4
 #: Keys that are held with their counts before they are summed up.
 SUMMED = 1 << 20
 PAIR, WORD = 1, 2
@@ -75,12 +75,18 @@ class Texts:
         texts = [self.data[self.ends[i] : self.ends[i + 1]] for i in range(begin, end)]
         data = np.frombuffer(mark + mark.join(texts) + mark, np.uint8)
         sizes = np.diff(self.ends[begin : end + 1]) + 1
-        owner = np.repeat(np.arange(begin, end), sizes)
-        at = np.arange(len(owner)) + depth + (owner - begin) * (depth - 1)
         keys = np.zeros(len(data) - depth, np.int64)
         for k in range(depth + 1):  # the byte itself lowest, then the farthest; the nearest highest
-            keys |= data[depth - k : len(data) - k].astype(np.int64) << (8 * (depth - k + 1) if k else 0)
-        return keys[at - depth], owner
+            one = data[depth - k : len(data) - k].astype(np.int64)
+            one <<= 8 * (depth - k + 1) if k else 0
+            keys |= one
+        if depth > 1:  # marks between texts: the first is a text's end, the others nothing
+            asked = np.ones(len(keys), bool)
+            ends = np.cumsum(sizes + depth - 1)[:-1] - (depth - 1)
+            asked[(ends[:, None] + np.arange(depth - 1)).ravel()] = False
+            asked[len(keys) - (depth - 1) :] = False
+            keys = keys[asked]
+        return keys, np.repeat(np.arange(begin, end, dtype=np.int32), sizes)
 
     def words(self, begin: int, end: int) -> tuple[pa.Array, np.ndarray]:
         """All words of these texts in order, and which text each is in."""
@@ -452,6 +458,7 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
             bits = -score * math.log2(10) / np.maximum(np.diff(texts.ends), 1)
             own = [batch.column("doc_id"), batch.column("held_out"), tokens + 1, seen + some, np.full(n, n_train), base_score + end_base, score, bits]
             made.append(pa.table([pa.array(c) if isinstance(c, np.ndarray) else c for c in own], names))
+        pa.default_memory_pool().release_unused()
         return pa.concat_tables(made)
 
     schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, bits_per_byte double"
