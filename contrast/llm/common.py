@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
+import ctypes
 import uuid
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,19 +14,36 @@ from pyspark.sql import functions as F
 BREAKS = ("\t", "\n", "\x0b", "\x0c", "\r")
 
 
+def give_back() -> None:
+    """Returns a worker's free memory to the machine: workers wait for further tasks beside the JVM.
+
+    What the C library has no such call for keeps its memory.
+    """
+    pa.default_memory_pool().release_unused()
+    try:
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD: arrays from a megabyte on go back as soon as they are freed
+        libc.malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: the session's, or one of our own where none is set."""
-    sc = spark.sparkContext
-    return spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir() or _own_dir(sc)
-
+    """The folder that driver and executors share: spark.checkpoint.dir, or the context's checkpoint folder.
 
-def _own_dir(sc) -> str:
-    sc.setCheckpointDir(tempfile.mkdtemp(prefix="contrast-"))
-    return sc.getCheckpointDir()
+    On one machine the warehouse's folder will do; a cluster without a shared folder is an error.
+    """
+    sc = spark.sparkContext
+    known = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if known is None:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        known = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/contrast-scratch"
+    return known
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:

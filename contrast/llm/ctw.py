@@ -30,7 +30,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from contrast.llm.common import crc_remainder, materialise
+from contrast.llm.common import crc_remainder, give_back, materialise
 
 #: Bytes of a context at most; with the byte that follows they fit a positive number.
 DEPTH = 5
@@ -189,6 +189,7 @@ def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
+        give_back()
         chunk, held, size = TaskContext.get().partitionId() << 32, [], 0
         for batch in _sliced(batches, most):
             held.append(batch)
@@ -196,10 +197,9 @@ def gathered(rows: DataFrame, depth: int, buckets: int, most: int = CHUNK, part:
             if size >= most:
                 yield from closed(chunk, held)
                 chunk, held, size = chunk + 1, [], 0
-                pa.default_memory_pool().release_unused()
         if held:
             yield from closed(chunk, held)
-        pa.default_memory_pool().release_unused()
+        give_back()
 
     return rows.select("doc_id", "text", "held_out").mapInArrow(run, "chunk long, kind int, bucket int, data binary, n long")
 
@@ -286,6 +286,7 @@ def _by_bucket(rows: DataFrame, work, schema: str) -> DataFrame:
         each = ((b, batch.slice(i, j - i)) for batch in batches for b, i, j in _runs(batch.column("bucket").to_numpy()))
         for bucket, parts in groupby(each, key=lambda x: x[0]):
             yield from work(bucket, (p for _, p in parts))
+        give_back()
 
     return rows.repartition("bucket").sortWithinPartitions("bucket", "turn").mapInArrow(run, schema)
 
@@ -458,7 +459,7 @@ def scored(docs: DataFrame, id_column: str = "doc_id", text: str = "text", modul
             bits = -score * math.log2(10) / np.maximum(np.diff(texts.ends), 1)
             own = [batch.column("doc_id"), batch.column("held_out"), tokens + 1, seen + some, np.full(n, n_train), base_score + end_base, score, bits]
             made.append(pa.table([pa.array(c) if isinstance(c, np.ndarray) else c for c in own], names))
-        pa.default_memory_pool().release_unused()
+        give_back()
         return pa.concat_tables(made)
 
     schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, bits_per_byte double"
