@@ -83,6 +83,13 @@ class Measure:
     name: str
     formula: Callable
     strict: bool = True
+    inverse: Callable | None = None
+
+    def floor_column(self, score: Column) -> Column:
+        """The floor as a column, where it has a closed form."""
+        if self.inverse is None:
+            raise ValueError(f"{self.name} has no closed form of its floor")
+        return self.inverse(score)
 
     def column(self, a: Column, b: Column, p, n) -> Column:
         return self.formula(a, b, p, n, _Columns)
@@ -93,18 +100,17 @@ class Measure:
     def bound(self, a: Column, p, n) -> Column:
         return self.formula(a, F.lit(0), p, n, _Columns)
 
-    def bounds(self, p: int, n: int) -> np.ndarray:
-        """The bound for every positive support from 0 to p."""
-        a = np.arange(p + 1)
-        return np.maximum.accumulate(self.values(a, np.zeros(p + 1), p, n))
+    def bounds(self, a, p: int, n: int) -> np.ndarray:
+        """The bound for positive supports."""
+        return self.values(a, np.zeros(np.shape(a)), p, n)
 
     def floor(self, score: float, p: int, n: int) -> float:
         """Least share of positive rows whose bound reaches the score; by bisection where there is no closed form."""
         if score <= 0:
             return 0.0
         q = p / (p + n)
-        if self.name == "fscore":
-            return score / (2 - score)
+        if self.inverse is not None:
+            return self.inverse(score)
         if self.name == "chi2":
             return score / (1 - q + q * score)
         if self.name in ("suppdiff", "recall"):
@@ -118,7 +124,11 @@ class Measure:
         return high
 
 
-FSCORE = Measure("fscore", _fscore)
+def _fscore_floor(score: Column) -> Column:
+    return score / (2 - score)
+
+
+FSCORE = Measure("fscore", _fscore, inverse=_fscore_floor)
 CHI2 = Measure("chi2", _chi2)
 INFOGAIN = Measure("infogain", _infogain)
 SUPPDIFF = Measure("suppdiff", _suppdiff)

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from contrast.functions.measures import FSCORE, MEASURES
+from contrast.schema import SYMBOL
 
 #: SQL functions in SQL: no Python runs when they are used.
 DEFINITIONS = {
@@ -48,22 +49,21 @@ def contrast_mine(spark: SparkSession, table: str, cls: str, positive: str, meas
     return mine_covering(prepare(df, schema, F.col(f"`{cls}`").cast("string") == positive), MEASURES[measure]).patterns
 
 
-def as_predicate(text: str) -> Column:
-    """A rendered pattern as a condition on raw columns, which the scan can take; symbols are quoted."""
-    parts = []
-    for part in filter(None, text.split(", ")):
-        if " = " in part:
-            name, _, value = part.partition(" = ")
-            parts.append(F.col(f"`{name}`").cast("string") == value)
-            continue
-        words = part.split(" ")
-        if len(words) == 5:
-            parts.append((F.col(f"`{words[2]}`") >= float(words[0])) & (F.col(f"`{words[2]}`") < float(words[4])))
-        elif words[1] == "<=":
-            parts.append(F.col(f"`{words[2]}`") >= float(words[0]))
-        else:
-            parts.append(F.col(f"`{words[0]}`") < float(words[2]))
+def as_predicate(items, book) -> Column:
+    """A pattern (its items, as a row holds them) as a condition on raw columns, which the scan can take.
+
+    Made of the codebook's own cut-points and values, so it covers exactly the rows that the codes do.
+    """
     out = F.lit(True)
-    for p in parts:
-        out = out & p
+    for x in items:
+        attr, lo, hi = x["attr"], x["lo"], x["hi"]
+        column = F.col(f"`{book.schema.attributes[attr].name}`")
+        if book.schema.attributes[attr].kind == SYMBOL:
+            out &= column.cast("string") == book.values[attr][lo]
+            continue
+        if lo > 0:
+            out &= column >= book.edges[attr][lo - 1]
+        if hi <= len(book.edges[attr]):
+            out &= column < book.edges[attr][hi - 1]
+        out &= column.isNotNull()
     return out

@@ -1,7 +1,7 @@
 """What patterns cover, which of them stay, and what stays in their place.
 
-Tables: patterns (pattern_id, items, ...), tx (tx_id, codes, n_pos, n_neg). Patterns are few and are
-broadcast; each row meets those that cover it.
+Tables: patterns (pattern_id, items, ...), tx (tx_id, codes, n_pos, n_neg). Each row meets the patterns
+that cover it: few ones are sent to all tasks, more are joined by the codes of one of their items.
 """
 
 from __future__ import annotations
@@ -11,11 +11,23 @@ from pyspark.sql import functions as F
 
 from contrast.functions.measures import Measure, associated
 from contrast.functions.patterns import covers, item, pattern_id, subsumes
+from contrast.session import FEW, few
 
 
-def covered(tx: DataFrame, patterns: DataFrame) -> DataFrame:
-    """Each row with each pattern that covers it."""
-    return tx.join(F.broadcast(patterns), covers(F.col("items"), F.col("codes")))
+def covered(tx: DataFrame, patterns: DataFrame, most: int = FEW) -> DataFrame:
+    """Each row with each pattern that covers it.
+
+    Up to `most` patterns are broadcast. Beyond, a pattern is listed under each code of its narrowest
+    item, rows under each of their codes, and what meets there is tested whole; the empty pattern covers all.
+    """
+    held = covers(F.col("items"), F.col("codes"))
+    if few(patterns, most):
+        return tx.join(F.broadcast(patterns), held)
+    narrow = F.array_min(F.transform("items", lambda x: F.struct((x["hi"] - x["lo"]).alias("width"), x["attr"].alias("attr"), x["lo"].alias("lo"), x["hi"].alias("hi"))))
+    listed = patterns.where("size(items) > 0").withColumn("__n", narrow).withColumn("__code", F.explode(F.sequence(F.col("__n.lo"), F.col("__n.hi") - 1))).withColumn("__attr", F.col("__n.attr"))
+    rows = tx.select("*", F.posexplode("codes").alias("__attr", "__code")).where("__code >= 0")
+    met = rows.join(listed, ["__attr", "__code"]).where(held).drop("__attr", "__code", "__n")
+    return met.unionByName(tx.crossJoin(F.broadcast(patterns.where("size(items) = 0").limit(1))))
 
 
 def pattern_stats(tx: DataFrame, patterns: DataFrame) -> DataFrame:
@@ -36,12 +48,20 @@ def candidate_lists(tx: DataFrame, patterns: DataFrame) -> DataFrame:
     return each.select("tx_id", "pattern_id", "score", F.rank().over(Window.partitionBy("tx_id").orderBy(F.col("score").desc())).alias("place")).where("place = 1").drop("place")
 
 
-def offer(tx: DataFrame, patterns: DataFrame) -> DataFrame:
-    """tx with `best` raised to the best score among the patterns that cover a row; patterns are broadcast, rows don't move."""
-    scores = patterns.agg(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("down"), "items"))).alias("offers"))
-    first = F.filter("__offers", lambda x: covers(x["items"], F.col("codes")))
-    best = F.greatest(F.col("best"), -F.get(first, 0)["down"])
-    return tx.withColumn("__offers", scores.scalar()).withColumn("best", F.when(F.col("n_pos") > 0, best).otherwise(F.col("best"))).drop("__offers")
+def offer(tx: DataFrame, patterns: DataFrame, most: int = FEW) -> DataFrame:
+    """tx with `best` raised to the best score among the patterns that cover a row.
+
+    Up to `most` patterns come as one array, best first, and rows don't move; beyond, rows meet them by
+    covered() and join back on tx_id.
+    """
+    if few(patterns, most):
+        scores = patterns.agg(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("down"), "items"))).alias("offers"))
+        first = F.filter("__offers", lambda x: covers(x["items"], F.col("codes")))
+        best = F.greatest(F.col("best"), -F.get(first, 0)["down"])
+        return tx.withColumn("__offers", scores.scalar()).withColumn("best", F.when(F.col("n_pos") > 0, best).otherwise(F.col("best"))).drop("__offers")
+    met = covered(tx.where("n_pos > 0").select("tx_id", "codes"), patterns.select("items", "score"), most)
+    got = met.groupBy("tx_id").agg(F.max("score").alias("__best"))
+    return tx.join(got, "tx_id", "left").withColumn("best", F.greatest("best", "__best")).select(*tx.columns)
 
 
 def best_covering(tx: DataFrame, patterns: DataFrame) -> DataFrame:
@@ -79,7 +99,7 @@ def productive(patterns: DataFrame) -> DataFrame:
     """Patterns (with `score`) that score more than every pattern that strictly subsumes them."""
     general = patterns.select(F.col("items").alias("g_items"), F.col("score").alias("g_score"))
     worse = (F.col("g_score") >= F.col("score")) & subsumes(F.col("g_items"), F.col("items"), strict=True)
-    return patterns.join(F.broadcast(general), worse, "left_anti")
+    return patterns.join(F.broadcast(general) if few(general) else general, worse, "left_anti")
 
 
 def finished(tx: DataFrame, found: DataFrame, measure: Measure, p: int, n: int, is_symbol: Column, sizes: Column) -> DataFrame:

@@ -12,6 +12,8 @@ from contrast.schema import SYMBOL, HybridSchema, as_number
 
 #: Cut-points or symbols of one attribute that the driver takes; more are an error that asks for a coarser grid.
 LIMIT = 1_000_000
+#: Symbols of an attribute that stand in the plan as a constant map; more are a dictionary table.
+MAPPED = 1_000
 
 
 @dataclass(frozen=True)
@@ -64,8 +66,8 @@ def codebook(df: DataFrame, schema: HybridSchema, positive: Column, cuts: DataFr
 def encode(df: DataFrame, book: Codebook, positive: Column, keep: tuple[str, ...] = ()) -> DataFrame:
     """codes (array by attribute, -1 for none), is_pos, and the columns to keep.
 
-    Numbers find their base interval by binary search in the JVM, symbols theirs in a constant map; a
-    symbol that the book lacks has no code.
+    Numbers find their base interval by binary search in the JVM, symbols theirs in a constant map or, when
+    they are many, by a join with a dictionary; a symbol that the book lacks has no code.
     """
     schema = book.schema
     numbers = [(i, a) for i, a in schema.numbers() if book.edges[i]]
@@ -76,7 +78,11 @@ def encode(df: DataFrame, book: Codebook, positive: Column, keep: tuple[str, ...
         plain = cutter.transform(plain)
     codes = []
     for i, a in enumerate(schema.attributes):
-        if a.kind == SYMBOL:
+        if a.kind == SYMBOL and len(book.values[i]) > MAPPED:
+            words = df.sparkSession.createDataFrame(list(zip(book.values[i], range(len(book.values[i])))), f"__s{i} string, __c{i} int")
+            plain = plain.join(words, f"__s{i}", "left")
+            code = F.coalesce(F.col(f"__c{i}"), F.lit(-1))
+        elif a.kind == SYMBOL:
             known = F.create_map(*(F.lit(x) for k, v in enumerate(book.values[i]) for x in (v, k))) if book.values[i] else None
             code = F.lit(-1) if known is None else F.coalesce(F.try_element_at(known, F.col(f"__s{i}")), F.lit(-1))
         else:

@@ -8,6 +8,8 @@ all open nodes are counted in one pass.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.window import WindowSpec
@@ -60,31 +62,31 @@ def closed_ends(head: DataFrame) -> DataFrame:
     return head.where("n_pos > 0")
 
 
-def intervals(head: DataFrame, closed: bool = True, uppers: bool = True) -> DataFrame:
+def intervals(head: DataFrame, closed: bool = True, uppers: bool = True, admits: Callable[[Column, Column], Column] | None = None) -> DataFrame:
     """node, attr, lo, hi, n_pos, n_neg, least: all unions of neighbouring runs of a merged header.
 
-    Each attribute's runs become one array, whose running sums give an interval's counts as a
-    difference and its least best score as a least over a slice.
+    Counts are differences of running sums: with closed ends, of the runs with positives and what lies
+    between. admits(n_pos, least): whether an interval may stay. It holds for all that contain one that it
+    holds for, so from the top down: a run begins an interval only if the widest from there stays, and
+    then its ends run down to the narrowest that does. What doesn't stay is mostly never made.
     """
-    run = F.struct("code", "last", "n_pos", "n_neg", "least")
-    packed = head.groupBy("node", "attr").agg(F.array_sort(F.collect_list(run)).alias("runs"))
-
-    def of(i: Column) -> Column:
-        begin = F.get(F.col("runs"), i)
-        zero = F.struct(F.array().cast("array<struct<lo:int,hi:int,n_pos:bigint,n_neg:bigint,least:double>>").alias("out"), F.lit(0).cast("long").alias("p"), F.lit(0).cast("long").alias("q"), F.lit(None).cast("double").alias("m"))
-
-        def step(a: Column, r: Column) -> Column:
-            p, q, m = a["p"] + r["n_pos"], a["q"] + r["n_neg"], F.least(a["m"], r["least"])
-            one = F.struct(begin["code"].alias("lo"), (r["last"] + 1).alias("hi"), p.alias("n_pos"), q.alias("n_neg"), m.alias("least"))
-            add = (r["n_pos"] > 0) if closed else F.lit(True)
-            return F.struct(F.when(add, F.concat(a["out"], F.array(one))).otherwise(a["out"]).alias("out"), p.alias("p"), q.alias("q"), m.alias("m"))
-
-        rest = F.slice(F.col("runs"), i + 1, F.size("runs") if uppers else F.lit(1))
-        made = F.aggregate(rest, zero, step, lambda a: a["out"])
-        return F.when(begin["n_pos"] > 0, made).otherwise(F.slice(made, 1, 0)) if closed else made
-
-    starts = F.sequence(F.lit(0), F.size("runs") - 1)
-    return packed.select("node", "attr", F.explode(F.flatten(F.transform(starts, of))).alias("x")).select("node", "attr", "x.*")
+    upto, after = _by_code().rowsBetween(Window.unboundedPreceding, 0), _by_code().rowsBetween(0, Window.unboundedFollowing)
+    sums = head.select("*", F.sum("n_pos").over(upto).alias("to_p"), F.sum("n_neg").over(upto).alias("to_q"))
+    ends = closed_ends(sums) if closed else sums
+    if not uppers:
+        return ends.select("node", "attr", F.col("code").alias("lo"), (F.col("last") + 1).alias("hi"), "n_pos", "n_neg", "least")
+    if admits is not None:
+        widest = ends.select("*", F.sum("n_pos").over(after).alias("rest"), F.min("least").over(after).alias("floor"))
+        begins = widest.where(admits(F.col("rest"), F.col("floor"))).drop("rest", "floor")
+    else:
+        begins = ends
+    run = F.struct("code", "last", "to_p", "to_q", "least")
+    packed = ends.groupBy("node", "attr").agg(F.array_sort(F.collect_list(run)).alias("runs"))
+    begun = begins.select("node", "attr", "code", (F.col("to_p") - F.col("n_pos")).alias("from_p"), (F.col("to_q") - F.col("n_neg")).alias("from_q"))
+    each = begun.join(packed, ["node", "attr"]).select("node", "attr", "code", "from_p", "from_q", F.explode(F.filter("runs", lambda r: r["code"] >= F.col("code"))).alias("r"))
+    down = Window.partitionBy("node", "attr", "code").orderBy("r.code").rowsBetween(Window.unboundedPreceding, 0)
+    made = each.select("node", "attr", F.col("code").alias("lo"), (F.col("r.last") + 1).alias("hi"), (F.col("r.to_p") - F.col("from_p")).alias("n_pos"), (F.col("r.to_q") - F.col("from_q")).alias("n_neg"), F.min("r.least").over(down).alias("least"))
+    return made if admits is None else made.where(admits(F.col("n_pos"), F.col("least")))
 
 
 def intervals_by_width(head: DataFrame, widths: int) -> DataFrame:
@@ -98,19 +100,21 @@ def intervals_by_width(head: DataFrame, widths: int) -> DataFrame:
     return out
 
 
-def items(head: DataFrame, is_symbol: Column, sizes: Column, merge: bool = True, closed: bool = True, uppers: bool = True) -> DataFrame:
-    """All items that a node can be extended by; sizes: codes of each attribute. The whole line is no item."""
+def items(head: DataFrame, is_symbol: Column, sizes: Column, merge: bool = True, closed: bool = True, uppers: bool = True, admits: Callable[[Column, Column], Column] | None = None) -> DataFrame:
+    """All items that a node can be extended by, or those that are admitted; sizes: codes of each attribute. The whole line is no item."""
     symbols = head.where(is_symbol & (F.col("n_pos") > 0)).select("node", "attr", F.col("code").alias("lo"), (F.col("code") + 1).alias("hi"), "n_pos", "n_neg", "least")
     numbers = head.where(~is_symbol)
     runs = remerge(numbers) if merge else numbers.withColumn("last", F.col("code"))
-    made = intervals(runs, closed, uppers)
+    if admits is not None:
+        symbols = symbols.where(admits(F.col("n_pos"), F.col("least")))
+    made = intervals(runs, closed, uppers, admits)
     whole = (F.col("lo") == 0) & (F.col("hi") == F.get(sizes, F.col("attr")))
     return symbols.unionByName(made.where(~whole & (F.col("n_pos") > 0)))
 
 
-def above_floor(found: DataFrame, measure: Measure, p: int, n: int) -> DataFrame:
-    """Items whose bound reaches the least best score of the positives they cover; ties stay."""
-    return found.where(measure.bound(F.col("n_pos"), p, n) >= F.coalesce(F.col("least"), F.lit(0.0)))
+def above_floor(measure: Measure, p: int, n: int) -> Callable[[Column, Column], Column]:
+    """Whether a bound reaches the least best score of the positives that are covered; ties stay."""
+    return lambda n_pos, least: measure.bound(n_pos, p, n) >= F.coalesce(least, F.lit(0.0))
 
 
 def scored(found: DataFrame, measure: Measure, p: int, n: int) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from contrast.functions.measures import FSCORE, Measure
 from contrast.functions.patterns import PATTERN, covers, pattern_id
-from contrast.operators.constraints import covered, pattern_stats, with_shares
+from contrast.operators.constraints import covered
 from contrast.plans.kernel import Options
 from contrast.session import settled
 
@@ -86,7 +86,3 @@ def area_under_curve(predicted: DataFrame, positive: str, margin: str = "margin"
     below = F.sum("q").over(Window.orderBy(margin).rowsBetween(Window.unboundedPreceding, -1))
     ranked = by.select("p", "q", F.coalesce(below, F.lit(0)).alias("below"))
     return ranked.agg((F.sum(F.col("p") * (F.col("below") + F.col("q") / 2)) / (F.sum("p") * F.sum("q"))).alias("auc"))
-
-
-def recounted(tx: DataFrame, patterns: DataFrame, p: int, n: int) -> DataFrame:
-    return with_shares(pattern_stats(tx, patterns), p, n)

@@ -24,7 +24,9 @@ class Options:
     floor: 'cover' as described, 'none', or 'everywhere' for one floor for all nodes, which loses
     answers. support: a fixed least number of positives. pure_leaves: don't extend what has no negatives.
     visits, seconds: where to stop. length: items of a pattern at most. top: instead of the best of each
-    row, so many patterns in all.
+    row, so many patterns in all. prune: 'bound' compares a node's bound with the floor's score, 'support'
+    its positives with the least support that reaches it; both leave the same nodes. closure: a node goes on
+    from the closure of its positives, and positives that were met from no later an attribute are left out.
     """
 
     merge: bool = True
@@ -38,6 +40,8 @@ class Options:
     seconds: float | None = None
     length: int | None = None
     top: int | None = None
+    prune: str = "bound"
+    closure: bool = False
 
 
 @dataclass
@@ -58,7 +62,7 @@ class Search:
         self.codes, self.pos, self.neg = codes, pos.astype(np.int64), neg.astype(np.int64)
         self.sizes, self.symbol, self.measure, self.p, self.n, self.options = sizes, symbol, measure, p, n, options
         self.best = np.zeros(len(pos)) if best is None else best.astype(np.float64)
-        self.bounds = measure.bounds(p, n)
+        self.met: dict[bytes, int] = {}
         self.found = Found()
         self.tops: list[float] = []
         self.everywhere = 0.0
@@ -89,6 +93,15 @@ class Search:
             return np.full(len(least), self.everywhere)
         return least
 
+    def reaches(self, p: np.ndarray, least: np.ndarray) -> np.ndarray:
+        """Whether positive supports may still give what must be reached."""
+        floor = self.floors(least)
+        if self.options.prune == "support":
+            levels, place = np.unique(floor, return_inverse=True)
+            needed = np.array([self.measure.floor(float(x), self.p, self.n) * self.p for x in levels])
+            return p >= needed[place] * (1 - 1e-12)
+        return self.measure.bounds(p, self.p, self.n) >= floor
+
     def extensions(self, rows: np.ndarray, attr: int) -> tuple[np.ndarray, ...]:
         """lo, hi, positives, negatives and least best score of the attribute's items that cover positives."""
         code = self.codes[rows, attr]
@@ -139,6 +152,15 @@ class Search:
             if len(self.found.patterns) > 20_000:
                 self.tidy()
 
+    @staticmethod
+    def added(items, item) -> tuple:
+        """Items with one more; an item of the same attribute, which a closure may have, is narrowed."""
+        rest = [x for x in items if x[0] != item[0]]
+        for attr, lo, hi in items:
+            if attr == item[0]:
+                item = (attr, max(lo, item[1]), min(hi, item[2]))
+        return tuple(sorted((*rest, item)))
+
     def cover(self, items) -> np.ndarray:
         held = np.ones(len(self.pos), bool)
         for attr, lo, hi in items:
@@ -154,11 +176,31 @@ class Search:
         else:
             self.found.patterns = [(items, score) for items, score in self.found.patterns if (self.best[self.cover(items) & (self.pos > 0)] <= score).any()]
 
+    def closed(self, rows: np.ndarray, items) -> tuple[np.ndarray, tuple]:
+        """The rows of the closure of these rows' positives, and its items: the spans of their codes."""
+        own = self.codes[rows[self.pos[rows] > 0]]
+        lo, hi = own.min(axis=0), own.max(axis=0) + 1
+        spans = [(a, int(x), int(y)) for a, (x, y) in enumerate(zip(lo, hi)) if x >= 0 and (y == x + 1 if self.symbol[a] else (x, y) != (0, self.sizes[a]))]
+        for attr, a, b in spans:
+            rows = rows[(self.codes[rows, attr] >= a) & (self.codes[rows, attr] < b)]
+        return rows, tuple(spans)
+
     def visit(self, rows: np.ndarray, items, first: int) -> None:
         children = []
+        if self.options.closure and len(items):
+            rows, closure = self.closed(rows, items)
+            key = rows[self.pos[rows] > 0].tobytes()
+            if self.met.get(key, len(self.sizes)) <= first:
+                self.found.pruned_closed += 1
+                return
+            self.met[key] = first
+            p, q = int(self.pos[rows].sum()), int(self.neg[rows].sum())
+            if p * self.n >= q * self.p:
+                self.offer(rows, closure, float(self.measure.values(p, q, self.p, self.n)))
+            items = closure
         for attr in range(first, len(self.sizes)):
             lo, hi, p, q, least = self.extensions(rows, attr)
-            keep = (self.bounds[p] >= self.floors(least)) & (p >= self.options.support)
+            keep = self.reaches(p, least) & (p >= self.options.support)
             self.found.visited += int(keep.sum())
             self.found.pruned_floor += int((~keep).sum())
             lo, hi, p, q, least = lo[keep], hi[keep], p[keep], q[keep], least[keep]
@@ -169,7 +211,7 @@ class Search:
         for down, attr, lo, hi, p, q in children:
             if p * self.n >= q * self.p:
                 held = rows[(self.codes[rows, attr] >= lo) & (self.codes[rows, attr] < hi)]
-                self.offer(held, (*items, (attr, lo, hi)), -down)
+                self.offer(held, self.added(items, (attr, lo, hi)), -down)
                 if self.options.floor == "everywhere":  # what one floor for all nodes would be raised to
                     self.everywhere = max(self.everywhere, self.best[held[self.pos[held] > 0]].min(initial=np.inf))
         if self.options.length is not None and len(items) + 1 >= self.options.length:
@@ -180,7 +222,7 @@ class Search:
             if attr + 1 == len(self.sizes) or (q == 0 and self.options.pure_leaves and self.measure.strict):
                 continue
             held = rows[(self.codes[rows, attr] >= lo) & (self.codes[rows, attr] < hi)]
-            if self.bounds[p] < self.floors(np.array([self.best[held[self.pos[held] > 0]].min()]))[0]:
+            if not self.reaches(np.array([p]), np.array([self.best[held[self.pos[held] > 0]].min()]))[0]:
                 self.found.pruned_floor += 1
                 continue
-            self.visit(held, (*items, (attr, lo, hi)), attr + 1)
+            self.visit(held, self.added(items, (attr, lo, hi)), attr + 1)

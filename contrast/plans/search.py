@@ -87,9 +87,8 @@ def _children(prep: Prepared, tx: DataFrame, nodes: DataFrame | None, measure: M
     head = lattice.header(rows)
     head = lattice.drop_rare_attributes(head, prep.is_symbol(), F.lit(options.support))
     head = lattice.drop_rare_symbols(head, prep.is_symbol(), F.lit(options.support))
-    found = lattice.items(head, prep.is_symbol(), prep.size_column(), options.merge, options.closed, options.uppers).where(F.col("n_pos") >= options.support)
-    if options.floor == "cover" and options.top is None:
-        found = lattice.above_floor(found, measure, prep.p, prep.n)
+    admits = lattice.above_floor(measure, prep.p, prep.n) if options.floor == "cover" and options.top is None else None
+    found = lattice.items(head, prep.is_symbol(), prep.size_column(), options.merge, options.closed, options.uppers, admits).where(F.col("n_pos") >= options.support)
     scored = lattice.scored(found, measure, prep.p, prep.n)
     one = F.array(item(F.col("attr"), F.col("lo"), F.col("hi")))
     if nodes is None:
@@ -254,8 +253,12 @@ def mine_covering(prep: Prepared, measure: Measure = FSCORE, options: Options =
 
 
 def mine_topk(prep: Prepared, k: int, measure: Measure = FSCORE, options: Options = Options(), strategy: str = "hybrid") -> Answer:
-    """The k positively associated patterns of the highest scores; equal scores go by pattern id."""
-    found, stats = search(prep, measure, replace(options, top=k, pure_leaves=False), strategy, waves=1)
+    """The k positively associated patterns of the highest scores, of all patterns; equal scores go by pattern id.
+
+    All means also those that merged or closed ends would leave out for a pattern of equal positives, so
+    both are off, whatever the options say.
+    """
+    found, stats = search(prep, measure, replace(options, top=k, merge=False, closed=False, closure=False, pure_leaves=False), strategy, waves=1)
     own = found.select(pattern_id(F.col("items")).alias("pattern_id"), "items").distinct()
     counted = constraints.with_shares(constraints.pattern_stats(prep.tx, own), prep.p, prep.n)
     best = counted.select("*", measure.column(F.col("n_pos"), F.col("n_neg"), prep.p, prep.n).alias("score")).orderBy(F.col("score").desc(), "pattern_id").limit(k)

@@ -63,7 +63,8 @@ root AS (SELECT i.attr, i.lo, i.hi, CAST(sum(l.n_pos) AS BIGINT) AS n_pos, CAST(
 SCORES = {
     "fscore": "2::DOUBLE * n_pos / (p + n_pos + n_neg)",
     "suppdiff": "n_pos / p::DOUBLE - n_neg / n::DOUBLE",
-    "chi2": "CASE WHEN n_pos + n_neg > 0 AND n_pos + n_neg < p + n THEN power(n_pos::DOUBLE * n - n_neg::DOUBLE * p, 2) / ((n_pos + n_neg)::DOUBLE * (p + n - n_pos - n_neg) * p * n) ELSE 0 END",
+    "confidence": "n_pos / (n_pos + n_neg)::DOUBLE",
+    "chi2": "CASE WHEN n_pos + n_neg > 0 AND n_pos + n_neg < p + n THEN (n_pos::DOUBLE * n - n_neg::DOUBLE * p) * (n_pos::DOUBLE * n - n_neg::DOUBLE * p) / ((n_pos + n_neg)::DOUBLE * (p + n - n_pos - n_neg) * p * n) ELSE 0 END",
 }
 
 
@@ -86,16 +87,34 @@ rule AS (SELECT {item_id()} AS pattern_id, attr, lo, hi, n_pos, n_neg, {score} A
 met AS (SELECT l.tx_id, r.pattern_id, r.score FROM long l JOIN rule r ON l.attr = r.attr AND l.code >= r.lo AND l.code < r.hi WHERE l.n_pos > 0)"""
 
 
-def pairs(symbol_second: bool = False) -> str:
-    """pat (pattern_id, l0, h0, l1, h1, n_pos, n_neg, score, admitted): all patterns over attributes 0 and 1 that cover a row; hit: each positive row with its admitted ones; clo: closures."""
-    span = "CASE WHEN max(k1) = min(k1) THEN {} END" if symbol_second else "CASE WHEN NOT (min(k1) = 0 AND max(k1) + 1 = (SELECT size FROM sizes WHERE attr = 1)) THEN {} END"
-    ids = "concat_ws(';', CASE WHEN l0 IS NOT NULL THEN '0:' || l0 || ':' || h0 END, CASE WHEN l1 IS NOT NULL THEN '1:' || l1 || ':' || h1 END)"
+def patterns(schema: HybridSchema, measure: str = "fscore") -> str:
+    """All patterns over a schema of a few attributes, after base().
+
+    pat (pattern_id, l0, h0, ..., n_pos, n_neg, score, admitted): those that cover a row; hit: each positive
+    row with its admitted ones and their place; clid (pattern_id, closure).
+    """
+    every = range(len(schema.attributes))
+    symbols = {i for i, _ in schema.symbols()}
+    bounds = ", ".join(f"l{i}, h{i}" for i in every)
+    ids = "concat_ws(';', " + ", ".join(f"CASE WHEN l{i} IS NOT NULL THEN '{i}:' || l{i} || ':' || h{i} END" for i in every) + ")"
+    covers = " AND ".join(f"(l{i} IS NULL OR (k{i} >= l{i} AND k{i} < h{i}))" for i in every)
+    ks = ", ".join(f"k{i}" for i in every)
+    whole = lambda i: f"min(k{i}) < 0 OR " + (f"min(k{i}) <> max(k{i})" if i in symbols else f"(min(k{i}) = 0 AND max(k{i}) + 1 = (SELECT size FROM sizes WHERE attr = {i}))")
+    spans = ", ".join(f"CASE WHEN {whole(i)} THEN NULL ELSE min(k{i}) END AS l{i}, CASE WHEN {whole(i)} THEN NULL ELSE max(k{i}) + 1 END AS h{i}" for i in every)
+    ones = ",\n".join(f"one{i} AS (SELECT lo AS l{i}, hi AS h{i} FROM items WHERE attr = {i} UNION ALL SELECT NULL, NULL)" for i in every)
     return f""",
-one0 AS (SELECT lo AS l0, hi AS h0 FROM items WHERE attr = 0 UNION ALL SELECT NULL, NULL),
-one1 AS (SELECT lo AS l1, hi AS h1 FROM items WHERE attr = 1 UNION ALL SELECT NULL, NULL),
-cell2 AS (SELECT k0, k1, sum(n_pos) AS n_pos, sum(n_neg) AS n_neg FROM tx GROUP BY k0, k1),
-sum2 AS (SELECT l0, h0, l1, h1, CAST(sum(n_pos) AS BIGINT) AS n_pos, CAST(sum(n_neg) AS BIGINT) AS n_neg FROM cell2, one0, one1 WHERE (l0 IS NULL OR (k0 >= l0 AND k0 < h0)) AND (l1 IS NULL OR (k1 >= l1 AND k1 < h1)) AND NOT (l0 IS NULL AND l1 IS NULL) GROUP BY l0, h0, l1, h1),
-pat AS (SELECT {ids} AS pattern_id, l0, h0, l1, h1, n_pos, n_neg, {SCORES['fscore']} AS score, n_pos > 0 AND n_pos * n >= n_neg * p AS admitted FROM sum2, tot),
-hit AS (SELECT t.tx_id, t.k0, t.k1, t.n_pos, q.pattern_id, q.score, rank() OVER (PARTITION BY t.tx_id ORDER BY q.score DESC) AS place FROM tx t JOIN pat q ON (l0 IS NULL OR (k0 >= l0 AND k0 < h0)) AND (l1 IS NULL OR (k1 >= l1 AND k1 < h1)) WHERE t.n_pos > 0 AND q.admitted),
-clo AS (SELECT pattern_id, CASE WHEN NOT (min(k0) = 0 AND max(k0) + 1 = (SELECT size FROM sizes WHERE attr = 0)) THEN min(k0) END AS l0, CASE WHEN NOT (min(k0) = 0 AND max(k0) + 1 = (SELECT size FROM sizes WHERE attr = 0)) THEN max(k0) + 1 END AS h0, {span.format('min(k1)')} AS l1, {span.format('max(k1) + 1')} AS h1 FROM hit GROUP BY pattern_id),
+{ones},
+cells AS (SELECT {ks}, sum(n_pos) AS n_pos, sum(n_neg) AS n_neg FROM tx GROUP BY {ks}),
+sums AS (SELECT {bounds}, CAST(sum(n_pos) AS BIGINT) AS n_pos, CAST(sum(n_neg) AS BIGINT) AS n_neg FROM cells, {', '.join(f'one{i}' for i in every)} WHERE {covers} AND NOT ({' AND '.join(f'l{i} IS NULL' for i in every)}) GROUP BY {bounds}),
+pat AS (SELECT {ids} AS pattern_id, {bounds}, n_pos, n_neg, {SCORES[measure]} AS score, n_pos > 0 AND n_pos * n >= n_neg * p AS admitted FROM sums, tot),
+hit AS (SELECT t.tx_id, {', '.join(f't.k{i}' for i in every)}, t.n_pos, q.pattern_id, q.score, rank() OVER (PARTITION BY t.tx_id ORDER BY q.score DESC) AS place FROM tx t JOIN pat q ON {covers} WHERE t.n_pos > 0 AND q.admitted),
+clo AS (SELECT pattern_id, {spans} FROM hit GROUP BY pattern_id),
 clid AS (SELECT pattern_id, {ids} AS closure FROM clo)"""
+
+
+def covering() -> str:
+    """The covering answer, after patterns(): closures of each row's best, and of these the best for some row."""
+    return """,
+closure AS (SELECT DISTINCT c.closure FROM hit h JOIN clid c USING (pattern_id) WHERE h.place = 1 AND c.closure <> ''),
+again AS (SELECT h.tx_id, q.pattern_id, rank() OVER (PARTITION BY h.tx_id ORDER BY q.score DESC) AS place FROM closure c JOIN pat q ON q.pattern_id = c.closure AND q.admitted JOIN hit h ON h.pattern_id = q.pattern_id),
+answer AS (SELECT * FROM pat WHERE pattern_id IN (SELECT pattern_id FROM again WHERE place = 1))"""

@@ -71,6 +71,7 @@ def _all_pairs(prep: search.Prepared) -> DataFrame:
 
 _BASE = twins.base("documents", SMALL, BAD)
 _PAIR = twins.base("documents", PAIR, BAD)
+_PAIRS = _PAIR + twins.patterns(PAIR)
 
 
 @query(_BASE + " SELECT * FROM hist")
@@ -257,7 +258,7 @@ for _m in (FSCORE, CHI2, INFOGAIN, SUPPDIFF):
 def bound_and_floor(spark, sf_dir):
     prep = _prepared(spark, sf_dir)
     found = lattice.scored(_root(prep, merge=False, closed=False), FSCORE, prep.p, prep.n)
-    return found.select("attr", "lo", "hi", "n_pos", F.round(FSCORE.bound(F.col("n_pos"), prep.p, prep.n), 6).alias("bound"), F.round(F.col("score") / (2 - F.col("score")), 6).alias("floor"))
+    return found.select("attr", "lo", "hi", "n_pos", F.round(FSCORE.bound(F.col("n_pos"), prep.p, prep.n), 6).alias("bound"), F.round(FSCORE.floor_column(F.col("score")), 6).alias("floor"))
 
 
 @query()
@@ -269,13 +270,24 @@ def measures_monotone(spark, sf_dir):
 
 # Searches and constraints
 
+_ANSWER = " SELECT pattern_id, n_pos, n_neg, round(score, 6) AS score FROM answer"
+
+
+def _told(patterns: DataFrame) -> DataFrame:
+    return patterns.select("pattern_id", "n_pos", "n_neg", F.round("score", 6).alias("score"))
+
+
+def _small(measure: Measure = FSCORE, positive: str = BAD) -> str:
+    return twins.base("documents", SMALL, positive) + twins.patterns(SMALL, measure.name) + twins.covering()
+
+
 @query(_BASE + twins.rules() + " SELECT pattern_id, n_pos, n_neg, round(score, 6) AS score FROM rule ORDER BY rule.score DESC, pattern_id LIMIT 10")
 def top_items_doc(spark, sf_dir):
     best = _rules(_prepared(spark, sf_dir)).orderBy(F.col("score").desc(), "pattern_id").limit(10)
     return best.select("pattern_id", "n_pos", "n_neg", F.round("score", 6).alias("score"))
 
 
-@query(_PAIR + twins.pairs() + " SELECT place, round(score, 6) AS score FROM (SELECT row_number() OVER (ORDER BY score DESC, pattern_id) AS place, score FROM pat WHERE admitted) WHERE place <= 10")
+@query(_PAIRS + " SELECT place, round(score, 6) AS score FROM (SELECT row_number() OVER (ORDER BY score DESC, pattern_id) AS place, score FROM pat WHERE admitted) WHERE place <= 10")
 def topk_pairs_doc(spark, sf_dir):
     from pyspark.sql import Window
 
@@ -284,7 +296,7 @@ def topk_pairs_doc(spark, sf_dir):
     return found.select(F.row_number().over(Window.orderBy(F.col("score").desc(), "pattern_id")).cast("long").alias("place"), F.round("score", 6).alias("score"))
 
 
-@query(_PAIR + twins.pairs() + " SELECT tx_id, round(max(score), 6) AS best FROM hit GROUP BY tx_id")
+@query(_PAIRS + " SELECT tx_id, round(max(score), 6) AS best FROM hit GROUP BY tx_id")
 def cover_best_pairs(spark, sf_dir):
     """The best score of each positive row, as the whole search finds it, against all patterns of two attributes."""
     prep = _prepared(spark, sf_dir, PAIR)
@@ -293,11 +305,9 @@ def cover_best_pairs(spark, sf_dir):
 
 
 @query(
-    _PAIR
-    + twins.pairs()
-    + """, closure AS (SELECT DISTINCT c.closure FROM hit h JOIN clid c USING (pattern_id) WHERE h.place = 1 AND c.closure <> ''),
-again AS (SELECT h.tx_id, q.pattern_id, rank() OVER (PARTITION BY h.tx_id ORDER BY q.score DESC) AS place FROM closure c JOIN pat q ON q.pattern_id = c.closure AND q.admitted JOIN hit h ON h.pattern_id = q.pattern_id)
-SELECT pattern_id, n_pos, n_neg, round(score, 6) AS score FROM pat WHERE pattern_id IN (SELECT pattern_id FROM again WHERE place = 1)"""
+    _PAIRS
+    + twins.covering()
+    + _ANSWER
 )
 def mine_covering_pairs(spark, sf_dir):
     """The whole answer over two attributes, against the same by brute force."""
@@ -319,7 +329,7 @@ def scoped_floor(spark, sf_dir):
     return floors.select("pattern_id", F.round("floor", 6).alias("floor"))
 
 
-@query(_PAIR + twins.pairs() + " SELECT pattern_id, round(score, 6) AS score FROM pat JOIN clid USING (pattern_id) WHERE closure = pattern_id")
+@query(_PAIRS + " SELECT pattern_id, round(score, 6) AS score FROM pat JOIN clid USING (pattern_id) WHERE closure = pattern_id")
 def closed_on_positives(spark, sf_dir):
     prep = _prepared(spark, sf_dir, PAIR)
     found = _all_pairs(prep).where("admitted and n_pos > 0")
@@ -327,8 +337,7 @@ def closed_on_positives(spark, sf_dir):
 
 
 @query(
-    _PAIR
-    + twins.pairs()
+    _PAIRS
     + """, spans AS (SELECT pattern_id, any_value(l0) AS l0, any_value(h0) AS h0, any_value(l1) AS l1, any_value(h1) AS h1, min(k0) AS a0, max(k0) + 1 AS b0, min(k1) AS a1, max(k1) + 1 AS b1 FROM tx JOIN pat ON (l0 IS NULL OR (k0 >= l0 AND k0 < h0)) AND (l1 IS NULL OR (k1 >= l1 AND k1 < h1)) WHERE admitted GROUP BY pattern_id)
 SELECT pattern_id FROM spans WHERE (CASE WHEN a0 = 0 AND b0 = (SELECT size FROM sizes WHERE attr = 0) THEN l0 IS NULL ELSE l0 IS NOT DISTINCT FROM a0 AND h0 IS NOT DISTINCT FROM b0 END) AND (CASE WHEN a1 = 0 AND b1 = (SELECT size FROM sizes WHERE attr = 1) THEN l1 IS NULL ELSE l1 IS NOT DISTINCT FROM a1 AND h1 IS NOT DISTINCT FROM b1 END)"""
 )
@@ -338,7 +347,7 @@ def closed_on_all(spark, sf_dir):
     return constraints.closed(prep.tx, found, prep.is_symbol(), prep.size_column(), on_all=True).select("pattern_id")
 
 
-@query(_PAIR + twins.pairs() + " SELECT DISTINCT pattern_id FROM hit WHERE place = 1")
+@query(_PAIRS + " SELECT DISTINCT pattern_id FROM hit WHERE place = 1")
 def best_covering(spark, sf_dir):
     prep = _prepared(spark, sf_dir, PAIR)
     return constraints.best_covering(prep.tx, _all_pairs(prep).where("admitted and n_pos > 0")).select("pattern_id")
@@ -387,31 +396,89 @@ def mine_covering_good(spark, sf_dir):
     return answer.patterns.select("pattern_id", "n_pos", "n_neg", "conf", "pos_supp", "score", "text")
 
 
-@query()
-def mine_covering_toxic(spark, sf_dir):
-    """The hard case: a rare class that these attributes hardly tell; stopped after a number of visits."""
-    schema = HybridSchema((*tables.DOCUMENTS.attributes[:6], symbol("quality")))
-    answer = search.mine_covering(search.prepare(_docs(spark, sf_dir, "toxic"), schema, F.col("cls") == "1"), options=Options(visits=200_000, seconds=30))
-    return answer.stats
+def _covering(name: str, measure: Measure = FSCORE, strategy: str = "hybrid", options: Options = Options(), good: bool = False) -> None:
+    """The whole answer over two numbers and a symbol, against all patterns by brute force."""
 
+    def f(spark, sf_dir):
+        prep = search.prepare(_docs(spark, sf_dir), SMALL, F.col("cls") == "1") if good else _prepared(spark, sf_dir)
+        return _told(search.mine_covering(prep, measure, options, strategy).patterns)
 
-@query()
-def mine_covering_level(spark, sf_dir):
-    """The same search in Spark alone, level by level."""
-    answer = search.mine_covering(_prepared(spark, sf_dir), strategy="level")
-    return answer.patterns.select("pattern_id", "n_pos", "n_neg", "score", "text")
+    QUERIES[name] = f
+    ORACLE_SQL[name] = _small(measure, "quality = '1'" if good else BAD) + _ANSWER
 
 
-@query()
+for _name, _given in {
+    "mine_covering_small": {},
+    "mine_covering_good_small": {"good": True},
+    "mine_covering_level": {"strategy": "level"},
+    "mine_covering_depth": {"strategy": "depth"},
+    "mine_covering_chi2": {"measure": CHI2},
+    "mine_covering_infogain": {"measure": INFOGAIN},
+    "mine_covering_suppdiff": {"measure": SUPPDIFF},
+    "mine_covering_closure_jump": {"options": Options(closure=True)},
+    "mine_covering_by_support": {"options": Options(prune="support")},
+    "mine_covering_unpruned": {"options": Options(floor="none", merge=False, closed=False, pure_leaves=False), "strategy": "depth"},
+}.items():
+    _covering(_name, **_given)
+
+
+@query(_PAIR + twins.patterns(PAIR, "confidence") + twins.covering() + _ANSWER)
 def mine_covering_confidence(spark, sf_dir):
-    """Highest-confidence covering: the same search by another measure."""
-    answer = search.mine_covering(_prepared(spark, sf_dir, PAIR), CONFIDENCE)
-    return answer.patterns.select("pattern_id", "n_pos", "n_neg", "conf", "score", "text")
+    """Highest-confidence covering: the same search by another measure.
+
+    Without merging at nodes: by confidence a narrower interval of a pure run ties with the whole run.
+    """
+    return _told(search.mine_covering(_prepared(spark, sf_dir, PAIR), CONFIDENCE, Options(merge=False)).patterns)
+
+
+@query(_small() + " SELECT count(*) AS patterns, min(k) AS shortest, max(k) AS longest, CAST(sum(k) AS BIGINT) AS items FROM (SELECT len(string_split(pattern_id, ';')) AS k FROM answer)")
+def answer_lengths(spark, sf_dir):
+    """How many patterns an answer has, and of how many items."""
+    k = F.size("items").cast("long")
+    return search.mine_covering(_prepared(spark, sf_dir)).patterns.agg(F.count(F.lit(1)).alias("patterns"), F.min(k).alias("shortest"), F.max(k).alias("longest"), F.sum(k).alias("items"))
+
+
+@query(_small() + " SELECT CAST(sum(n_pos) AS BIGINT) AS covered, any_value(p) AS positives, sum(n_pos) / any_value(p)::DOUBLE AS share FROM tx, tot WHERE tx_id IN (SELECT tx_id FROM hit WHERE pattern_id IN (SELECT pattern_id FROM answer))")
+def answer_coverage(spark, sf_dir):
+    prep = _prepared(spark, sf_dir)
+    return search.coverage(prep, search.mine_covering(prep).patterns)
+
+
+@query(twins.base("documents", SMALL, BAD) + twins.patterns(SMALL) + " SELECT pattern_id, n_pos, n_neg, round(score, 6) AS score FROM pat WHERE admitted ORDER BY pat.score DESC, pattern_id LIMIT 20")
+def mine_topk_small(spark, sf_dir):
+    return _told(search.mine_topk(_prepared(spark, sf_dir), 20).patterns)
+
+
+@query(_PAIRS + " SELECT pattern_id, n_pos, n_neg, round(score, 6) AS score FROM pat WHERE admitted ORDER BY pat.score DESC, pattern_id LIMIT 20")
+def mine_topk_pairs(spark, sf_dir):
+    return _told(search.mine_topk(_prepared(spark, sf_dir, PAIR), 20).patterns)
+
+
+_INDEPENDENT = "(SELECT CAST(3 * k AS BIGINT) AS n_pos, CAST(7 * k AS BIGINT) AS n_neg FROM range(1, 10) t(k)), (SELECT CAST(30 AS BIGINT) AS p, CAST(70 AS BIGINT) AS n)"
+
+
+@query(" UNION ALL ".join(f"SELECT '{m}' AS measure, n_pos, round({twins.SCORES[m]}, 6) + 0.0 AS score FROM {_INDEPENDENT}" for m in ("fscore", "chi2", "infogain", "suppdiff")))
+def zero_at_independence(spark, sf_dir):
+    """Measures of patterns that are independent of the class: all but the F-score are zero there."""
+    counts = spark.range(1, 10).select((3 * F.col("id")).alias("a"), (7 * F.col("id")).alias("b"))
+    each = [counts.select(F.lit(m.name).alias("measure"), F.col("a").alias("n_pos"), (F.round(m.column(F.col("a"), F.col("b"), F.lit(30), F.lit(70)), 6) + 0.0).alias("score")) for m in (FSCORE, CHI2, INFOGAIN, SUPPDIFF)]
+    return each[0].unionByName(each[1]).unionByName(each[2]).unionByName(each[3])
 
 
 @query()
-def mine_covering_chi2(spark, sf_dir):
-    return search.mine_covering(_prepared(spark, sf_dir), CHI2).patterns.select("pattern_id", "n_pos", "n_neg", "score", "text")
+def mine_covering_toxic(spark, sf_dir):
+    """The hard case, a rare class that these attributes hardly tell, to its end: patterns, with the visits it took."""
+    schema = HybridSchema((*SMALL.attributes, number("digit_pct"), symbol("quality")))
+    answer = search.mine_covering(search.prepare(_docs(spark, sf_dir, "toxic"), schema, F.col("cls") == "1"))
+    return answer.patterns.select("pattern_id", "n_pos", "n_neg", "score", "text").join(answer.stats.select("visited", "complete"))
+
+
+@query()
+def mine_toxic_anytime(spark, sf_dir):
+    """The same on more attributes, stopped after a number of visits: what it has by then, marked as incomplete."""
+    schema = HybridSchema((*tables.DOCUMENTS.attributes[:6], symbol("quality")))
+    answer = search.mine_covering(search.prepare(_docs(spark, sf_dir, "toxic"), schema, F.col("cls") == "1"), options=Options(visits=200_000))
+    return answer.patterns.select("pattern_id", "n_pos", "n_neg", "score", "text").join(answer.stats.select("visited", "complete"))
 
 
 @query()
@@ -427,29 +494,53 @@ def mine_stats_doc(spark, sf_dir):
     return answer.stats.join(search.coverage(prep, answer.patterns))
 
 
+FIRST, CAPPED = SMALL.reordered("symbols_first"), SMALL.limited(1)
 ABLATIONS = {
-    "all": (Options(), {}),
-    "no merge of cuts": (Options(), {"merge_pos": False, "merge_neg": False}),
-    "no merge at nodes": (Options(merge=False), {}),
-    "no closed ends": (Options(closed=False), {}),
-    "given order": (Options(order="given"), {}),
-    "base items only": (Options(uppers=False), {}),
-    "fixed support": (Options(floor="none", support=5), {}),
-    "no floor": (Options(floor="none"), {}),
+    "all": (Options(), SMALL, {}),
+    "no merge of cuts": (Options(), SMALL, {"merge_pos": False, "merge_neg": False}),
+    "no merge at nodes": (Options(merge=False), SMALL, {}),
+    "no closed ends": (Options(closed=False), SMALL, {}),
+    "given order": (Options(order="given"), SMALL, {}),
+    "symbols first": (Options(order="given"), FIRST, {}),
+    "one number": (Options(), CAPPED, {}),
+    "closure in the search": (Options(closure=True), SMALL, {}),
+    "raised support": (Options(prune="support"), SMALL, {}),
+    "base items only": (Options(uppers=False), SMALL, {}),
+    "fixed support": (Options(floor="none", support=5), SMALL, {}),
+    "no floor": (Options(floor="none"), SMALL, {}),
 }
 
 
 @query()
 def ablations(spark, sf_dir):
-    """Visits with each part of the search left out, in one task each; the pruned ones find equal bests."""
+    """Visits with each part of the search left out or another in its place, in one task each, all to the end.
+
+    visits_a_second is a time's measure and differs by machine; the others don't.
+    """
     out, preps = None, {}
-    for name, (options, prepared) in ABLATIONS.items():
-        if (key := str(prepared)) not in preps:
-            preps[key] = _prepared(spark, sf_dir, PAIR, **prepared)
+    for name, (options, schema, prepared) in ABLATIONS.items():
+        if (key := str((schema, prepared))) not in preps:
+            preps[key] = _prepared(spark, sf_dir, schema, **prepared)
         prep = preps[key]
         found, stats = search.search(prep, options=options, strategy="depth")
         best = found.agg(F.max("score").alias("best_score"), F.count(F.lit(1)).alias("candidates"))
-        one = stats.select(F.lit(name).alias("left_out"), "visited", "pruned_floor", "pruned_closed", "complete").join(best)
+        rate = (1000 * F.col("visited") / F.greatest("elapsed_ms", F.lit(1))).alias("visits_a_second")
+        one = stats.select(F.lit(name).alias("left_out"), "visited", rate, "pruned_floor", "pruned_closed", "complete").join(best)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def covering_contrast(spark, sf_dir):
+    """Rules learnt one after the other, each from what is left, and all at once from all rows: how many, and their scores over all rows."""
+    prep = _prepared(spark, sf_dir)
+    one_by_one = rules.sequential_cover(prep, strategy="depth").select("pattern_id", "items")
+    at_once = search.mine_covering(prep, strategy="depth").patterns.select("pattern_id", "items")
+    out = None
+    for name, found in (("separate and conquer", one_by_one), ("all rows at once", at_once)):
+        counted = constraints.pattern_stats(prep.tx, settled(found.distinct(), "contrast"))
+        score = FSCORE.column(F.col("n_pos"), F.col("n_neg"), prep.p, prep.n)
+        one = counted.agg(F.lit(name).alias("way"), F.count(F.lit(1)).alias("rules"), F.round(F.max(score), 6).alias("best"), F.round(F.min(score), 6).alias("lowest"), F.min(F.col("n_pos")).alias("least_support"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -479,12 +570,17 @@ def classify_rules(spark, sf_dir):
     both = settled(search.mine_covering(prep).patterns.withColumn("cls", F.lit("0")).unionByName(search.mine_covering(other).patterns.withColumn("cls", F.lit("1"))), "rules")
     rows = encode.encode(test, prep.book, _bad(), ("doc_id", "cls"))
     for name, made in (("list", rules.classify_by_list(rows, both, "1")), ("vote", rules.classify_by_vote(rows, both, "0", "1"))):
-        one = rules.accuracy(rules.confusion(made)).select(F.lit(name).alias("classifier"), "n", "right", "accuracy")
+        made = settled(made, "classified")
+        auc = rules.area_under_curve(made.withColumn("margin", F.when(F.col("predicted") == "0", F.abs("margin")).otherwise(-F.abs("margin"))), "0")
+        one = rules.accuracy(rules.confusion(made)).select(F.lit(name).alias("classifier"), "n", "right", "accuracy").join(auc)
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@query()
+@query(
+    f"WITH {twins.FEATURES['documents']}, pos AS (SELECT lang, source FROM feat WHERE quality = '0'), sets AS (SELECT 'lang=' || lang AS items FROM pos WHERE lang IS NOT NULL UNION ALL SELECT 'source=' || source FROM pos WHERE source IS NOT NULL UNION ALL SELECT 'lang=' || lang || ',source=' || source FROM pos WHERE lang IS NOT NULL AND source IS NOT NULL)"
+    " SELECT items, count(*) AS freq FROM sets GROUP BY items HAVING count(*) >= ceil(0.05::DOUBLE * (SELECT count(*) FROM pos))"
+)
 def frequent_symbols(spark, sf_dir):
     schema = HybridSchema((symbol("lang"), symbol("source")))
     return baselines.frequent_symbols(_docs(spark, sf_dir), schema, _bad(), 0.05).select(F.array_join("items", ",").alias("items"), "freq")
@@ -524,11 +620,34 @@ _items_of("star_lineitem", tables.lineitem_features, tables.LINEITEMS, "l_return
 _items_of("parts_null_control", tables.part_features, tables.PARTS, "p_type", "PROMO")
 
 
-@query()
+_LENGTH = HybridSchema((number("n_chars", 100.0),))
+
+
+def _class_sql(cls: str) -> str:
+    return f"SELECT '{cls}' AS cls, * FROM ({twins.base('conversations', _LENGTH, f"role = '{cls}'")}{twins.patterns(_LENGTH)}{twins.covering()}{_ANSWER})"
+
+
+@query(" UNION ALL ".join(map(_class_sql, ("assistant", "system", "user"))))
 def conversations_classes(spark, sf_dir):
     """One run for each role, each with cut-points of its own."""
-    found = search.mine_all_classes(tables.conversation_features(spark, sf_dir), HybridSchema((number("n_chars", 100.0),)))
-    return found.select("cls", "pattern_id", "n_pos", "n_neg", "score", "text")
+    found = search.mine_all_classes(tables.conversation_features(spark, sf_dir), _LENGTH)
+    return found.select("cls", "pattern_id", "n_pos", "n_neg", F.round("score", 6).alias("score"))
+
+
+def _whole(name: str, read, schema: HybridSchema, positive: str) -> None:
+    """The covering answer over all attributes of a workload, to its end."""
+
+    def f(spark, sf_dir):
+        answer = search.mine_covering(search.prepare(read(spark, sf_dir), schema, F.col("cls") == positive), options=Options(length=2))
+        return answer.patterns.select("pattern_id", "n_pos", "n_neg", F.round("score", 6).alias("score"), "text").join(answer.stats.select("visited", "complete"))
+
+    QUERIES[name] = f
+
+
+_whole("conversations_covering", tables.conversation_features, tables.CONVERSATIONS, "assistant")
+_whole("parts_covering", tables.part_features, tables.PARTS, "PROMO")
+_whole("embeddings_covering", tables.embedding_features, tables.EMBEDDINGS, "3")
+_whole("orders_two_items", tables.order_features, tables.ORDERS, "F")
 
 
 @query()
@@ -547,8 +666,9 @@ def pages_flags(spark, sf_dir):
 
 @query()
 def planted_box(spark, sf_dir):
-    answer = search.mine_covering(search.prepare(tables.planted(spark, 20_000), tables.PLANTED, F.col("cls") == "1"), options=Options(visits=20_000, seconds=20))
-    return answer.patterns.orderBy(F.col("score").desc(), "pattern_id").limit(5).select("pattern_id", "n_pos", "n_neg", "score", "text")
+    """Rows with a known box and noise, searched to the end: the box has the best score."""
+    answer = search.mine_covering(search.prepare(tables.planted(spark, 20_000), tables.PLANTED, F.col("cls") == "1"))
+    return answer.patterns.select("pattern_id", "n_pos", "n_neg", F.round("score", 6).alias("score"), "text").join(answer.stats.select("visited", "complete"))
 
 
 # Events: the batch side of the streams

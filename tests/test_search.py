@@ -103,10 +103,38 @@ def test_sql_surface(spark, tiny):
     assert spark.sql("SELECT count(*), sum(n_pos) FROM contrast_intervals(array(1L, 2L, 3L), array(0L, 0L, 0L))").first() == (5, 14)
     tables.document_features(spark, tiny).select("uniq_pct", "lang", "cls").createOrReplaceTempView("docs_small")
     mined = contrast_mine(spark, "docs_small", "cls", "0")
-    best = mined.orderBy(F.col("score").desc()).first()
     df = spark.table("docs_small")
-    hit = df.where(as_predicate(best["text"]))
-    assert (hit.where("cls = '0'").count(), hit.where("cls <> '0'").count()) == (best["n_pos"], best["n_neg"])
+    book = search.prepare(df, infer_schema(df, ("cls",)), F.col("cls") == "0").book
+    for found in mined.collect():
+        hit = df.where(as_predicate(found["items"], book))
+        assert (hit.where("cls = '0'").count(), hit.where("cls <> '0'").count()) == (found["n_pos"], found["n_neg"])
+
+
+def test_many_patterns_are_joined(prep, answer, monkeypatch):
+    sent = [sorted(map(repr, constraints.candidate_lists(prep.tx, answer.patterns).collect())), sorted(map(repr, constraints.offer(prep.tx, answer.patterns).collect()))]
+    for f in (constraints.covered, constraints.offer):
+        monkeypatch.setattr(f, "__defaults__", (2,))
+    assert sent == [sorted(map(repr, constraints.candidate_lists(prep.tx, answer.patterns).collect())), sorted(map(repr, constraints.offer(prep.tx, answer.patterns).collect()))]
+
+
+def test_many_symbols_by_a_dictionary(prep, spark, monkeypatch):
+    rows = tables.document_features(spark, "/root/testdata/sf0.01")
+    key = lambda df: sorted(map(repr, df.collect()))
+    mapped = key(encode.encode(rows, prep.book, F.col("cls") == "0", ("doc_id",)))
+    monkeypatch.setattr(encode, "MAPPED", 1)
+    assert key(encode.encode(rows, prep.book, F.col("cls") == "0", ("doc_id",))) == mapped
+
+
+def test_floor_before_pairs(prep):
+    """The walk from the widest interval down leaves what a filter of all intervals leaves."""
+    tx = constraints.offer(prep.tx, workloads._rules(prep))
+    head = lattice.header(tx.select(F.lit("").alias("node"), F.lit(0).alias("first"), "codes", "n_pos", "n_neg", "best"))
+    admits = lattice.above_floor(FSCORE, prep.p, prep.n)
+    for merge, closed in ((True, True), (False, False)):
+        walked = lattice.items(head, prep.is_symbol(), prep.size_column(), merge, closed, admits=admits)
+        every = lattice.items(head, prep.is_symbol(), prep.size_column(), merge, closed)
+        kept = sorted(map(repr, every.where(admits(F.col("n_pos"), F.col("least"))).collect()))
+        assert kept == sorted(map(repr, walked.collect())) and 0 < len(kept) < every.count()
 
 
 def test_formats(spark, tmp_path, answer):

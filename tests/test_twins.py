@@ -5,7 +5,8 @@ from twin import duck, spark_rows
 
 from contrast import workloads
 
-HEAVY = {"star_lineitem", "mine_covering_toxic", "conversations_classes", "discretisations", "classify_rules", "planted_box", "ablations", "mine_covering_good", "mine_covering_confidence"}
+#: What a run of statistics or a timed one returns differs by machine; the rows are there.
+LEAST = {"ablations": 12, "discretisations": 5, "classify_rules": 2, "covering_contrast": 2, "mine_stats_doc": 1}
 
 
 @pytest.mark.parametrize("name", sorted(workloads.ORACLE_SQL))
@@ -13,6 +14,13 @@ def test_twin(spark, tiny, name):
     assert spark_rows(workloads.QUERIES[name](spark, tiny)) == duck(tiny, workloads.ORACLE_SQL[name])
 
 
-@pytest.mark.parametrize("name", sorted(workloads.QUERIES.keys() - workloads.ORACLE_SQL.keys() - HEAVY))
+@pytest.mark.parametrize("name", sorted(workloads.QUERIES.keys() - workloads.ORACLE_SQL.keys()))
 def test_runs(spark, tiny, name):
-    assert workloads.QUERIES[name](spark, tiny).columns
+    rows = workloads.QUERIES[name](spark, tiny).collect()
+    assert len(rows) >= LEAST.get(name, 1)
+    for r in rows:
+        held = r.asDict()
+        if "score" in held:
+            assert 0 < held["score"] <= 1
+        if name != "mine_toxic_anytime" and "complete" in held:
+            assert held["complete"]
