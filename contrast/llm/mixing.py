@@ -89,39 +89,76 @@ def schedule(aims: DataFrame, slots: int = SLOTS) -> DataFrame:
     return at.join(cells, "cell").where(held).select("slot", "source", "block_words")
 
 
-def ranked_slots(plan: DataFrame, aims: DataFrame) -> DataFrame:
-    """slot, source, rank among the source's slots, epoch and first word of the block in the source's shuffled words."""
+def ranked_slots(plan: DataFrame, aims: DataFrame, slots: int = SLOTS, repeats: int = REPEATS) -> DataFrame:
+    """slot, source, rank among the source's slots, block_words, source_size, target.
+
+    The r-th slot of a source takes words from r times block_words on, of all the source's words in shuffled
+    order, again and again. A source whose target is less than FINE blocks of several words would be missed
+    or left out: it has one block of its whole target, to the word, after all slots (slot is null). No
+    slot begins after `repeats` times the source's words.
+    """
+    block = F.greatest(F.lit(1), F.floor(F.col("total") / slots)).cast("long")
+    of = aims.select(F.col("source").alias("__source"), "source_size", "target", ((block > 1) & (F.col("target") < FINE * block)).alias("small"))
     rank = F.row_number().over(Window.partitionBy("source").orderBy("slot")) - 1
-    begin = F.col("rank") * F.col("block_words")
-    own = aims.select(F.col("source").alias("__source"), "source_size")
-    return plan.select("*", rank.cast("long").alias("rank")).join(own, F.col("source").eqNullSafe(F.col("__source"))).select("slot", "source", "rank", F.floor(begin / F.col("source_size")).alias("epoch"), (begin % F.col("source_size")).alias("first_word"))
+    dealt = plan.join(of.where("not small"), F.col("source").eqNullSafe(F.col("__source"))).select("slot", "source", rank.cast("long").alias("rank"), "block_words", "source_size", "target")
+    once = of.where("small").select(F.lit(None).cast("long").alias("slot"), F.col("__source").alias("source"), F.lit(0).cast("long").alias("rank"), F.floor(F.col("target") + 0.5).cast("long").alias("block_words"), "source_size", "target")
+    return dealt.unionByName(once).where((F.col("rank") * F.col("block_words") < repeats * F.col("source_size")) & (F.col("block_words") > 0))
 
 
-def allot(docs: DataFrame, id_column: str = "doc_id", source: str = "source", text: str = "text", slots: int = SLOTS, repeats: int = REPEATS) -> DataFrame:
-    """doc_id, source, size, text_hash, source_size, target, taken: how many words the mix takes of each document.
+def placed(rows: DataFrame) -> DataFrame:
+    """rows of layout() with `begin`: the words before a document in its source's shuffled order.
 
-    A source's slots take that many blocks of its shuffled words, one after the other and again from
-    the start, up to `repeats` times all. A source of few blocks takes its target in whole words instead:
-    slots of several words would miss it or leave it out. A null text has no words, a null source is a source, rows
-    without words take none. Repeated rows lie side by side and count each. Needs no unique ids.
+    A source is laid out in hash buckets, whose sums come first; so no task orders a whole source.
     """
-    rows = materialise(layout(docs, id_column, source, text), "layout")
-    aims = materialise(targets(rows, repeats=repeats), "targets")
-    got = schedule(aims, slots).groupBy("source").agg((F.count(F.lit(1)) * F.max("block_words")).alias("__words")).withColumnRenamed("source", "__source")
-    block = F.greatest(F.lit(1), F.floor(F.col("total") / slots))
-    small = (block > 1) & (F.col("target") < FINE * block)
-    wanted = F.when(small, F.floor(F.col("target") + 0.5)).otherwise(F.coalesce(F.col("__words"), F.lit(0)))
-    taken = F.least(wanted, repeats * F.col("source_size"))
-    own = aims.join(got, F.col("source").eqNullSafe(F.col("__source")), "left").select(F.col("source").alias("__source"), "source_size", "target", taken.alias("__taken"))
     before = F.sum("__size").over(Window.partitionBy("__source").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("__size")
     sums = rows.groupBy(F.col("source").alias("__source"), F.col("bucket").alias("__bucket")).agg(F.sum("size").alias("__size"))
-    begins = sums.select("__source", "__bucket", before.alias("__before")).alias("b").join(own.alias("o"), F.col("b.__source").eqNullSafe(F.col("o.__source"))).select("b.__source", "__bucket", "__before", "source_size", "target", "__taken")
+    begins = sums.select("__source", "__bucket", before.alias("__before"))
     within = Window.partitionBy("source", "bucket").orderBy("place", "doc_id", "size", "text_hash").rowsBetween(Window.unboundedPreceding, 0)
-    placed = rows.select("*", (F.sum("size").over(within) - F.col("size")).alias("__within")).join(begins, F.col("source").eqNullSafe(F.col("__source")) & (F.col("bucket") == F.col("__bucket")))
-    rounds, rest = F.floor(F.col("__taken") / F.col("source_size")), F.col("__taken") % F.col("source_size")
-    partly = F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("__before") - F.col("__within")))
-    words_taken = F.when(F.col("source_size") == 0, 0).otherwise(rounds * F.col("size") + partly).cast("long")
-    return placed.select("doc_id", "source", "size", "text_hash", "source_size", "target", words_taken.alias("taken"))
+    inner = rows.select("*", (F.sum("size").over(within) - F.col("size")).alias("__within"))
+    return inner.join(begins, F.col("source").eqNullSafe(F.col("__source")) & (F.col("bucket") == F.col("__bucket"))).select("doc_id", "source", "size", "text_hash", (F.col("__before") + F.col("__within")).alias("begin"))
+
+
+def scheduled(docs: DataFrame, id_column: str = "doc_id", source: str = "source", text: str = "text", slots: int = SLOTS, repeats: int = REPEATS) -> DataFrame:
+    """The mix itself, and what it leaves: doc_id, source, size, text_hash, begin, source_size, target, slot, rank, epoch, first_word, words.
+
+    A row for each piece of a document that a slot's block holds: `words` words from first_word on, the
+    epoch-th time round. Pieces by slot, epoch and begin are the mix's order; slots of null come last. A
+    document of which nothing is taken has one row with no slot, no rank and no words.
+
+    Each document names the blocks that its words lie in, once for each round, and meets their slots by an
+    equal-key join.
+    """
+    rows = materialise(layout(docs, id_column, source, text), "layout")
+    aims = materialise(targets(rows, repeats=repeats), "targets")
+    plan = materialise(ranked_slots(schedule(aims, slots), aims, slots, repeats), "slots")
+    own = plan.groupBy(F.col("source").alias("__source")).agg(F.count(F.lit(1)).alias("n_slots"), F.max("block_words").alias("block_words"))
+    of = aims.select(F.col("source").alias("__from"), "source_size", "target").join(own, F.col("__from").eqNullSafe(F.col("__source")), "left").select("__from", "source_size", "target", F.coalesce("n_slots", F.lit(0)).alias("n_slots"), F.coalesce("block_words", F.lit(1)).alias("block_words"))
+    docs_at = placed(rows).join(of, F.col("source").eqNullSafe(F.col("__from"))).drop("__from")
+    all_words = F.least(F.col("n_slots") * F.col("block_words"), repeats * F.col("source_size"))
+    rounds = F.when((F.col("size") > 0) & (F.col("begin") < all_words), F.sequence(F.lit(0).cast("long"), F.floor((all_words - 1 - F.col("begin")) / F.col("source_size"))))
+    turned = docs_at.withColumn("all_words", all_words).withColumn("epoch", F.explode_outer(rounds)).withColumn("at", F.col("epoch") * F.col("source_size") + F.col("begin"))
+    last = F.least(F.col("at") + F.col("size"), F.col("all_words")) - 1
+    blocked = turned.withColumn("rank", F.explode_outer(F.sequence(F.floor(F.col("at") / F.col("block_words")), F.floor(last / F.col("block_words")))))
+    slot = plan.select(F.col("source").alias("__source"), F.col("rank").alias("__rank"), "slot")
+    met = blocked.join(slot, F.col("source").eqNullSafe(F.col("__source")) & (F.col("rank") == F.col("__rank")), "left")
+    low = F.greatest(F.col("at"), F.col("rank") * F.col("block_words"))
+    high = F.least(F.col("at") + F.col("size"), (F.col("rank") + 1) * F.col("block_words"), F.col("all_words"))
+    words_of = F.when(F.col("__rank").isNotNull(), high - low).otherwise(0)
+    return met.select("doc_id", "source", "size", "text_hash", "begin", "source_size", "target", "slot", F.col("__rank").alias("rank"), "epoch", (low - F.col("at")).alias("first_word"), words_of.cast("long").alias("words"))
+
+
+def allot(docs: DataFrame, id_column: str = "doc_id", source: str = "source", text: str = "text", slots: int = SLOTS, repeats: int = REPEATS) -> DataFrame:
+    """doc_id, source, size, text_hash, source_size, target, taken: how many words the mix takes of each document.
+
+    The sum of its pieces in scheduled(). A null text has no words, a null source is a source, rows without
+    words take none. Repeated rows lie side by side and count each. Needs no unique ids.
+    """
+    pieces = scheduled(docs, id_column, source, text, slots, repeats)
+    # rows without words share their begin with others: those are told apart by nothing but their number
+    some, none = pieces.where("size > 0"), pieces.where("size = 0")
+    keys = ["doc_id", "source", "size", "text_hash", "source_size", "target"]
+    taken = some.groupBy(*keys, "begin").agg(F.sum("words").alias("taken")).drop("begin")
+    return taken.unionByName(none.select(*keys, F.lit(0).cast("long").alias("taken")))
 
 
 def copies(size: Column, taken: Column) -> Column:
@@ -139,7 +176,7 @@ aims AS (SELECT source, source_size, total, CASE WHEN fully THEN CAST(cap AS DOU
 stretch AS (SELECT source, CAST(floor(target * {UNITS}) AS BIGINT) AS units, CAST(sum(CAST(floor(target * {UNITS}) AS BIGINT)) OVER (ORDER BY source NULLS LAST ROWS UNBOUNDED PRECEDING) AS BIGINT) AS hi, CAST(sum(CAST(floor(target * {UNITS}) AS BIGINT)) OVER () AS BIGINT) AS all_units, greatest(1, total // {SLOTS}) AS block FROM aims),
 points AS (SELECT k * {STEP!r}::DOUBLE - floor(k * {STEP!r}::DOUBLE) AS u FROM range(0, (SELECT CAST(max(ceil(total / greatest(1, total // {SLOTS}))) AS BIGINT) FROM aims)) t(k)),
 got AS (SELECT source, count(*) * max(block) AS words FROM points, stretch WHERE units > 0 AND u * all_units >= hi - units AND u * all_units < hi GROUP BY source),
-sources AS (SELECT a.source, a.source_size, a.target, least(coalesce(g.words, 0), {REPEATS} * a.source_size) AS taken FROM aims a LEFT JOIN got g ON a.source IS NOT DISTINCT FROM g.source),
+sources AS (SELECT a.source, a.source_size, a.target, least(CASE WHEN a.total // {SLOTS} > 1 AND a.target < {FINE} * (a.total // {SLOTS}) THEN CAST(floor(a.target + 0.5) AS BIGINT) ELSE coalesce(g.words, 0) END, {REPEATS} * a.source_size) AS taken FROM aims a LEFT JOIN got g ON a.source IS NOT DISTINCT FROM g.source),
 placed AS (SELECT *, CAST(sum(size) OVER (PARTITION BY source ORDER BY place, doc_id, size ROWS UNBOUNDED PRECEDING) - size AS BIGINT) AS begin FROM rows)
 SELECT p.doc_id, CAST(p.size AS BIGINT) AS size, s.source_size, s.target,
   CAST(CASE WHEN s.source_size = 0 THEN 0 ELSE s.taken // s.source_size * p.size + greatest(0, least(p.size, s.taken % s.source_size - p.begin)) END AS BIGINT) AS taken

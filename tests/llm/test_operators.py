@@ -424,7 +424,7 @@ def test_mix_of_odd_rows(spark, odd, none):
 def test_schedule_is_even(spark):
     sizes = spark.createDataFrame([("a", 6000), ("b", 3000), ("c", 1000)], "source string, size long")
     aims = mixing.targets(sizes)
-    slots = mixing.ranked_slots(mixing.schedule(aims, 500), aims).orderBy("slot").collect()
+    slots = mixing.ranked_slots(mixing.schedule(aims, 500), aims, 500).orderBy("slot").collect()
     share = {r["source"]: r["target"] / 10_000 for r in aims.collect()}
     seen = Counter()
     for i, r in enumerate(slots, 1):
@@ -433,6 +433,99 @@ def test_schedule_is_even(spark):
         assert all(abs(seen[s] - i * share[s]) < 6 for s in share)
 
 
+def test_the_mix_is_its_pieces(spark):
+    """Pieces in the order of the mix: each slot's are a block of its source's shuffled words, laid end to end."""
+    draw = random.Random(5)
+    rows = [(i, "abc"[i % 7 % 3], " ".join("w" * draw.randrange(0, 40))) for i in range(300)]
+    pieces = mixing.scheduled(spark.createDataFrame(rows, "doc_id long, source string, text string"), slots=200).where("words > 0").collect()
+    taken, by_slot = Counter(), defaultdict(list)
+    for p in sorted((p for p in pieces if p["slot"] is not None), key=lambda p: (p["slot"], p["epoch"], p["begin"])):
+        by_slot[p["source"], p["rank"]].append(p)
+        taken[p["source"]] += p["words"]
+    block = max(1, sum(len(r[2].split()) for r in rows) // 200)
+    for (source, rank), held in by_slot.items():
+        at = [(p["epoch"] * p["source_size"] + p["begin"] + p["first_word"], p["words"]) for p in held]
+        assert at[0][0] == rank * block and all(a + n == b for (a, n), (b, _) in zip(at, at[1:]))
+        assert sum(n for _, n in at) == block or rank == max(k for s, k in by_slot if s == source)
+    for source, n in taken.items():
+        target = next(p["target"] for p in pieces if p["source"] == source)
+        assert abs(n - target) <= 3 * block + 0.02 * target
+    allotted = mixing.allot(spark.createDataFrame(rows, "doc_id long, source string, text string"), slots=200).collect()
+    assert len(allotted) == 300 and sum(r["taken"] for r in allotted) == sum(p["words"] for p in pieces)
+
+
+def test_secrets_of_a_text_with_many(spark):
+    draw = random.Random(2)
+    text = " ".join(draw.choice([f"{draw.getrandbits(64):016x}", "api_key = " + "q" * 11, "token: " + "r" * 14, "é", "AKIA" + "Z" * 14]) for _ in range(9000))
+    got = secret_scan.scanned(spark.createDataFrame([(1, text)], "doc_id long, text string")).collect()[0]
+    want = base_spans_by_hand(text)
+    assert len(want) > 3 * secret_scan.PIECE**2 / 4 and [(x["start"], x["kind"], x["end"]) for x in got["base"]] == want
+
+
+def test_battery_by_hand(spark):
+    """The four tests of a candidate, by their textbook formulas, and the step-up rule."""
+    draw = random.Random(4)
+    alphabets = {name: letters for name, _, letters in secret_scan.ENCODINGS}
+    tokens = ["".join(draw.choice(alphabets["base62"]) for _ in range(n)) for n in (24, 40, 64)] + ["abcdefghij0123456789", "a1" * 16, "0" * 19 + "a", "thisisaverylongname2024"]
+    phi = lambda z: 0.5 * math.erfc(z / math.sqrt(2))
+    gamma = lambda chi, mean, shape: phi(((chi / mean) ** (1 / 3) - (1 - 1 / (9 * shape))) / math.sqrt(1 / (9 * shape)))
+
+    def by_hand(t):
+        letters = next(a for _, p, a in secret_scan.ENCODINGS if re.search(p, t))
+        n, k = len(t), len(letters)
+        codes = [letters.index(c) for c in t]
+        chi = k / n * sum(t.count(c) ** 2 for c in letters) - n
+        p_symbols = gamma(chi, k - 1, (k - 1) * n / (2 * (n - 1)))
+        cells = [(sum(c in g for c in t), sum(c in g for c in letters) / k) for g in (string.digits, string.ascii_lowercase, string.ascii_uppercase, "+/")]
+        cells = [(o, p) for o, p in cells if p]
+        mean = max(len(cells) - 1, 1)
+        p_class = gamma(sum((o - n * p) ** 2 / (n * p) for o, p in cells), mean, mean / 2)
+        high = [2 * c >= k for c in codes]
+        n1 = sum(high)
+        cross = 2 * n1 * (n - n1)
+        spread = cross * (cross - n) / (n * n * (n - 1))
+        runs = 1 + sum(a != b for a, b in zip(high, high[1:]))
+        p_runs = 2 * phi(abs(runs - cross / n - 1) / math.sqrt(spread)) if spread > 0 else 2.0 ** (1 - n)
+        d = [c - sum(codes) / n for c in codes]
+        power = sum(x * x for x in d)
+        p_serial = 2 * phi(abs(sum(a * b for a, b in zip(d, d[1:])) / power + 1 / n) * math.sqrt(n)) if power else 0.0
+        return min(1.0, 4 * min(p_symbols, p_class, p_runs, p_serial))
+
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(tokens)], "i int, t string")
+    for r in df.select("t", secret_scan.battery(F.col("t")).alias("p")).collect():
+        assert abs(r["p"] - by_hand(r["t"])) < 1e-5 * max(1, by_hand(r["t"])) + 1e-6
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(tokens * 3)], "doc_id long, text string")
+    cuts = secret_scan.rejection_steps(docs).first()["cuts"]
+    steps = defaultdict(list)
+    for t in tokens * 3:
+        if len(t) >= secret_scan.LEAST:
+            steps[int(math.log2(len(t)))].append(min(secret_scan.MOST, math.floor(-math.log10(max(by_hand(t), 1e-60)) * secret_scan.STEPS)))
+    for band, found in steps.items():
+        passing = [s for s in set(found) if 10 ** (-s / secret_scan.STEPS) <= secret_scan.RATE * sum(x >= s for x in found) / len(found)]
+        assert cuts.get(band) == (min(passing) if passing else None)
+
+
+def test_members_of_a_key_in_blocks(spark):
+    """However the members of a key are dealt to blocks, the same pairs are named."""
+    from contrast.llm import overlap
+
+    draw = random.Random(9)
+    base = [f"w{draw.randrange(10**6)}" for _ in range(120)]
+    texts = []
+    for _ in range(40):
+        words = base[:]
+        for _ in range(draw.randrange(0, 9)):
+            words[draw.randrange(120)] = f"x{draw.randrange(10**6)}"
+        texts.append(" ".join(words))
+    sketches_ = simhash.sketched(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "doc_id", "text", 5).dropDuplicates(["node"])
+    members = sketches_.select("node", "n", "keys", "minima", F.col("node").alias("root"), F.explode("keys").alias("key"))
+    pairs = [sorted(tuple(sorted((r["u"], r["v"]))) for r in overlap.likely(members, together).collect()) for together in (2048, 7, 3)]
+    assert pairs[0] and pairs[0] == pairs[1] == pairs[2] and len(set(pairs[0])) == len(pairs[0])
+    sets = {r["node"]: set(overlap.shingles(texts[r["doc_id"]], 5).tolist()) for r in sketches_.collect()}
+    similar = {tuple(sorted((a, b))) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    assert similar and similar <= set(pairs[0])
+
+
 def base_spans_by_hand(text):
     assign = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
     found = [(m.start(), 0, m.end()) for m in assign.finditer(text) if len(m[2]) >= 12]
