@@ -105,17 +105,19 @@ def ranked_slots(plan: DataFrame, aims: DataFrame, slots: int = SLOTS, repeats:
     return dealt.unionByName(once).where((F.col("rank") * F.col("block_words") < repeats * F.col("source_size")) & (F.col("block_words") > 0))
 
 
-def placed(rows: DataFrame) -> DataFrame:
-    """rows of layout() with `begin`: the words before a document in its source's shuffled order.
+def placed(rows: DataFrame, of: DataFrame) -> DataFrame:
+    """rows of layout() with `begin`, the words before a document in its source's shuffled order, and what `of` (source, ...) says of its source.
 
-    A source is laid out in hash buckets, whose sums come first; so no task orders a whole source.
+    A source is laid out in hash buckets, whose sums come first, and rows meet their buckets: no task
+    orders or holds a whole source.
     """
     before = F.sum("__size").over(Window.partitionBy("__source").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("__size")
     sums = rows.groupBy(F.col("source").alias("__source"), F.col("bucket").alias("__bucket")).agg(F.sum("size").alias("__size"))
-    begins = sums.select("__source", "__bucket", before.alias("__before"))
+    told = of.withColumnRenamed("source", "__of")
+    begins = sums.select("__source", "__bucket", before.alias("__before")).join(told, F.col("__source").eqNullSafe(F.col("__of"))).drop("__of")
     within = Window.partitionBy("source", "bucket").orderBy("place", "doc_id", "size", "text_hash").rowsBetween(Window.unboundedPreceding, 0)
     inner = rows.select("*", (F.sum("size").over(within) - F.col("size")).alias("__within"))
-    return inner.join(begins, F.col("source").eqNullSafe(F.col("__source")) & (F.col("bucket") == F.col("__bucket"))).select("doc_id", "source", "size", "text_hash", (F.col("__before") + F.col("__within")).alias("begin"))
+    return inner.join(begins, F.col("source").eqNullSafe(F.col("__source")) & (F.col("bucket") == F.col("__bucket"))).select("doc_id", "source", "size", "text_hash", (F.col("__before") + F.col("__within")).alias("begin"), *(c for c in of.columns if c != "source"))
 
 
 def scheduled(docs: DataFrame, id_column: str = "doc_id", source: str = "source", text: str = "text", slots: int = SLOTS, repeats: int = REPEATS) -> DataFrame:
@@ -132,8 +134,8 @@ def scheduled(docs: DataFrame, id_column: str = "doc_id", source: str = "source"
     aims = materialise(targets(rows, repeats=repeats), "targets")
     plan = materialise(ranked_slots(schedule(aims, slots), aims, slots, repeats), "slots")
     own = plan.groupBy(F.col("source").alias("__source")).agg(F.count(F.lit(1)).alias("n_slots"), F.max("block_words").alias("block_words"))
-    of = aims.select(F.col("source").alias("__from"), "source_size", "target").join(own, F.col("__from").eqNullSafe(F.col("__source")), "left").select("__from", "source_size", "target", F.coalesce("n_slots", F.lit(0)).alias("n_slots"), F.coalesce("block_words", F.lit(1)).alias("block_words"))
-    docs_at = placed(rows).join(of, F.col("source").eqNullSafe(F.col("__from"))).drop("__from")
+    of = aims.select(F.col("source").alias("__from"), "source_size", "target").join(own, F.col("__from").eqNullSafe(F.col("__source")), "left").select(F.col("__from").alias("source"), "source_size", "target", F.coalesce("n_slots", F.lit(0)).alias("n_slots"), F.coalesce("block_words", F.lit(1)).alias("block_words"))
+    docs_at = placed(rows, of)
     all_words = F.least(F.col("n_slots") * F.col("block_words"), repeats * F.col("source_size"))
     rounds = F.when((F.col("size") > 0) & (F.col("begin") < all_words), F.sequence(F.lit(0).cast("long"), F.floor((all_words - 1 - F.col("begin")) / F.col("source_size"))))
     turned = docs_at.withColumn("all_words", all_words).withColumn("epoch", F.explode_outer(rounds)).withColumn("at", F.col("epoch") * F.col("source_size") + F.col("begin"))
