@@ -21,8 +21,10 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from contrast.llm.common import give_back
+
 #: Pieces that a worker remembers in each of two generations, and pairs before it starts anew.
-MEMO, PAIRS = 150_000, 400_000
+MEMO, PAIRS = 60_000, 200_000
 #: Bytes of results that are handed on together.
 FLUSH = 8 << 20
 
@@ -166,6 +168,7 @@ def _mapped(df: DataFrame, column: str, made: tuple[str, ...], one) -> DataFrame
                     part = batch.slice(begin, i + 1 - begin).select(kept)
                     yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(values, pa.binary()) for values in zip(*rows))], [*kept, *made])
                     rows, begin, size = [], i + 1, 0
+        give_back()
 
     return df.mapInArrow(run, schema)
 

@@ -8,7 +8,7 @@ Pairs of a crowd would grow with its square. So each key's members are first com
 least member; what is then joined, by any links, needs no comparing again. Where a key's members still lie
 in several components, they are compared in blocks, in memory, by their minima alone: the share of equal
 ones estimates the similarity, and only pairs that it doesn't rule out leave a task, to be verified. A
-pair at 0.8 is ruled out with a chance of some 3e-5 (four standard deviations of 240 minima).
+pair at 0.8 is ruled out with a chance of some 3e-5 (four standard deviations of 480 minima).
 """
 
 from __future__ import annotations
@@ -21,21 +21,23 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from contrast.llm.common import materialise
+from contrast.llm.common import give_back, materialise
 
 WIDTH, SEED = 4, 42
 #: Shingles that are hashed at once.
 HASHED = 1 << 15
 BANDS, ROWS = 48, 5
+#: Min-hashes by which similarity is estimated; the first make the keys.
+MINIMA = 2 * BANDS * ROWS
 #: The least similarity of a pair, as a fraction.
 OVER, UNDER = 4, 5
 #: Estimated similarity from which on a pair is verified: the threshold less four standard deviations.
-LEAST = OVER / UNDER - 4 * (OVER / UNDER * (1 - OVER / UNDER) / (BANDS * ROWS)) ** 0.5
+LEAST = OVER / UNDER - 4 * (OVER / UNDER * (1 - OVER / UNDER) / MINIMA) ** 0.5
 #: Members of a key that are compared together.
 TOGETHER = 2048
 #: Shingles whose minima are taken at once.
 BLOCK = 1 << 12
-_MULTIPLIERS = np.random.default_rng(SEED).integers(0, 1 << 32, (BANDS * ROWS, 2), np.uint32) | np.array([1, 0], np.uint32)
+_MULTIPLIERS = np.random.default_rng(SEED).integers(0, 1 << 32, (MINIMA, 2), np.uint32) | np.array([1, 0], np.uint32)
 
 
 def shingle_hashes(words: list[bytes], width: int = WIDTH, seed: int = SEED) -> Iterator[np.ndarray]:
@@ -67,7 +69,7 @@ def keys_of(found: np.ndarray) -> tuple[np.ndarray, bytes]:
     for begin in range(0, len(half), BLOCK):
         mixed = (half[begin : begin + BLOCK] ^ _MULTIPLIERS[:, 1:]) * _MULTIPLIERS[:, :1]
         np.minimum(least, mixed.min(axis=1), out=least)
-    rows = least.reshape(BANDS, ROWS)
+    rows = least[: BANDS * ROWS].reshape(BANDS, ROWS)
     return np.array([xxhash.xxh64_intdigest(row.tobytes(), band) for band, row in enumerate(rows)], np.uint64), least.astype(np.uint8).tobytes()
 
 
@@ -78,6 +80,7 @@ def _sets(docs: DataFrame, wanted: DataFrame, id_column: str, text: str, width:
         for batch in batches:
             made = [shingles(t.as_py(), width).view(np.int64) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(made, pa.list_(pa.int64()))], ["node", "hashes"])
+        give_back()
 
     own = docs.select(F.col(id_column).alias("rep"), F.col(text).alias("text"))
     return own.join(wanted, "rep").select("node", "text").mapInArrow(run, "node long, hashes array<long>").dropDuplicates(["node"])
@@ -116,7 +119,7 @@ def likely(members: DataFrame, together: int = TOGETHER) -> DataFrame:
     def compared(key: int, two: bool, rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
         block, node, n, root = (rows.column(c).to_numpy() for c in ("block", "node", "n", "root"))
         keys = rows.column("keys").combine_chunks().flatten().to_numpy().reshape(-1, BANDS)
-        minima = np.frombuffer(b"".join(rows.column("minima").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
+        minima = np.frombuffer(b"".join(rows.column("minima").to_pylist()), np.uint8).reshape(-1, MINIMA)
         us, vs = [], []
         for i in range(len(node) - 1):
             after = slice(i + 1, None)
@@ -152,5 +155,6 @@ def likely(members: DataFrame, together: int = TOGETHER) -> DataFrame:
                 yield made
         if held is not None and len(held):
             yield closed(held, True)[0]
+        give_back()
 
     return met.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(run, "u long, v long")

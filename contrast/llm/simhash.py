@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from contrast.llm import overlap
-from contrast.llm.common import materialise
+from contrast.llm.common import give_back, materialise
 from contrast.llm.overlap import SEED, WIDTH, shingle_hashes
 
 
@@ -189,6 +189,7 @@ def sketched(docs: DataFrame, id_column: str, text: str, width: int) -> DataFram
                 minima.append(least)
             signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
             yield pa.RecordBatch.from_arrays([batch.column(0), signed(fps), signed(nodes), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(minima, pa.binary())], ["doc_id", "fp", "node", "n", "keys", "minima"])
+        give_back()
 
     slim = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, fp long, node long, n long, keys array<long>, minima binary")
