@@ -44,7 +44,11 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, with a mark in place of each secret and n_chars to match."""
+    """All documents, with a mark in place of each secret and n_chars to match.
+
+    Null and empty texts, and texts without secrets, are unchanged; repeated rows are treated alike, and a
+    text of any length and with any number of secrets is scanned whole.
+    """
     text = secret_scan.redacted(F.col("text"), F.col("secrets"))
     found = secret_scan.scanned(docs.select(*COLUMNS))
     return found.withColumn("text", text).withColumn("n_chars", F.when(F.size("secrets") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*COLUMNS)
