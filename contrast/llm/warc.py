@@ -31,6 +31,8 @@ VERSION = b"WARC/1.1"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 #: Records that a dictionary is trained on at most, bytes of each and of the dictionary.
 SAMPLES, SAMPLE_BYTES, DICTIONARY_BYTES = 128, 1 << 14, 1 << 15
+#: Bytes of records from which on an archive is full.
+ARCHIVE_BYTES = 64 << 20
 LEVEL = 3
 
 
@@ -132,6 +134,22 @@ def frames(records: Iterator[bytes]) -> Iterator[bytes]:
     yield from map(compress, records)
 
 
+def archives(records: Iterator[bytes], most: int) -> Iterator[tuple[int, bytes]]:
+    """The frames of all records with their archive's number: a new archive begins once one holds `most` bytes of records."""
+    number = 0
+    while (begin := next(records, None)) is not None:
+
+        def some(one: bytes | None) -> Iterator[bytes]:
+            size = 0
+            while one is not None:
+                yield one
+                size += len(one)
+                one = next(records, None) if size < most else None
+
+        yield from ((number, frame) for frame in frames(some(begin)))
+        number += 1
+
+
 def frame_end(data: memoryview, begin: int) -> int:
     """Where the frame that begins here ends, by its header and its blocks' headers."""
     magic = int.from_bytes(data[begin : begin + 4], "little")
@@ -195,11 +213,12 @@ def with_first_ids(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     return rows.join(again, met, "left").select("page_id", "url", "payload", "first_id")
 
 
-def write_archives(pages: DataFrame, path: str, least_bytes: int = 0) -> None:
-    """Writes a record for each row of pages (page_id, url, html) to archives under path, one for each task.
+def write_archives(pages: DataFrame, path: str, least_bytes: int = 0, archive_bytes: int = ARCHIVE_BYTES) -> None:
+    """Writes a record for each row of pages (page_id, url, html) to archives under path, one or more for each task.
 
     A null html is an empty payload, a null url is left out, repeated rows have a record each (all of
-    the same type). An archive is as large as its shuffle partition; a reader holds one in memory.
+    the same type). A task begins a further archive, with a dictionary of its own, once one has
+    archive_bytes of records, so an archive is larger than that by one record at most.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,18 +227,22 @@ def write_archives(pages: DataFrame, path: str, least_bytes: int = 0) -> None:
                 for page, url, payload, first in zip(*(batch.column(i) for i in range(4))):
                     yield record(page.as_py(), url.as_py(), payload.as_py(), first.as_py())
 
-        held, size = [], 0
-        for frame in frames(records()):
-            held.append(frame)
-            size += len(frame)
+        def packed():
+            names = ["archive", "place", "frame"]
+            return pa.RecordBatch.from_arrays([pa.array([n for n, _ in held], pa.int32()), pa.array(range(place - len(held), place), pa.int64()), pa.array([f for _, f in held], pa.binary())], names)
+
+        held, size, place = [], 0, 0
+        for number, frame in archives(records(), archive_bytes):
+            held.append((number, frame))
+            size, place = size + len(frame), place + 1
             if size >= 4 << 20:
-                yield pa.RecordBatch.from_arrays([pa.array(held, pa.binary())], ["frame"])
+                yield packed()
                 held, size = [], 0
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array(held, pa.binary())], ["frame"])
+            yield packed()
 
-    made = with_first_ids(pages, least_bytes).mapInArrow(run, "frame binary")
-    made.select(F.col("frame").cast("string").alias("value")).write.option("lineSep", LINE_END).text(path)
+    made = with_first_ids(pages, least_bytes).mapInArrow(run, "archive int, place long, frame binary").sortWithinPartitions("archive", "place")
+    made.select("archive", F.col("frame").cast("string").alias("value")).write.partitionBy("archive").option("lineSep", LINE_END).text(path)
 
 
 def read_archives(spark: SparkSession, path: str, payloads: bool = False) -> DataFrame:

@@ -118,6 +118,18 @@ def test_warc_of_odd_rows(spark):
     assert warc.read_archives(spark, path).count() == 0
 
 
+def test_archives_roll_over(spark, tiny):
+    pages = spark.read.parquet(f"{tiny}/pages.parquet").repartition(1)
+    warc.write_archives(pages, path := scratch_path(spark, "rolled"), archive_bytes=20_000)
+    whole = warc.with_first_ids(pages).collect()
+    got = warc.read_archives(spark, path, payloads=True).collect()
+    assert sorted((r["page_id"], r["payload_bytes"], r["refers_to"] or -1) for r in got) == sorted((r["page_id"], len(r["payload"]), r["first_id"] or -1) for r in whole)
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("content").collect()
+    sizes = [[len(x) for x in warc.read_records(r["content"])] for r in files]
+    assert len(files) > 3 and all(sum(s[:-1]) < 20_000 for s in sizes)
+    assert [n for n, _ in warc.archives(iter([b"a" * 9, b"b" * 2, b"c" * 9]), 10)] == [0, 0, 0, 1, 1]
+
+
 def test_warc_refuses_what_is_broken():
     good = list(warc.frames(iter([warc.record(i, "u", b"text %d" % i) for i in range(300)])))
     archive = warc.LINE_END.encode().join(good)
