@@ -4,9 +4,10 @@ Groups enter bins by falling size; each goes where the least room is left that s
 balanced tree over (room, bin) finds that bin in logarithmic time. For a set number of bins of nearly
 equal size, the smallest capacity with which best fit needs no more bins is searched for.
 
-What the packer sees is bounded, whatever the corpus: a group larger than a small part of a shard is
-packed by itself, and there can't be more of those than such parts; all smaller groups are hashed into
-as many cells, and a cell is packed as one. A group never leaves its cell, so groups stay whole.
+Groups of more than a small part of a shard are few, whatever the corpus, and enter the shards as they
+are. All smaller ones are dealt to packs of some 100,000 and packed there, each pack by one task, into
+bins of one part; the bins then enter the shards like groups. No two bins of a pack fit into one, so the
+bins are at most twice as many as such parts and one more for each pack.
 """
 
 from __future__ import annotations
@@ -20,8 +21,10 @@ from pyspark.sql import functions as F
 
 from contrast.llm.common import materialise
 
-#: Parts of a shard: groups of more than one part are packed alone, others by cells of about one part.
+#: Parts of a shard: groups of more than one part enter shards alone, others in bins of one part.
 PARTS = 256
+#: Groups of a pack, about.
+PACK = 100_000
 #: Buckets of a shard's rows within which slots are counted.
 BUCKETS = 64
 
@@ -132,32 +135,27 @@ def equal_bins(sizes: list[int], bins: int, rounds: int = 14) -> list[int]:
     return out
 
 
-def _split_groups(groups: DataFrame, parts: int) -> tuple[DataFrame, DataFrame, int]:
-    """(group, bytes) of the groups above a part, (cell, bytes) of the others, and the bytes of a part."""
-    total = groups.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]
-    part = max(1, total // parts)
-    large = groups.where(F.col("bytes") > part)
-    cells = groups.where(F.col("bytes") <= part).groupBy(F.pmod(F.xxhash64("group"), F.lit(parts)).cast("int").alias("cell")).agg(F.sum("bytes").alias("bytes"))
-    return large, cells, part
-
-
-def assign(rows: DataFrame, shards: int, parts: int = PARTS) -> DataFrame:
+def assign(rows: DataFrame, shards: int, parts: int = PARTS, pack_groups: int = PACK) -> DataFrame:
     """rows (group, size, ...) with `shard` from 0 to shards - 1: sums nearly equal, groups whole.
 
-    Groups and cells that reach the driver number 2 * shards * parts at most, and so do the rows that
-    are broadcast. A group above a fair share makes its shard larger than the others.
+    What reaches the driver and is broadcast are 2 * shards * parts bins and groups, and one more for each pack_groups
+    groups, at most. A group above a fair share makes its shard larger than the others. Null is a group.
     """
     spark = rows.sparkSession
     groups = materialise(rows.groupBy("group").agg(F.sum("size").alias("bytes")), "groups")
-    large, cells, _ = _split_groups(groups, shards * parts)
-    alone = [(r["group"], r["bytes"]) for r in large.orderBy(F.col("bytes").desc(), "group").toLocalIterator()]
-    celled = [(r["cell"], r["bytes"]) for r in cells.orderBy("cell").toLocalIterator()]
-    bins = equal_bins([b for _, b in alone] + [b for _, b in celled], shards)
-    of_group = spark.createDataFrame([(g, s) for (g, _), s in zip(alone, bins)], f"group {rows.schema['group'].dataType.simpleString()}, alone int")
-    of_cell = spark.createDataFrame([(c, s) for (c, _), s in zip(celled, bins[len(alone) :])], "cell int, together int")
-    cell = F.pmod(F.xxhash64("group"), F.lit(shards * parts)).cast("int")
-    joined = rows.join(F.broadcast(of_group), "group", "left").withColumn("cell", cell).join(F.broadcast(of_cell), "cell", "left")
-    return joined.withColumn("shard", F.coalesce("alone", "together")).drop("cell", "alone", "together")
+    total, number = groups.agg(F.coalesce(F.sum("bytes"), F.lit(0)), F.count(F.lit(1))).first()
+    part = max(1, total // (shards * parts))
+    small = materialise(pack(groups.where(F.col("bytes") <= part), part, max(1, -(-number // pack_groups))), "packed")
+    alone = [(r["group"], r["bytes"]) for r in groups.where(F.col("bytes") > part).orderBy(F.col("bytes").desc(), "group").toLocalIterator()]
+    binned = [tuple(r) for r in small.groupBy("pack", "bin").agg(F.sum("bytes")).orderBy("pack", "bin").toLocalIterator()]
+    homes = equal_bins([b for _, b in alone] + [b for _, _, b in binned], shards)
+    of_group = spark.createDataFrame([(g, s) for (g, _), s in zip(alone, homes)], f"large {rows.schema['group'].dataType.simpleString()}, alone int")
+    of_bin = spark.createDataFrame([(p, b, s) for (p, b, _), s in zip(binned, homes[len(alone) :])], "pack int, bin int, together int")
+    # a large group's rows are placed by broadcast; a small group's are a part's bytes at most, so they meet by shuffle
+    placed = rows.join(F.broadcast(of_group), F.col("group").eqNullSafe(F.col("large")), "left").drop("large")
+    to_bin = small.join(F.broadcast(of_bin), ["pack", "bin"]).select(F.col("group").alias("packed"), "together")
+    left = placed.where("alone is null").drop("alone").join(to_bin, F.col("group").eqNullSafe(F.col("packed"))).drop("packed").withColumnRenamed("together", "shard")
+    return placed.where("alone is not null").withColumnRenamed("alone", "shard").unionByName(left)
 
 
 def with_slots(rows: DataFrame, order: list[str], buckets: int = BUCKETS) -> DataFrame:

@@ -318,6 +318,40 @@ def test_shards_of_odd_rows(spark, odd, none):
     assert bins.groupBy("pack", "bin").agg(F.sum("bytes").alias("s")).where("s > 60").count() == 0
 
 
+def test_groups_are_packed_in_two_steps(spark):
+    rng = random.Random(5)
+    rows = [(None if g == 0 else g, rng.randrange(20, 400)) for g in range(900) for _ in range(rng.choice((1, 1, 2)))] + [(7, 100)] * 300
+    frame = spark.createDataFrame(rows, "group long, size long")
+    got = packing.assign(frame, 4, parts=16, pack_groups=200).collect()
+    assert sorted((r["group"] or 0, r["size"]) for r in got) == sorted((g or 0, s) for g, s in rows)
+    total, homes, sums, part = sum(s for _, s in rows), {}, Counter(), sum(s for _, s in rows) // 64
+    for r in got:
+        assert homes.setdefault(r["group"], r["shard"]) == r["shard"] and 0 <= r["shard"] < 4
+        sums[r["shard"]] += r["size"]
+    assert max(sums.values()) - min(sums.values()) <= part + 400 < total / 4 / 8
+    # by hand: each pack's small groups by best fit, and these bins with the large groups by it again
+    sizes = Counter()
+    for g, s in rows:
+        sizes[g] += s
+    dealt = {r["group"]: r["pack"] for r in frame.select("group", F.pmod(F.xxhash64("group"), F.lit(-(-len(sizes) // 200))).alias("pack")).distinct().collect()}
+    bins = []
+    for pack in range(-(-len(sizes) // 200)):
+        small = sorted((g for g in sizes if dealt[g] == pack and sizes[g] <= part), key=lambda g: (-sizes[g], g is None, g or 0))
+        rooms = []
+        for g in small:
+            fits = [b for b in rooms if b[0] >= sizes[g]]
+            b = min(fits, key=lambda b: (b[0], b[1])) if fits else None
+            if b is None:
+                rooms.append(b := [part, len(rooms), []])
+            b[0] -= sizes[g]
+            b[2].append(g)
+        bins += [b[2] for b in rooms]
+    large = sorted((g for g in sizes if sizes[g] > part), key=lambda g: -sizes[g])
+    items = [[g] for g in large] + bins
+    want = packing.equal_bins([sum(sizes[g] for g in item) for item in items], 4)
+    assert homes == {g: shard for item, shard in zip(items, want) for g in item}
+
+
 def test_toxicity_held_out(spark):
     tiny = "/root/testdata/sf0.01"
     truth = {r["doc_id"]: r["toxic"] for r in pq.read_table(f"{tiny}/labels.parquet").to_pylist()}
