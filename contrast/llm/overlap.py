@@ -7,7 +7,8 @@ texts share none with a chance of (1 - 0.8^5)^48, about 5e-9. What meets is veri
 Pairs of a crowd would grow with its square. So each key's members are first compared with the key's
 least member; what is then joined, by any links, needs no comparing again. Where a key's members still lie
 in several components, they are compared in blocks, in memory, by their minima alone: the share of equal
-ones estimates the similarity, and only pairs that it doesn't rule out leave a task, to be verified. A
+ones estimates the similarity. Pairs that it doesn't rule out are verified in memory too: the whole sets of
+their nodes come to each block once, and components that have been joined aren't compared again. A
 pair at 0.8 is ruled out with a chance of some 3e-5 (four standard deviations of 480 minima).
 """
 
@@ -33,8 +34,8 @@ MINIMA = 2 * BANDS * ROWS
 OVER, UNDER = 4, 5
 #: Estimated similarity from which on a pair is verified: the threshold less four standard deviations.
 LEAST = OVER / UNDER - 4 * (OVER / UNDER * (1 - OVER / UNDER) / MINIMA) ** 0.5
-#: Members of a key that are compared together.
-TOGETHER = 2048
+#: Members of a key that are compared together, and shingles that these have at most.
+TOGETHER, HELD = 2048, 1 << 22
 #: Shingles whose minima are taken at once.
 BLOCK = 1 << 12
 _MULTIPLIERS = np.random.default_rng(SEED).integers(0, 1 << 32, (MINIMA, 2), np.uint32) | np.array([1, 0], np.uint32)
@@ -103,58 +104,107 @@ def verified(pairs: DataFrame, own: DataFrame, docs: DataFrame, id_column: str,
     return both.where(similar).where("u_fp <> v_fp").select(F.greatest("u_fp", "v_fp").alias("u"), F.least("u_fp", "v_fp").alias("v")).distinct()
 
 
-def likely(members: DataFrame, together: int = TOGETHER) -> DataFrame:
-    """(u, v): pairs of nodes with a common key that lie in different components and may be similar enough.
+def _groups(batches: Iterator[pa.RecordBatch], made) -> Iterator[pa.RecordBatch]:
+    """made(rows) of each group of key, i and j, whose rows come one after the other; a group may go on in the next batch."""
+    held: pa.Table | None = None
+
+    def closed(rows: pa.Table, whole: bool) -> tuple[list[pa.RecordBatch], pa.Table | None]:
+        where = np.stack([rows.column(c).to_numpy() for c in ("key", "i", "j")])
+        begins = np.flatnonzero(np.concatenate([[True], (where[:, 1:] != where[:, :-1]).any(axis=0)]))
+        ends = [*begins[1:], len(rows)]
+        last = len(begins) if whole else len(begins) - 1
+        return [made(rows.slice(a, b - a)) for a, b in zip(begins[:last], ends)], None if whole else rows.slice(begins[-1])
+
+    for batch in batches:
+        now = pa.Table.from_batches([batch])
+        held = now if held is None else pa.concat_tables([held, now])
+        if len(held):
+            out, held = closed(held, False)
+            yield from out
+    if held is not None and len(held):
+        yield from closed(held, True)[0]
+    give_back()
+
+
+def _partners(members: DataFrame, together: int) -> DataFrame:
+    """key, i, j, node, root, others: of each two blocks of a key the nodes of likely pairs, each pair with one of them.
 
-    members: key, node, n, root, keys, minima. A key's members are dealt to blocks by hash, and each two
-    blocks meet in memory; a pair comes out under its first common key only. Keys of one component have
-    nothing to compare and go first.
+    A key's members are dealt to blocks by hash, so that a block's whole sets fit a task as well.
     """
-    kinds = members.groupBy("key").agg(F.count(F.lit(1)).alias("members"), F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b")
-    blocks = F.ceil(F.col("members") / together).cast("int")
+    kinds = members.groupBy("key").agg(F.count(F.lit(1)).alias("members"), F.sum("n").alias("held"), F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b")
+    blocks = F.ceil(F.greatest(F.col("members") / together, F.col("held") / HELD)).cast("int")
     dealt = members.join(kinds.select("key", blocks.alias("blocks")), "key").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     met = dealt.select("key", "node", "n", "root", "keys", "minima", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     met = met.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "n", "root", "keys", "minima")
 
-    def compared(key: int, two: bool, rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    def compared(rows: pa.Table) -> pa.RecordBatch:
+        key, one, other = (rows.column(c)[0].as_py() for c in ("key", "i", "j"))
         block, node, n, root = (rows.column(c).to_numpy() for c in ("block", "node", "n", "root"))
         keys = rows.column("keys").combine_chunks().flatten().to_numpy().reshape(-1, BANDS)
         minima = np.frombuffer(b"".join(rows.column("minima").to_pylist()), np.uint8).reshape(-1, MINIMA)
-        us, vs = [], []
+        others, named = [node[:0]] * len(node), np.zeros(len(node), bool)
         for i in range(len(node) - 1):
             after = slice(i + 1, None)
             may = (root[after] != root[i]) & (UNDER * np.minimum(n[after], n[i]) >= OVER * np.maximum(n[after], n[i]))
-            if two:
+            if one != other:
                 may &= block[after] != block[i]
             at = np.flatnonzero(may) + i + 1
             at = at[(minima[at] == minima[i]).mean(axis=1) >= LEAST]
             shared = keys[at] == keys[i]
             at = at[keys[i][shared.argmax(axis=1)] == key] if len(at) else at
-            us.append(np.full(len(at), node[i]))
-            vs.append(node[at])
-        return (np.concatenate(us), np.concatenate(vs)) if us else (np.zeros(0, np.int64),) * 2
+            others[i] = node[at]
+            named[i] |= len(at) > 0
+            named[at] = True
+        at = np.flatnonzero(named)
+        same = [pa.array(np.full(len(at), x), t) for x, t in ((key, pa.int64()), (one, pa.int32()), (other, pa.int32()))]
+        return pa.RecordBatch.from_arrays([*same, pa.array(node[at]), pa.array(root[at]), pa.array([others[i] for i in at], pa.list_(pa.int64()))], ["key", "i", "j", "node", "root", "others"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: pa.Table | None = None
-
-        def closed(rows: pa.Table, whole: bool):
-            """Pairs of all groups but the last, which may go on in the next batch; and what is left."""
-            where = np.stack([rows.column(c).to_numpy() for c in ("key", "i", "j")])
-            begins = np.flatnonzero(np.concatenate([[True], (where[:, 1:] != where[:, :-1]).any(axis=0)]))
-            ends = [*begins[1:], len(rows)]
-            last = len(begins) if whole else len(begins) - 1
-            made = [compared(int(where[0, a]), where[1, a] != where[2, a], rows.slice(a, b - a)) for a, b in zip(begins[:last], ends)]
-            u, v = (np.concatenate([m[k] for m in made]) if made else np.zeros(0, np.int64) for k in range(2))
-            return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"]), None if whole else rows.slice(begins[-1])
+    return met.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda batches: _groups(batches, compared), "key long, i int, j int, node long, root long, others array<long>")
 
-        for batch in batches:
-            now = pa.Table.from_batches([batch])
-            held = now if held is None else pa.concat_tables([held, now])
-            if len(held):
-                made, held = closed(held, False)
-                yield made
-        if held is not None and len(held):
-            yield closed(held, True)[0]
-        give_back()
 
-    return met.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(run, "u long, v long")
+def likely(members: DataFrame, together: int = TOGETHER) -> DataFrame:
+    """(u, v): pairs of nodes with a common key that lie in different components and may be similar enough.
+
+    members: key, node, n, root, keys, minima. Each two blocks of a key's members meet in memory; a pair comes
+    out under its first common key only. Keys of one component have nothing to compare and go first.
+    """
+    return _partners(members, together).select(F.col("node").alias("u"), F.explode("others").alias("v"))
+
+
+def linked(members: DataFrame, own: DataFrame, docs: DataFrame, id_column: str, text: str, width: int, together: int = TOGETHER) -> DataFrame:
+    """(u, v), as fingerprints: they join the components of all likely pairs whose whole sets are similar enough.
+
+    Likely pairs of a crowd grow with its square, so they are never rows: a node comes once to each two blocks
+    of a key where it has such pairs, with its whole set, and pairs are verified there. Components that were
+    joined there already aren't compared again, so what comes out are no more rows than nodes.
+    """
+    places = materialise(_partners(members, together), "partners")
+    wanted = own.join(places.select("node").distinct(), "node")
+    sets = materialise(_sets(docs, wanted.select("node", "rep"), id_column, text, width).join(wanted.select("node", "fp"), "node"), "sets")
+
+    def joined(rows: pa.Table) -> pa.RecordBatch:
+        node, root, fp = (rows.column(c).to_numpy() for c in ("node", "root", "fp"))
+        held = rows.column("hashes").combine_chunks()
+        offsets, hashes = held.offsets.to_numpy(), held.values.to_numpy(zero_copy_only=False)
+        place, over = {x: k for k, x in enumerate(node.tolist())}, {x: x for x in root.tolist()}
+
+        def top(x: int) -> int:
+            while over[x] != x:
+                over[x] = x = over[over[x]]
+            return x
+
+        us, vs = [], []
+        for a, others in enumerate(rows.column("others").to_pylist()):
+            for b in map(place.__getitem__, others):
+                one, two = top(int(root[a])), top(int(root[b]))
+                if one == two:
+                    continue
+                x, y = (hashes[offsets[k] : offsets[k + 1]] for k in (a, b))
+                if (OVER + UNDER) * len(np.intersect1d(x, y, assume_unique=True)) >= OVER * (len(x) + len(y)):
+                    over[two] = one
+                    us.append(max(fp[a], fp[b]))
+                    vs.append(min(fp[a], fp[b]))
+        return pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], ["u", "v"])
+
+    met = places.join(sets, "node").select("key", "i", "j", "node", "root", "others", "fp", "hashes")
+    return met.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda batches: _groups(batches, joined), "u long, v long").distinct()

@@ -219,7 +219,7 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text: str = "tex
     placed = met.select("key", "node", "fp").join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("key", "node", F.coalesce("root", "fp").alias("root"))
     several = placed.groupBy("key").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("key")
     members = placed.join(several, "key", "left_semi").join(own.select("node", "n", "keys", "minima"), "node")
-    ended = overlap.verified(overlap.likely(members), own, docs, id_column, text, width)
+    ended = overlap.linked(members, own, docs, id_column, text, width)
     # what is joined already is a star around its least node: later rounds move no more than that
     stars = roots.where("node <> root").select(F.col("node").alias("u"), F.col("root").alias("v"))
     return classes(rows.select("doc_id", "fp"), edges=stars.union(ended))

@@ -572,6 +572,41 @@ def test_members_of_a_key_in_blocks(spark):
     assert similar and similar <= set(pairs[0])
 
 
+def test_crowd_of_likely_pairs_leaves_a_forest(spark):
+    """Copies about the threshold: their pairs are many more than they, what comes out is less, and joins the same."""
+    from contrast.llm import overlap
+
+    draw = random.Random(4)
+    base = [f"w{draw.randrange(10**6)}" for _ in range(200)]
+    texts = []
+    for _ in range(80):
+        words = base[:]
+        for at in draw.sample(range(200), draw.randrange(2, 6)):
+            words[at] = f"x{draw.randrange(10**6)}"
+        texts.append(" ".join(words))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    made = simhash.sketched(docs, "doc_id", "text", 5)
+    own = made.select("node", F.col("node").alias("fp"), F.col("doc_id").alias("rep"))
+    members = made.select("node", "n", "keys", "minima", F.col("node").alias("root"), F.explode("keys").alias("key"))
+    number = {r["node"]: r["rep"] for r in own.collect()}
+    sets = [set(overlap.shingles(t, 5).tolist()) for t in texts]
+
+    def joined(pairs):
+        root = list(range(len(texts)))
+        for a, b in pairs:
+            one, two = sorted((root[a], root[b]))
+            root = [one if x == two else x for x in root]
+        return root
+
+    want = joined((a, b) for a in range(len(texts)) for b in range(a) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
+    assert overlap.likely(members).count() > 5 * len(texts) and 1 < len(set(want)) < len(texts)
+    for together in (2048, 30):
+        got = overlap.linked(members, own, docs, "doc_id", "text", 5, together).collect()
+        assert joined((number[r["u"]], number[r["v"]]) for r in got) == want
+        keys = members.select("key").distinct().count()
+        assert len(got) < overlap.likely(members).count() and len(got) <= keys * (len(texts) - 1)
+
+
 def base_spans_by_hand(text):
     assign = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
     found = [(m.start(), 0, m.end()) for m in assign.finditer(text) if len(m[2]) >= 12]
