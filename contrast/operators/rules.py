@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from contrast.functions.measures import FSCORE, Measure
 from contrast.functions.patterns import PATTERN, covers, pattern_id
 from contrast.operators.constraints import covered
-from contrast.plans.kernel import Options
+from contrast.plans.kernel import DENSE, Dense, Options
 from contrast.session import settled
 
 
@@ -31,11 +31,15 @@ def sequential_cover(prep, measure: Measure = FSCORE, rounds: int | None = None,
     """Best pattern, then the best for the positives that it leaves, and so on: place, items, score on what was left.
 
     The contrast to covering all rows at once: later rules are learnt from fewer positives. Ends when no
-    positives are left or no rule is found; `rounds`, if given, ends it before.
+    positives are left or no rule is found; `rounds`, if given, ends it before. Rows that fit a task are learnt
+    from there, all rounds in one; more are searched round by round.
     """
-    from contrast.plans.search import mine_topk
+    from contrast.plans.search import SENT_ROWS, learnt_in_turn, mine_topk
 
     spark, left, out = prep.tx.sparkSession, prep.tx, []
+    alone = strategy == "depth" or strategy == "hybrid" and Dense.patterns(prep.sizes, prep.symbols) <= DENSE
+    if alone and prep.tx.count() <= SENT_ROWS:
+        return settled(learnt_in_turn(prep, measure, options or Options(), rounds), "rules").withColumn("pattern_id", pattern_id(F.col("items")))
     for place in count(1) if rounds is None else range(1, rounds + 1):
         p = left.agg(F.coalesce(F.sum("n_pos"), F.lit(0))).first()[0]
         if not p or out and p == out[-1][-1]:

@@ -4,10 +4,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from contrast import workloads
-from contrast.functions.measures import FSCORE
+from contrast.functions.measures import CHI2, FSCORE
 from contrast.functions.patterns import PATTERN
 from contrast.functions.sql import as_predicate, contrast_mine, register_all
-from contrast.operators import constraints, cuts, encode, lattice
+from contrast.operators import constraints, cuts, encode, lattice, rules
 from contrast.plans import search
 from contrast.schema import HybridSchema, infer_schema, number, symbol
 from contrast.sources import formats, tables
@@ -170,3 +170,15 @@ def test_sequential_cover_goes_on_to_the_last_positive(spark):
     left = [r["positives_left"] for r in workloads.QUERIES["sequential_cover"](spark, "/root/testdata/sf0.01").orderBy("place").collect()]
     assert len(left) > 6 and left[0] == 58 and left[-1] == 1
     assert all(a > b for a, b in zip(left, left[1:]))
+
+
+@pytest.mark.parametrize("way", [{}, {"rounds": 3}, {"measure": CHI2}], ids=["to the end", "three rounds", "chi2"])
+def test_rounds_in_a_task_are_those_of_single_searches(prep, monkeypatch, way):
+    """All rounds in one task, which needs no search, give what a search for each round gives."""
+    row = lambda df: [(r["place"], r["pattern_id"], round(r["score"], 9), r["positives_left"]) for r in df.orderBy("place").collect()]
+    small = search.Prepared(prep.book, prep.tx.where("n_pos = 0 or codes[0] % 3 = 0"), prep.p, prep.n)
+    with monkeypatch.context() as m:
+        m.setattr(search, "mine_topk", None)
+        at_once = row(rules.sequential_cover(small, strategy="depth", **way))
+    monkeypatch.setattr(search, "SENT_ROWS", 0)
+    assert at_once and at_once == row(rules.sequential_cover(small, strategy="depth", **way))
