@@ -182,3 +182,11 @@ def test_rounds_in_a_task_are_those_of_single_searches(prep, monkeypatch, way):
         at_once = row(rules.sequential_cover(small, strategy="depth", **way))
     monkeypatch.setattr(search, "SENT_ROWS", 0)
     assert at_once and at_once == row(rules.sequential_cover(small, strategy="depth", **way))
+
+
+def test_contrast_of_ways_needs_no_search_for_each_rule(spark, tiny, monkeypatch):
+    monkeypatch.setattr(search, "mine_topk", None)
+    got = {r["way"]: r for r in workloads.QUERIES["covering_contrast"](spark, tiny).collect()}
+    assert set(got) == {"separate and conquer", "all rows at once"}
+    assert got["separate and conquer"]["lowest"] <= got["all rows at once"]["lowest"]
+    assert got["separate and conquer"]["best"] == got["all rows at once"]["best"]
