@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from contrast import workloads
-from contrast.functions.measures import CHI2, FSCORE
+from contrast.functions.measures import CHI2, FSCORE, MEASURES
 from contrast.functions.patterns import PATTERN
 from contrast.functions.sql import as_predicate, contrast_mine, register_all
 from contrast.operators import constraints, cuts, encode, lattice, rules
@@ -190,3 +190,9 @@ def test_contrast_of_ways_needs_no_search_for_each_rule(spark, tiny, monkeypatch
     assert set(got) == {"separate and conquer", "all rows at once"}
     assert got["separate and conquer"]["lowest"] <= got["all rows at once"]["lowest"]
     assert got["separate and conquer"]["best"] == got["all rows at once"]["best"]
+
+
+def test_measures_are_judged_by_counts_of_documents(spark, tiny, tmp_path):
+    assert {r["measure"]: r["dual_monotone"] for r in workloads.QUERIES["measures_monotone"](spark, tiny).collect()} == dict.fromkeys(MEASURES, True)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        workloads.QUERIES["measures_monotone"](spark, str(tmp_path))
