@@ -196,3 +196,10 @@ def test_measures_are_judged_by_counts_of_documents(spark, tiny, tmp_path):
     assert {r["measure"]: r["dual_monotone"] for r in workloads.QUERIES["measures_monotone"](spark, tiny).collect()} == dict.fromkeys(MEASURES, True)
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         workloads.QUERIES["measures_monotone"](spark, str(tmp_path))
+
+
+def test_independent_patterns_are_counted_from_documents(spark, tiny):
+    p = workloads._prepared(spark, tiny).p
+    rows = workloads.QUERIES["zero_at_independence"](spark, tiny).collect()
+    assert {r["n_pos"] for r in rows} == {k * p for k in range(1, 10)}
+    assert all(r["score"] == 0 for r in rows if r["measure"] != "fscore") and all(r["score"] > 0 for r in rows if r["measure"] == "fscore")
