@@ -10,6 +10,7 @@ from contrast.functions.sql import as_predicate, contrast_mine, register_all
 from contrast.operators import constraints, cuts, encode, lattice, rules
 from contrast.plans import search
 from contrast.schema import HybridSchema, infer_schema, number, symbol
+from contrast.session import settled
 from contrast.sources import formats, tables
 from contrast.streaming import histograms
 
@@ -203,3 +204,20 @@ def test_independent_patterns_are_counted_from_documents(spark, tiny):
     rows = workloads.QUERIES["zero_at_independence"](spark, tiny).collect()
     assert {r["n_pos"] for r in rows} == {k * p for k in range(1, 10)}
     assert all(r["score"] == 0 for r in rows if r["measure"] != "fscore") and all(r["score"] > 0 for r in rows if r["measure"] == "fscore")
+
+
+@pytest.mark.parametrize("measure", [FSCORE, CHI2], ids=lambda m: m.name)
+def test_pairs_are_counted_as_searched(spark, tiny, monkeypatch, measure):
+    """Counts of two codes give each row the best that a search gives it, of patterns of up to two items; rows without a code too."""
+    rows = tables.order_features(spark, tiny).withColumn("month", F.when(F.col("o_orderkey") % 5 > 0, F.col("month")))
+    orders = search.prepare(rows, HybridSchema((number("month"), symbol("o_orderpriority"), number("c_acctbal", 2000.0))), F.col("cls") == "F")
+    counted, stats = search.search(orders, measure, search.Options(length=2))
+    monkeypatch.setattr(search, "PAIRED", 0)
+    searched, other = search.search(orders, measure, search.Options(length=2), "depth")
+    best = lambda found: sorted((r["tx_id"], round(r["best"], 12)) for r in constraints.offer(orders.tx, found).where("n_pos > 0").collect())
+    assert best(counted) == best(searched) and len(best(counted)) > 100
+    assert stats.first()["complete"] and stats.first()["pruned_floor"] == 0 < other.first()["pruned_floor"]
+    held = {r["tx_id"]: r["best"] for r in constraints.offer(orders.tx, counted).collect()}
+    own = counted.select("items", "score").distinct().withColumn("pattern_id", F.monotonically_increasing_id())
+    met = constraints.covered(orders.tx.where("n_pos > 0").select("tx_id", "codes"), settled(own, "own"))
+    assert all(any(abs(held[t] - r["score"]) < 1e-12 for t in r["rows"]) for r in met.groupBy("pattern_id", "score").agg(F.collect_set("tx_id").alias("rows")).collect())
