@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from contrast.functions.measures import CHI2, CONFIDENCE, FSCORE, INFOGAIN, MEASURES, SUPPDIFF, corner_bound, dual_monotone, harmonic, register
+from contrast.plans.boxes import Boxes
 from contrast.plans.kernel import Options, Search
 
 SIZES, SYMBOL = [5, 4, 3], [False, False, True]
@@ -110,6 +111,51 @@ def test_top_k():
     assert np.allclose(sorted(search.tops), sorted(scores)[-5:])
 
 
+@pytest.mark.parametrize("measure", [FSCORE, CHI2, INFOGAIN, SUPPDIFF], ids=lambda m: m.name)
+@pytest.mark.parametrize("parts", [1, 3])
+def test_bounded_boxes_have_the_best_of_each_row(measure, parts):
+    """The same bests as brute force, and for each row all covers of positives that reach its best."""
+    for seed in range(8):
+        codes, pos, neg = instance(seed, rows=14 + 4 * seed)
+        p, n, want = pos.sum(), neg.sum(), brute(codes, pos, neg, measure)
+        found = set()
+        for k in range(parts):
+            boxes = Boxes(codes, pos, neg, SIZES, SYMBOL, measure, p, n)
+            found |= set(boxes.run(k, parts).patterns)
+        best = np.zeros(len(pos))
+        for items, score in found:
+            held = cover(codes, items)
+            assert items and score == float(measure.values(pos[held].sum(), neg[held].sum(), p, n))
+            best[held & (pos > 0)] = np.maximum(best[held & (pos > 0)], score)
+        assert np.allclose(best, want)
+        kept = {(cover(codes, x) & (pos > 0)).tobytes() for x, _ in found}
+        for choice in itertools.product(*all_items()):
+            items = tuple(x for x in choice if x)
+            held = cover(codes, items)
+            a, b = pos[held].sum(), neg[held].sum()
+            if items and a and a * n >= b * p and (float(measure.values(a, b, p, n)) >= want[held & (pos > 0)]).any():
+                assert (held & (pos > 0)).tobytes() in kept
+
+
+def test_bounded_boxes_of_odd_inputs():
+    for codes, pos, neg in ((np.zeros((3, 3), int), [1, 1, 1], [0, 0, 0]), (np.full((2, 3), -1), [1, 0], [0, 1]), (np.zeros((0, 3), int), [], []), (np.zeros((2, 3), int), [1, 0], [0, 3])):
+        pos, neg = np.array(pos, int), np.array(neg, int)
+        for options in (Options(), Options(top=3, merge=False, closed=False, pure_leaves=False)):
+            found = Boxes(codes, pos, neg, SIZES, SYMBOL, FSCORE, max(1, int(pos.sum())), int(neg.sum()), options=options).run()
+            assert all(items for items, _ in found.patterns)
+
+
+def test_bounded_boxes_visit_few():
+    """Several numbers, where a search node by node visits many times as much."""
+    rng = np.random.default_rng(1)
+    codes = rng.integers(0, 30, (400, 4))
+    pos = ((codes[:, 0] < 12) & (codes[:, 2] > 8) & (rng.random(400) < 0.9)).astype(int)
+    args = (codes, pos, 1 - pos, [30] * 4, [False] * 4, FSCORE, int(pos.sum()), int((1 - pos).sum()))
+    few = Boxes(*args).run()
+    part = Search(*args, options=Options(visits=20 * few.visited)).run()
+    assert few.complete and not part.complete
+
+
 def test_degenerate_inputs():
     for codes, pos, neg in ((np.zeros((3, 3), int), [1, 1, 1], [0, 0, 0]), (np.full((2, 3), -1), [1, 0], [0, 1]), (np.zeros((0, 3), int), [], [])):
         pos, neg = np.array(pos, int), np.array(neg, int)

@@ -221,3 +221,17 @@ def test_pairs_are_counted_as_searched(spark, tiny, monkeypatch, measure):
     own = counted.select("items", "score").distinct().withColumn("pattern_id", F.monotonically_increasing_id())
     met = constraints.covered(orders.tx.where("n_pos > 0").select("tx_id", "codes"), settled(own, "own"))
     assert all(any(abs(held[t] - r["score"]) < 1e-12 for t in r["rows"]) for r in met.groupBy("pattern_id", "score").agg(F.collect_set("tx_id").alias("rows")).collect())
+
+
+@pytest.mark.parametrize("measure", [FSCORE, CHI2], ids=lambda m: m.name)
+def test_branch_and_bound_finds_what_a_search_finds(prep, monkeypatch, measure):
+    searched = ids(search.mine_covering(prep, measure, strategy="depth").patterns)
+    monkeypatch.setattr(search, "DENSE", 0)
+    monkeypatch.setattr(search, "_in_memory", None)
+    assert ids(search.mine_covering(prep, measure).patterns) == searched
+
+
+def test_covering_over_eight_attributes_needs_no_search_by_node(spark, monkeypatch):
+    monkeypatch.setattr(search, "_in_memory", None)
+    got = workloads.QUERIES["mine_covering_doc"](spark, "/root/testdata/sf0.01").collect()
+    assert got and round(max(r["score"] for r in got), 4) == 0.8163
