@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 
 from contrast.functions.measures import CHI2, CONFIDENCE, FSCORE, INFOGAIN, MEASURES, SUPPDIFF, corner_bound, dual_monotone, harmonic, register
-from contrast.plans.boxes import Boxes
+from contrast.plans.boxes import Boxes, suits
 from contrast.plans.kernel import Options, Search
 
 SIZES, SYMBOL = [5, 4, 3], [False, False, True]
@@ -137,6 +137,25 @@ def test_bounded_boxes_have_the_best_of_each_row(measure, parts):
                 assert (held & (pos > 0)).tobytes() in kept
 
 
+@pytest.mark.parametrize("parts", [1, 3])
+def test_bounded_boxes_have_the_top(parts):
+    """The highest scores of all patterns, equal ones by pattern id."""
+    text = lambda items: ";".join(f"{a}:{lo}:{hi}" for a, lo, hi in items)
+    options = Options(top=7, merge=False, closed=False, pure_leaves=False)
+    assert suits(FSCORE, Options()) and suits(FSCORE, options) and not suits(FSCORE, Options(visits=5)) and not suits(CONFIDENCE, Options())
+    for seed in range(10):
+        codes, pos, neg = instance(seed, rows=14 + 4 * seed)
+        p, n, every = pos.sum(), neg.sum(), []
+        for choice in itertools.product(*all_items()):
+            items = tuple(x for x in choice if x)
+            held = cover(codes, items)
+            a, b = pos[held].sum(), neg[held].sum()
+            if items and a and a * n >= b * p:
+                every.append((-float(FSCORE.values(a, b, p, n)), text(items)))
+        got = {(-score, text(items)) for k in range(parts) for items, score in Boxes(codes, pos, neg, SIZES, SYMBOL, FSCORE, p, n, options=options).run(k, parts).patterns}
+        assert sorted(every)[:7] == sorted(got)[:7]
+
+
 def test_bounded_boxes_of_odd_inputs():
     for codes, pos, neg in ((np.zeros((3, 3), int), [1, 1, 1], [0, 0, 0]), (np.full((2, 3), -1), [1, 0], [0, 1]), (np.zeros((0, 3), int), [], []), (np.zeros((2, 3), int), [1, 0], [0, 3])):
         pos, neg = np.array(pos, int), np.array(neg, int)

@@ -235,3 +235,11 @@ def test_covering_over_eight_attributes_needs_no_search_by_node(spark, monkeypat
     monkeypatch.setattr(search, "_in_memory", None)
     got = workloads.QUERIES["mine_covering_doc"](spark, "/root/testdata/sf0.01").collect()
     assert got and round(max(r["score"] for r in got), 4) == 0.8163
+
+
+def test_top_of_all_patterns_by_branch_and_bound(prep, spark, tiny, monkeypatch):
+    searched = ids(search.mine_topk(prep, 20, strategy="depth").patterns)
+    monkeypatch.setattr(search, "DENSE", 0)
+    monkeypatch.setattr(search, "_in_memory", None)
+    assert ids(search.mine_topk(prep, 20).patterns) == searched
+    assert workloads.QUERIES["mine_topk_doc"](spark, tiny).count() == 20
