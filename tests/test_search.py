@@ -243,3 +243,9 @@ def test_top_of_all_patterns_by_branch_and_bound(prep, spark, tiny, monkeypatch)
     monkeypatch.setattr(search, "_in_memory", None)
     assert ids(search.mine_topk(prep, 20).patterns) == searched
     assert workloads.QUERIES["mine_topk_doc"](spark, tiny).count() == 20
+
+
+def test_covering_of_good_documents_needs_no_search_by_node(spark, tiny, monkeypatch):
+    monkeypatch.setattr(search, "_in_memory", None)
+    got = workloads.QUERIES["mine_covering_good"](spark, tiny).collect()
+    assert got and all(0 < r["score"] <= 1 for r in got)
