@@ -249,3 +249,14 @@ def test_covering_of_good_documents_needs_no_search_by_node(spark, tiny, monkeyp
     monkeypatch.setattr(search, "_in_memory", None)
     got = workloads.QUERIES["mine_covering_good"](spark, tiny).collect()
     assert got and all(0 < r["score"] <= 1 for r in got)
+
+
+def test_texts_of_documents_are_read_once_and_not_moved(spark, tiny):
+    """What searches read again and again has shapes of texts, no texts, and meets no labels any more."""
+    plan = tables.document_features(spark, tiny)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "text" not in plan and "doc_id" in plan
+
+
+def test_statistics_of_the_flagship_come_from_few_visits(spark):
+    got = workloads.QUERIES["mine_stats_doc"](spark, "/root/testdata/sf0.01").first()
+    assert got["complete"] and got["share"] == 1.0 and 0 < got["visited"] < 600
