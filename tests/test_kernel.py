@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from contrast.functions.measures import CHI2, CONFIDENCE, FSCORE, INFOGAIN, MEASURES, SUPPDIFF, corner_bound, dual_monotone, harmonic, register
+from contrast.plans import kernel
 from contrast.plans.boxes import Boxes, suits
 from contrast.plans.kernel import Options, Search
 
@@ -201,3 +202,13 @@ PRINTED = [(1.0, 1.0, 1.0), (1.0, 0.94, 0.969), (0.942, 0.98, 0.961), (0.891, 0.
 @pytest.mark.parametrize("confidence, support, score", PRINTED)
 def test_printed_triples(confidence, support, score):
     assert abs(harmonic(confidence, support) - score) < 0.0015
+
+
+@pytest.mark.parametrize("measure", [FSCORE, CHI2], ids=lambda m: m.name)
+@pytest.mark.parametrize("seed", range(6))
+def test_rounds_over_too_many_patterns_to_count_need_no_search_by_node(monkeypatch, measure, seed):
+    codes, pos, neg = instance(seed, 40)
+    rounds = lambda **few: list(kernel.in_turn(codes, pos, neg, SIZES, SYMBOL, measure, int(neg.sum()), Options(), **few))
+    counted = rounds()
+    monkeypatch.setattr(kernel, "Search", None)
+    assert counted and rounds(dense=0) == counted

@@ -193,6 +193,14 @@ def test_contrast_of_ways_needs_no_search_for_each_rule(spark, tiny, monkeypatch
     assert got["separate and conquer"]["best"] == got["all rows at once"]["best"]
 
 
+def test_contrast_of_ways_over_too_many_patterns_needs_no_search_by_node(spark, tiny, monkeypatch):
+    few = sorted(map(tuple, workloads.QUERIES["covering_contrast"](spark, tiny).collect()))
+    for module in (workloads, search):
+        monkeypatch.setattr(module, "DENSE", 0)
+    monkeypatch.setattr(search, "_in_memory", None)
+    assert sorted(map(tuple, workloads.QUERIES["covering_contrast"](spark, tiny).collect())) == few
+
+
 def test_measures_are_judged_by_counts_of_documents(spark, tiny, tmp_path):
     assert {r["measure"]: r["dual_monotone"] for r in workloads.QUERIES["measures_monotone"](spark, tiny).collect()} == dict.fromkeys(MEASURES, True)
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
