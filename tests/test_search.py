@@ -259,6 +259,15 @@ def test_covering_of_good_documents_needs_no_search_by_node(spark, tiny, monkeyp
     assert got and all(0 < r["score"] <= 1 for r in got)
 
 
+def test_closures_are_found_once_and_by_all_tasks(prep, answer, monkeypatch):
+    """An answer is read from closures and scores that are there already; rows meet patterns in all tasks."""
+    dealt, covered = [], constraints.covered
+    monkeypatch.setattr(constraints, "covered", lambda tx, *more: dealt.append(tx.rdd.getNumPartitions()) or covered(tx, *more))
+    again = search.mine_covering(prep).patterns
+    assert ids(again) == ids(answer.patterns) and dealt and min(dealt) >= 4
+    assert "Generate" not in again._jdf.queryExecution().executedPlan().toString()
+
+
 def test_texts_of_documents_are_read_once_and_not_moved(spark, tiny):
     """What searches read again and again has shapes of texts, no texts, and meets no labels any more."""
     plan = tables.document_features(spark, tiny)._jdf.queryExecution().executedPlan().toString()
